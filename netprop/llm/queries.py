@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from netprop.llm import common, packing, sharding, simhash, suffix
+from netprop.llm import common, embed, packing, sharding, simhash, suffix, warc
 
 
 def op1_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -20,6 +20,14 @@ def op5_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.assign(common.table(spark, sf_dir, "documents"), 24)
 
 
+def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.round_trip(common.table(spark, sf_dir, "pages")).drop("url")
+
+
+def op9_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embed.near_duplicates(common.table(spark, sf_dir, "embeddings"))
+
+
 def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(common.table(spark, sf_dir, "documents"))
 
@@ -28,7 +36,11 @@ QUERIES = {
     "op1_simhash": op1_simhash,
     "op3_suffix": op3_suffix,
     "op5_sharding": op5_sharding,
+    "op8_warc": op8_warc,
+    "op9_embeddings": op9_embeddings,
     "op10_packing": op10_packing,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {
+    "op9_embeddings": embed.ORACLE_SQL,
+}
