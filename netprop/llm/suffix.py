@@ -311,16 +311,20 @@ def repeated_windows(parts: list[bytes], rank: np.ndarray, length: int) -> tuple
 # ------------------------------------------------------------------- stages
 
 
-def _numbered(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(doc_id, rep, body): rep tells apart different texts of one id; rows equal in both are one document."""
-    rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(-(1 << 63)).cast("long")).alias("doc_id"), F.col(text_col).cast("binary").alias("body"))
-    twice = rows.groupBy("doc_id").count().where("count > 1").select("doc_id")
-    twice = common.checkpointed(twice)
+def _numbered(docs: DataFrame, id_col: str, text_col: str, carry: bool = False) -> DataFrame:
+    """(doc_id, rep, body, and with ``carry`` all other columns in ``row``).
+
+    rep tells apart different texts of one id; rows equal in both are one document.
+    """
+    other = [F.struct(F.col(text_col).isNull().alias("_no_text"), *[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(docs.columns) if c != text_col]).alias("row")] if carry else []
+    rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(-(1 << 63)).cast("long")).alias("doc_id"), F.col(text_col).cast("binary").alias("body"), *other)
+    more = ["row"] if carry else []
+    twice = common.checkpointed(rows.groupBy("doc_id").count().where("count > 1").select("doc_id"))
     if common.is_empty(twice):
-        return rows.select("doc_id", F.lit(0).alias("rep"), "body")
+        return rows.select("doc_id", F.lit(0).alias("rep"), "body", *more)
     print_of = F.struct(F.sha2("body", 256), F.octet_length("body"))
     some = rows.join(twice, "doc_id", "left_semi").withColumn("rep", F.dense_rank().over(Window.partitionBy("doc_id").orderBy(print_of)).cast("int"))
-    return rows.join(twice, "doc_id", "left_anti").select("doc_id", F.lit(0).alias("rep"), "body").unionByName(some.select("doc_id", "rep", "body"))
+    return rows.join(twice, "doc_id", "left_anti").select("doc_id", F.lit(0).alias("rep"), "body", *more).unionByName(some.select("doc_id", "rep", "body", *more))
 
 
 _ENTRY_DDL = "bucket int, data binary"
@@ -552,40 +556,57 @@ def repeated_ranges(rows: DataFrame, length: int = LENGTH, anchor: int = ANCHOR,
     return ranges.where("kind = 0").unionByName(found).select("doc_id", "rep", "first", "end")
 
 
-_OUT_DDL = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept_text string"
+_OUT_DDL = "n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept_text string"
 
 
-def drop_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR, id_col: str = "doc_id", text_col: str = "text", hot_segments: int = HOT_SEGMENTS, keep_text: bool = True) -> DataFrame:
-    """One row per input row: doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept_text.
-
-    Null and shorter texts have nothing to remove. Rows equal in id and text are
-    one document: each gets its result. Different texts under one id are separate
-    documents, in an order that depends on their content alone; null ids come
-    first. ``kept_text`` drops the characters all of whose bytes are removed.
-    """
-    rows = _numbered(docs, id_col, text_col)
-    ranges = repeated_ranges(rows, length, anchor, hot_segments)
-    lists = ranges.groupBy("doc_id", "rep").agg(F.collect_list(F.struct("first", "end")).alias("parts"))
-    joined = rows.join(lists, ["doc_id", "rep"], "left").select("doc_id", "body", "parts")
+def _judged(docs: DataFrame, length: int, anchor: int, id_col: str, text_col: str, hot_segments: int, carry: bool) -> DataFrame:
+    """(_key, n_bytes, n_removed, n_spans, kept_sha256, kept_text) per row; ``_key`` is the id, or with ``carry`` the other columns."""
+    found = repeated_ranges(_numbered(docs, id_col, text_col), length, anchor, hot_segments)
+    rows = _numbered(docs, id_col, text_col, carry)
+    lists = found.groupBy("doc_id", "rep").agg(F.collect_list(F.struct("first", "end")).alias("parts"))
+    joined = rows.join(lists, ["doc_id", "rep"], "left").select(F.col("row" if carry else "doc_id").alias("_key"), "body", "parts")
+    kind = joined.schema["_key"].dataType.simpleString()
 
     def run(batches):
         for batch in batches:
             out = []
-            for doc, body, parts in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
+            for body, parts in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
                 body = body or b""
                 if not parts:
-                    out.append((doc, len(body), 0, 0, hashlib.sha256(body).hexdigest(), body.decode("utf-8", "replace") if keep_text else None))
+                    out.append((len(body), 0, 0, hashlib.sha256(body).hexdigest(), body.decode("utf-8", "replace") if carry else None))
                     continue
                 first = np.array([p["first"] for p in parts], np.int64)
                 ends = np.array([p["end"] for p in parts], np.int64)
                 zero = np.zeros(len(first), np.int64)
                 _, _, first, ends = merge_ranges(zero, zero, first, ends)
                 left = b"".join(body[a:b] for a, b in zip([0, *ends.tolist()], [*first.tolist(), len(body)], strict=True))
-                out.append((doc, len(body), int((ends - first).sum()), len(first), hashlib.sha256(left).hexdigest(), whole_characters(body, first, ends) if keep_text else None))
-            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], kind) for i, kind in enumerate((pa.int64(),) * 4 + (pa.string(),) * 2)], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept_text"])
+                out.append((len(body), int((ends - first).sum()), len(first), hashlib.sha256(left).hexdigest(), whole_characters(body, first, ends) if carry else None))
+            kinds = (pa.int64(),) * 3 + (pa.string(),) * 2
+            yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array([r[i] for r in out], k) for i, k in enumerate(kinds)]], names=["_key", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept_text"])
+
+    return joined.mapInArrow(run, f"_key {kind}, {_OUT_DDL}")
+
 
-    out = joined.mapInArrow(run, _OUT_DDL)
-    return out.withColumn("doc_id", F.nullif("doc_id", F.lit(-(1 << 63)).cast("long")))
+def count_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR, id_col: str = "doc_id", text_col: str = "text", hot_segments: int = HOT_SEGMENTS) -> DataFrame:
+    """``(doc_id, n_bytes, n_removed, n_spans, kept_sha256)``, one row per input row.
+
+    Null and shorter texts have nothing to remove. Rows equal in id and text are
+    one document: each gets its result. Different texts under one id are separate
+    documents, in an order that depends on their content alone; null ids come first.
+    """
+    out = _judged(docs, length, anchor, id_col, text_col, hot_segments, False)
+    return out.select(F.nullif("_key", F.lit(-(1 << 63)).cast("long")).alias("doc_id"), "n_bytes", "n_removed", "n_spans", "kept_sha256")
+
+
+def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR, id_col: str = "doc_id", text_col: str = "text", hot_segments: int = HOT_SEGMENTS, removed: str = "_n_removed") -> DataFrame:
+    """``docs`` with the repeats cut out of ``text_col``, plus ``removed`` (bytes). Null texts stay null, all other columns stay.
+
+    A character goes when all its bytes are repeats, so texts stay valid.
+    """
+    out = _judged(docs, length, anchor, id_col, text_col, hot_segments, True)
+    place = [c for c in docs.columns]
+    text = F.when(~F.col("_key._no_text"), F.col("kept_text")).alias(text_col)
+    return out.select(*[text if c == text_col else F.col(f"_key.c{place.index(c)}").alias(c) for c in place], F.col("n_removed").alias(removed))
 
 
 def whole_characters(body: bytes, first: np.ndarray, ends: np.ndarray) -> str:
