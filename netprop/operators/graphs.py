@@ -64,11 +64,11 @@ def ordered_lead(df: DataFrame, ts: str, tie: str, value: str, out: str, cell_se
     return led.join(follow, "_cell").withColumn(out, F.when(F.col("_last"), F.col("_next")).otherwise(F.col("_lead"))).drop("_cell", "_lead", "_last", "_next")
 
 
-def call_records(events: DataFrame) -> DataFrame:
-    """Each event is a call from its user to the user of the next event, in hundredths of its value; calls to oneself are left out."""
+def call_records(events: DataFrame, to_self: bool = False) -> DataFrame:
+    """Each event is a call from its user to the user of the next event, in hundredths of its value; calls to oneself only ``to_self``."""
     led = ordered_lead(events.select("event_id", "ts", "user_id", "event_type", "value"), "ts", "event_id", "user_id", "dst")
     rows = led.select("ts", F.col("user_id").alias("src"), "dst", F.col("event_type").alias("tariff"), F.round(F.col("value") * 100).cast("long").alias("dur"))
-    return rows.where("dst is not null and src <> dst")
+    return rows.where("dst is not null" if to_self else "dst is not null and src <> dst")
 
 
 def rank_tariffs(calls: DataFrame, by: str = "tariff") -> DataFrame:
@@ -139,13 +139,13 @@ def chain_graph(orders: DataFrame) -> Graph:
     return Graph(orders.select(before.cast("long").alias("src"), F.col("o_orderkey").cast("long").alias("dst"), F.lit(1.0).alias("w")), name="chain")
 
 
-def entity_graph(customer: DataFrame, orders: DataFrame, lineitem: DataFrame, supplier: DataFrame, nation: DataFrame) -> Graph:
+def entity_graph(orders: DataFrame, lineitem: DataFrame, supplier: DataFrame, nation: DataFrame) -> Graph:
     """Customer, order, part, supplier, nation, region (kinds 0 to 5): ids key * 8 + kind."""
     key = lambda c, k: (F.col(c).cast("long") * 8 + k)
     pair = lambda df, a, i, b, j: df.select(key(a, i).alias("src"), key(b, j).alias("dst"))
     parts = [
         pair(orders, "o_custkey", 0, "o_orderkey", 1), pair(lineitem, "l_orderkey", 1, "l_partkey", 2), pair(lineitem, "l_partkey", 2, "l_suppkey", 3),
-        pair(supplier, "s_suppkey", 3, "s_nationkey", 4), pair(customer, "c_custkey", 0, "c_nationkey", 4), pair(nation, "n_nationkey", 4, "n_regionkey", 5),
+        pair(supplier, "s_suppkey", 3, "s_nationkey", 4), pair(nation, "n_nationkey", 4, "n_regionkey", 5),
     ]
     rows = parts[0]
     for p in parts[1:]:
