@@ -309,9 +309,9 @@ def fn_json(spark, d):
     return _t(spark, d, "events").select("event_id", F.from_json("props", "k long").getField("k").alias("k"))
 
 
-@_entry("fn_date", "SELECT date_trunc('month', o_orderdate)::DATE AS month, COUNT(*) AS n FROM orders GROUP BY 1")
+@_entry("fn_date", "SELECT strftime(o_orderdate, '%Y-%m') AS month, COUNT(*) AS n FROM orders GROUP BY 1")
 def fn_date(spark, d):
-    return _t(spark, d, "orders").groupBy(F.date_trunc("month", F.col("o_orderdate").cast("timestamp")).cast("date").alias("month")).agg(F.count("*").alias("n"))
+    return _t(spark, d, "orders").groupBy(F.date_format(F.date_trunc("month", F.col("o_orderdate")), "yyyy-MM").alias("month")).agg(F.count("*").alias("n"))
 
 
 @_entry("fn_array", "SELECT vec_id, ROUND(list_sum(list_transform(CAST(embedding AS DOUBLE[]), lambda x: x * x)), 4) AS norm2, len(embedding) AS n FROM embeddings")
@@ -359,9 +359,9 @@ def udtf_related(spark, d):
 _WINDOWED = "SELECT date_trunc('day', ts) AS day, src, dst, CAST(SUM(dur) AS BIGINT) AS w FROM ({}) WHERE dst IS NOT NULL AND src <> dst GROUP BY 1, 2, 3".format(oracle._CALLS)
 
 
-@_entry("stream_windowed_edges", f"SELECT CAST(day AS DATE) AS day, src, dst, w FROM ({_WINDOWED})")
+@_entry("stream_windowed_edges", f"SELECT strftime(day, '%Y-%m-%d') AS day, src, dst, w FROM ({_WINDOWED})")
 def stream_windowed_edges(spark, d):
-    return streaming.windowed_edges_of(spark, graphs.call_records(_t(spark, d, "events")), "1 day")
+    return streaming.windowed_edges_of(spark, graphs.call_records(_t(spark, d, "events")), "1 day").withColumn("day", F.date_format("day", "yyyy-MM-dd"))
 
 
 @_entry("stream_dedup", "SELECT event_type, COUNT(*) AS n FROM events GROUP BY event_type")
