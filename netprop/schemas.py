@@ -6,8 +6,8 @@ from pyspark.sql import DataFrame, functions as F, types as T
 
 
 def _schema(ddl: str, required: str = "") -> T.StructType:
-    need = set(required.split())
-    return T.StructType([T.StructField(f.name, f.dataType, f.name not in need) for f in T._parse_datatype_string(ddl)])
+    need, kinds = set(required.split()), {"long": T.LongType(), "int": T.IntegerType(), "double": T.DoubleType(), "string": T.StringType(), "timestamp": T.TimestampType()}
+    return T.StructType([T.StructField(n, kinds[k], n not in need) for n, k in (f.split() for f in ddl.split(", "))])
 
 
 EDGES = _schema("src long, dst long, w double", "src dst w")
