@@ -4,11 +4,11 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import SparkSession, functions as F
+from pyspark.sql import SparkSession, functions as F, types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def entropy(vectors: pd.Series) -> pd.Series:
     """Entropy of non-negative weights, taken as shares."""
 
@@ -20,13 +20,13 @@ def entropy(vectors: pd.Series) -> pd.Series:
     return vectors.map(one, na_action="ignore")
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def weighted_mean(label: pd.Series, w: pd.Series) -> float:
     """A mean is no combiner: as a grouped aggregate it sees all rows of a key at once. Engines use the pair of sums instead."""
     return float((label * w).sum() / w.sum())
 
 
-@udtf(returnType="src: bigint, dst: bigint")
+@udtf(returnType=T.StructType([T.StructField("src", T.LongType()), T.StructField("dst", T.LongType())]))
 class RelatedEdges:
     """A record's id and list of related ids, as edges."""
 
