@@ -184,7 +184,8 @@ def marked(docs: DataFrame, text_col: str) -> DataFrame:
 
 def distinct_entities(cut: DataFrame) -> DataFrame:
     """``(kind, form, gender)`` of all entities; the gender of a form is that of any title it has had."""
-    rows = cut.select(F.explode("_found").alias("e")).where("e.kind is not null").select("e.kind", "e.form", "e.gender")
+    each = cut.select(F.explode_outer("_found").alias("e"))  # an inner explode would add a filter that finds all entities once more
+    rows = each.where("e.kind is not null").select("e.kind", "e.form", "e.gender")
     return rows.groupBy("kind", "form").agg(F.min("gender").alias("gender"))
 
 
