@@ -28,6 +28,8 @@ from netprop.llm import common
 
 #: Share of a host's pages that a class must reach, share of the slot text that an article must hold.
 SUPPORT, ARTICLE_SHARE = 0.5, 0.5
+#: Hosts up to which their articles' places (a short string each) are broadcast; beyond, pages are salted and joined.
+BROADCAST_HOSTS, SALTS = 100_000, 32
 
 # Element names of the markup language by their role.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -200,7 +202,16 @@ def extract_text(page: str, article: str | None) -> str:
     return "\n\n".join(t for p, t in blocks if p == article or p.startswith(inside))
 
 
-def main_text(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
+def placed(rows: DataFrame, known: DataFrame, broadcast_hosts: int = BROADCAST_HOSTS) -> DataFrame:
+    """Pages ``(page_id, url, html, host)`` with the article of their host. A host's pages never meet in one task."""
+    known = common.checkpointed(known)
+    if known.count() <= broadcast_hosts:
+        return rows.join(F.broadcast(known), "host", "left")  # counted
+    spread = known.select("host", "article", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("_salt"))
+    return rows.withColumn("_salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).cast("int")).join(spread, ["host", "_salt"], "left")
+
+
+def main_text(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", broadcast_hosts: int = BROADCAST_HOSTS) -> DataFrame:
     """``(page_id, url, text, n_chars)``, one row per input row.
 
     Null or empty html gives an empty text. Pages without a usable url share the
@@ -219,6 +230,6 @@ def main_text(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", h
             texts = [extract_text(p or "", a) for p, a in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array(list(map(len, texts)), pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
-    joined = rows.withColumn("host", host("url")).join(known, "host", "left").select("page_id", "url", "html", "article")
+    joined = placed(rows.withColumn("host", host("url")), known, broadcast_hosts).select("page_id", "url", "html", "article")
     kind = rows.schema["page_id"].dataType.simpleString()
     return joined.mapInArrow(run, f"page_id {kind}, url string, text string, n_chars long")
