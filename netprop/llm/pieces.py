@@ -3,7 +3,7 @@
 Encoding starts from characters and an agenda of neighbouring pairs that form a
 piece; the best pair (highest score, then leftmost) is merged and its new
 neighbours enter the agenda. With dropout, a candidate that comes up is skipped
-for good where a keyed hash says so, which gives varied segmentations, all of
+for good where a keyed hash (64 draws of a byte for a word) says so, which gives varied segmentations, all of
 which decode to the same text. The hash takes the seed, the variant, the word and
 the place of the merge, and the variant of each occurrence comes from a hash of
 seed, document and position: the same input always gives the same pieces, on any
@@ -17,14 +17,16 @@ from __future__ import annotations
 
 import heapq
 import re
+from array import array
 from dataclasses import dataclass, field
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
-#: Share of candidate merges skipped, and segmentations that a word has at most.
+#: Share of candidate merges skipped (in steps of 1/256), and segmentations that a word has at most.
 DROPOUT, VARIANTS = 0.1, 4
 #: Words that a worker remembers, for each variant, before it starts anew.
 REMEMBERED = 250_000
@@ -66,9 +68,9 @@ def load(path: str = MODEL) -> Model:
     return Model({p: i for i, p, _ in normal}, {p: s for _, p, s in normal}, [octets[b] for b in range(256)], raw)
 
 
-def encode_word(word: str, model: Model, skip=None) -> list[int]:
-    """Pieces of one word. ``skip(left, right)``: whether the merge of word[left:right] is dropped when it comes up."""
-    parts = _scanned(word, model.scores, skip) if len(word) <= SCANNED else _queued(word, model.scores, skip)
+def encode_word(word: str, model: Model, draws: bytes = b"", limit: int = 0) -> list[int]:
+    """Pieces of one word. The merge of word[a:b] is dropped when it comes up if its draw is below ``limit``."""
+    parts = _scanned(word, model.scores, draws, limit) if len(word) <= SCANNED else _queued(word, model.scores, draws, limit)
     out, ids = [], model.ids
     for piece in parts:
         found = ids.get(piece)
@@ -79,7 +81,7 @@ def encode_word(word: str, model: Model, skip=None) -> list[int]:
     return out
 
 
-def _scanned(word: str, scores: dict[str, float], skip) -> list[str]:
+def _scanned(word: str, scores: dict[str, float], draws: bytes, limit: int) -> list[str]:
     """The agenda as a list beside the parts: right for short words, where looking through it costs least."""
     parts, starts = list(word), list(range(len(word) + 1))
     find, never = scores.get, float("-inf")
@@ -89,7 +91,7 @@ def _scanned(word: str, scores: dict[str, float], skip) -> list[str]:
         if best == never:
             break
         i = agenda.index(best)
-        if skip is not None and skip(starts[i], starts[i + 2]):
+        if limit and draws[(starts[i] * 7 + starts[i + 2] * 13) & 63] < limit:
             agenda[i] = never
             continue
         parts[i] += parts.pop(i + 1)
@@ -101,7 +103,7 @@ def _scanned(word: str, scores: dict[str, float], skip) -> list[str]:
     return parts
 
 
-def _queued(word: str, scores: dict[str, float], skip) -> list[str]:
+def _queued(word: str, scores: dict[str, float], draws: bytes, limit: int) -> list[str]:
     """The agenda as a priority queue: for long words."""
     n = len(word)
     ends, before, after = list(range(1, n + 1)), list(range(-1, n - 1)), list(range(1, n + 1))
@@ -119,7 +121,7 @@ def _queued(word: str, scores: dict[str, float], skip) -> list[str]:
         _, a, middle, end = heapq.heappop(agenda)
         if gone[a] or ends[a] != middle or middle >= n or gone[middle] or ends[middle] != end:
             continue  # a part has been merged meanwhile
-        if skip is not None and skip(a, end):
+        if limit and draws[(a * 7 + end * 13) & 63] < limit:
             continue
         gone[middle] = True
         ends[a] = end
@@ -152,21 +154,14 @@ class Coder:
     """Encodes with one seed and dropout, remembering words."""
 
     def __init__(self, model: Model, dropout: float = DROPOUT, seed: int = 1, variants: int = VARIANTS):
-        self.model, self.limit, self.seed = model, int(dropout * 2**32), seed
+        self.model, self.limit, self.seed = model, round(dropout * 256), seed
         self.variants = variants if dropout > 0 else 1
+        self.keys = [f"{seed}/{v}".encode() for v in range(self.variants)]
         self.known: list[dict[str, bytes]] = [{} for _ in range(self.variants)]
 
     def _word(self, variant: int, word: str) -> bytes:
-        import xxhash
-
-        skip, limit = None, self.limit
-        if limit:
-            base = xxhash.xxh64_intdigest(word.encode(), self.seed * self.variants + variant)
-
-            def skip(a, b):
-                return ((base ^ (a << 20 ^ b)) * 0x9E3779B97F4A7C15 & (2**64 - 1)) >> 32 < limit
-
-        out = np.array(encode_word(word, self.model, skip), np.int32).tobytes()
+        draws = blake2b(word.encode(), key=self.keys[variant]).digest() if self.limit else b""
+        out = array("i", encode_word(word, self.model, draws, self.limit)).tobytes()
         known = self.known[variant]
         if len(known) >= REMEMBERED:
             known.clear()

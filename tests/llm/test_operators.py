@@ -343,8 +343,9 @@ def test_pieces(docs, odd, none):
 def test_list_and_queue_merge_alike():
     model = pieces.load()
     for w in ["▁thonenerly", "aaaaaaab", "▁▁▁▁▁x", "internationalisation", "é" * 9]:
-        for skip in (None, lambda a, b: (a * 7 + b) % 3 == 0):
-            assert pieces._scanned(w, model.scores, skip) == pieces._queued(w, model.scores, skip)
+        for limit in (0, 60, 200):
+            draws = hashlib.blake2b(w.encode()).digest()
+            assert pieces._scanned(w, model.scores, draws, limit) == pieces._queued(w, model.scores, draws, limit)
 
 
 # -------------------------------------------------------------------- 7: html
@@ -364,6 +365,7 @@ def test_main_text(spark, sf):
 
     given = common.table(spark, sf, "pages")
     texts = {r.page_id: r.text for r in html.main_text(given).collect()}
+    assert texts == {r.page_id: r.text for r in html.main_text(given, broadcast_hosts=0).collect()}
     for r in given.collect():
         inner = r.html[r.html.index("<article>") + 9 : r.html.index("</article>")]
         blocks = [re.sub(r"\s+", " ", entities.unescape(re.sub(r"</?b>", "", b.replace("<br>", " ")))).strip() for b in re.split(r"</?(?:p|h1)>", inner)]
