@@ -3,8 +3,8 @@
 Encoding starts from characters and an agenda of neighbouring pairs that form a
 piece; the best pair (highest score, then leftmost) is merged and its new
 neighbours enter the agenda. With dropout, a candidate that comes up is skipped
-for good where a keyed hash (64 draws of a byte for a word) says so, which gives varied segmentations, all of
-which decode to the same text. The hash takes the seed, the variant, the word and
+for good where a keyed hash (64 draws of a byte for a word) says so, which gives
+varied segmentations, all of which decode to the same text. The hash takes the seed, the variant, the word and
 the place of the merge, and the variant of each occurrence comes from a hash of
 seed, document and position: the same input always gives the same pieces, on any
 machine, and a word has so few segmentations that they can be remembered.
@@ -17,8 +17,7 @@ from __future__ import annotations
 
 import heapq
 import re
-from array import array
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 from hashlib import blake2b
 
 import numpy as np
@@ -31,10 +30,14 @@ DROPOUT, VARIANTS = 0.1, 4
 #: Words that a worker remembers, for each variant, before it starts anew.
 REMEMBERED = 250_000
 
-#: Words of up to so many characters are merged from a scanned list.
-SCANNED = 64
+#: Words of up to so many characters are merged many at a time.
+SHORT = 64
+#: Characters of the texts that are encoded together (a longer text is encoded alone), and words in one call of :class:`Merger`.
+TOGETHER, ROWS = 1 << 21, 1 << 14
 
 MARK = "▁"
+#: Stands for a mark that the text itself holds (no word mixes line ends with other characters).
+OWN = f"\n{MARK}"
 _WORDS = re.compile(f"{MARK}+[^{MARK}\n]*|[^{MARK}\n]+|\n+")
 
 
@@ -44,7 +47,6 @@ class Model:
     scores: dict[str, float]
     bytes_from: list[int]
     raw: list[bytes]
-    memory: list[dict] = field(default_factory=list)
 
 
 def load(path: str = MODEL) -> Model:
@@ -70,9 +72,8 @@ def load(path: str = MODEL) -> Model:
 
 def encode_word(word: str, model: Model, draws: bytes = b"", limit: int = 0) -> list[int]:
     """Pieces of one word. The merge of word[a:b] is dropped when it comes up if its draw is below ``limit``."""
-    parts = _scanned(word, model.scores, draws, limit) if len(word) <= SCANNED else _queued(word, model.scores, draws, limit)
     out, ids = [], model.ids
-    for piece in parts:
+    for piece in _queued(word, model.scores, draws, limit):
         found = ids.get(piece)
         if found is None:
             out += [model.bytes_from[b] for b in piece.encode()]
@@ -81,30 +82,117 @@ def encode_word(word: str, model: Model, draws: bytes = b"", limit: int = 0) ->
     return out
 
 
-def _scanned(word: str, scores: dict[str, float], draws: bytes, limit: int) -> list[str]:
-    """The agenda as a list beside the parts: right for short words, where looking through it costs least."""
-    parts, starts = list(word), list(range(len(word) + 1))
-    find, never = scores.get, float("-inf")
-    agenda = [find(a + b, never) for a, b in zip(parts, parts[1:], strict=False)]
-    while agenda:
-        best = max(agenda)
-        if best == never:
-            break
-        i = agenda.index(best)
-        if limit and draws[(starts[i] * 7 + starts[i + 2] * 13) & 63] < limit:
-            agenda[i] = never
-            continue
-        parts[i] += parts.pop(i + 1)
-        del agenda[i], starts[i + 1]
-        if i:
-            agenda[i - 1] = find(parts[i - 1] + parts[i], never)
-        if i < len(agenda):
-            agenda[i] = find(parts[i] + parts[i + 1], never)
-    return parts
+class Merger:
+    """The same agenda for many words of one length at once, in numpy.
+
+    A part is a number: the id of its piece, or ``base`` plus the code point of a
+    character that is none. Each word has a row; a part stands in the column of its
+    first character and knows the columns of its neighbours, the last column being
+    none. The agenda holds, at a part's column, the rank of the merge with its right
+    neighbour, or -1; each step takes the first of the best in every row.
+    """
+
+    def __init__(self, model: Model):
+        self.base = len(model.raw)
+        self.width = self.base + 0x110000
+        self.part_of = np.arange(0x110000, dtype=np.int64) + self.base
+        for piece, i in model.ids.items():
+            if len(piece) == 1:
+                self.part_of[ord(piece)] = i
+        rank = {s: r for r, s in enumerate(sorted(set(model.scores.values())))}
+        merges = {}
+        for piece, i in model.ids.items():
+            for k in range(1, len(piece)):
+                left, right = self._part(piece[:k], model), self._part(piece[k:], model)
+                if left is not None and right is not None:
+                    merges[left * self.width + right] = (i, rank[model.scores[piece]])
+        self.octets = np.array(model.bytes_from, np.int64)
+        self._table(merges)
+
+    def _part(self, piece: str, model: Model) -> int | None:
+        return model.ids.get(piece, self.base + ord(piece) if len(piece) == 1 else None)
+
+    def _slots(self, keys: np.ndarray) -> np.ndarray:
+        return ((keys.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> self.shift).astype(np.int64)
+
+    def _table(self, merges: dict[int, tuple[int, int]]) -> None:
+        """Merges in an open hash table, an eighth full at most."""
+        bits = max(4, (8 * len(merges)).bit_length())
+        self.shift, self.mask = np.uint64(64 - bits), (1 << bits) - 1
+        self.keys, self.into, self.rank = np.full(1 << bits, -1, np.int64), np.full(1 << bits, -1, np.int64), np.full(1 << bits, -1, np.int32)
+        for key, slot in zip(merges, self._slots(np.array(list(merges), np.int64)).tolist(), strict=True):
+            while self.keys[slot] >= 0:
+                slot = (slot + 1) & self.mask
+            self.keys[slot], (self.into[slot], self.rank[slot]) = key, merges[key]
+
+    def find(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """Slots of the merges of parts; where there is no such merge, an empty slot."""
+        keys = left * self.width + right
+        slots = self._slots(keys)
+        held = self.keys[slots]
+        open_ = np.flatnonzero((held != keys) & (held >= 0))
+        while len(open_):
+            slots[open_] = (slots[open_] + 1) & self.mask
+            held = self.keys[slots[open_]]
+            open_ = open_[(held != keys[open_]) & (held >= 0)]
+        return slots
+
+    def encode(self, words: list[str], draws: bytes, limit: int) -> list[bytes]:
+        """Piece ids of words of one length (as bytes of 32-bit numbers); 64 draws a word where there is a limit."""
+        n, length = len(words), len(words[0])
+        wide = length + 1
+        parts = np.empty((n, wide), np.int64)
+        parts[:, :length] = self.part_of[np.frombuffer("".join(words).encode("utf-32-le"), np.uint32).reshape(n, length)]
+        parts[:, length] = self.width - 1  # no character: the end, and what stands before the start
+        before, after = np.empty((n, wide), np.int64), np.empty((n, wide), np.int64)
+        before[:], after[:] = np.arange(-1, length), np.arange(1, wide + 1)
+        before[:, 0] = length
+        slots = np.full((n, wide), -1, np.int64)
+        slots[:, :length] = self.find(parts[:, :length].ravel(), parts[:, 1:].ravel()).reshape(n, length)
+        agenda = self.rank[slots]
+        agenda[:, length] = -1
+        parts, before, after, slots, todo = parts.ravel(), before.ravel(), after.ravel(), slots.ravel(), np.arange(n)
+        flat, dealt = agenda.ravel(), np.frombuffer(draws, np.uint8)
+        while len(todo):
+            at = (agenda if len(todo) == n else agenda[todo]).argmax(1)
+            left = todo * wide + at
+            live = flat[left] >= 0
+            todo, at, left = todo[live], at[live], left[live]
+            start = todo * wide
+            middle = after[left]
+            end = after[start + middle]
+            if limit:
+                drop = dealt[todo * 64 + ((at * 7 + end * 13) & 63)] < limit
+                flat[left[drop]] = -1
+                keep = ~drop
+                at, left, start, middle, end = at[keep], left[keep], start[keep], middle[keep], end[keep]
+            parts[left] = self.into[slots[left]]
+            gone = start + middle
+            parts[gone], flat[gone] = -1, -1
+            after[left] = end
+            before[start + end] = at
+            for a, b in ((start + before[left], left), (left, start + end)):
+                slots[a] = found = self.find(parts[a], parts[b])
+                flat[a] = self.rank[found]
+        parts = parts.reshape(n, wide)[:, :length]
+        stays = parts >= 0
+        found = parts[stays]
+        sizes = np.ones(len(found), np.int64)
+        unknown = found >= self.base
+        if unknown.any():
+            points = found[unknown] - self.base
+            sizes[unknown] = 1 + (points > 0x7F) + (points > 0x7FF) + (points > 0xFFFF)
+            found, raw = np.repeat(found, sizes), np.frombuffer(points.astype("<u4").tobytes().decode("utf-32-le").encode(), np.uint8)
+            found[np.repeat(unknown, sizes)] = self.octets[raw]
+        each = np.zeros((n, length), np.int64)
+        each[stays] = sizes
+        ends = (4 * each.sum(1).cumsum()).tolist()
+        data = found.astype(np.int32).tobytes()
+        return [data[a:b] for a, b in zip([0, *ends], ends, strict=False)]
 
 
 def _queued(word: str, scores: dict[str, float], draws: bytes, limit: int) -> list[str]:
-    """The agenda as a priority queue: for long words."""
+    """The agenda of one word as a priority queue: for long words, and the measure of :class:`Merger`."""
     n = len(word)
     ends, before, after = list(range(1, n + 1)), list(range(-1, n - 1)), list(range(1, n + 1))
     agenda = []
@@ -157,42 +245,78 @@ class Coder:
         self.model, self.limit, self.seed = model, round(dropout * 256), seed
         self.variants = variants if dropout > 0 else 1
         self.keys = [f"{seed}/{v}".encode() for v in range(self.variants)]
-        self.known: list[dict[str, bytes]] = [{} for _ in range(self.variants)]
-
-    def _word(self, variant: int, word: str) -> bytes:
-        draws = blake2b(word.encode(), key=self.keys[variant]).digest() if self.limit else b""
-        out = array("i", encode_word(word, self.model, draws, self.limit)).tobytes()
-        known = self.known[variant]
-        if len(known) >= REMEMBERED:
-            known.clear()
-        known[word] = out
-        return out
+        self.merger = Merger(model)
+        self.own_mark = np.array([model.bytes_from[b] for b in MARK.encode()], np.int32).tobytes()
+        self.known: list[dict[str, bytes]] = [{OWN: self.own_mark} for _ in range(self.variants)]
+
+    def _draws(self, variant: int, words: list[str]) -> bytes:
+        key = self.keys[variant]
+        return b"".join([blake2b(w.encode(), key=key).digest() for w in words]) if self.limit else b""
+
+    def _learn(self, variant: int, words: set[str]) -> None:
+        known, by_length = self.known[variant], {}
+        for w in words:
+            by_length.setdefault(len(w), []).append(w)
+        for length, same in by_length.items():
+            if length > SHORT:
+                known.update((w, np.array(encode_word(w, self.model, self._draws(variant, [w]), self.limit), np.int32).tobytes()) for w in same)
+                continue
+            for k in range(0, len(same), ROWS):
+                some = same[k : k + ROWS]
+                known.update(zip(some, self.merger.encode(some, self._draws(variant, some), self.limit), strict=True))
+
+    def _words(self, text: str, doc: int) -> tuple[list[str], list[int]]:
+        """Words of a text and their variants. A text's own marks part it and go to bytes."""
+        words, chosen = [], []
+        for i, part in enumerate(text.split(MARK)):
+            some = _WORDS.findall(part.replace(" ", MARK) if i else MARK + part.replace(" ", MARK))
+            if i:
+                words.append(OWN)
+                chosen.append(0)
+            words += some
+            chosen += variants_of(self.seed, doc, len(some), self.variants) if self.variants > 1 else [0] * len(some)
+        return words, chosen
+
+    def encode_all(self, texts: list[str], docs: list[int]) -> list[np.ndarray]:
+        """Piece ids of each text; its number in ``docs`` chooses the variants of its words."""
+        for known in self.known:
+            if len(known) >= REMEMBERED:
+                known.clear()
+                known[OWN] = self.own_mark
+        held = [self._words(t, d) if t else ([], []) for t, d in zip(texts, docs, strict=True)]
+        known = self.known
+        found = [[known[v].get(w) for w, v in zip(*x, strict=True)] for x in held]
+        new: list[set[str]] = [set() for _ in known]
+        for x, parts in zip(held, found, strict=True):
+            for w, v, p in zip(*x, parts, strict=True):
+                if p is None:
+                    new[v].add(w)
+        for v, words in enumerate(new):
+            self._learn(v, words)
+        for x, parts in zip(held, found, strict=True):
+            if None in parts:
+                parts[:] = [known[v][w] if p is None else p for w, v, p in zip(*x, parts, strict=True)]
+        return [np.frombuffer(b"".join(parts), np.int32) for parts in found]
 
     def encode(self, text: str, doc: int = 0) -> np.ndarray:
-        """Piece ids of a text; ``doc`` chooses the variants of its words."""
-        if not text:
-            return np.zeros(0, np.int32)
-        if MARK in text:  # its own marks go to bytes, part by part
-            parts = (MARK + text).replace(" ", "\n\0\n").split(MARK)[1:]
-            mark = np.array([self.model.bytes_from[b] for b in MARK.encode()], np.int32)
-            out = [x for i, p in enumerate(parts) for x in ([mark] if i else []) + [self._plain((MARK if not i else "") + p.replace("\n\0\n", MARK), doc)]]
-            return np.concatenate(out)
-        return self._plain(MARK + text.replace(" ", MARK), doc)
-
-    def _plain(self, text: str, doc: int) -> np.ndarray:
-        words = _WORDS.findall(text)
-        known, word = self.known, self._word
-        if self.variants == 1:
-            get = known[0].get
-            return np.frombuffer(b"".join([get(w) or word(0, w) for w in words]), np.int32)
-        chosen = variants_of(self.seed, doc, len(words), self.variants)
-        return np.frombuffer(b"".join([known[v].get(w) or word(v, w) for v, w in zip(chosen, words, strict=True)]), np.int32)
+        """Piece ids of one text."""
+        return self.encode_all([text], [doc])[0]
+
+
+def together(texts: list[str | None], most: int = TOGETHER) -> list[tuple[int, int]]:
+    """Runs of texts that hold ``most`` characters at most, or one text."""
+    cuts, size = [0], 0
+    for i, t in enumerate(texts):
+        size += len(t or "")
+        if size > most and i > cuts[-1]:
+            cuts.append(i)
+            size = len(t or "")
+    return list(zip(cuts, [*cuts[1:], len(texts)], strict=True))
 
 
 def decode(ids, model: Model) -> str:
     """The text of piece ids, whatever segmentation they are."""
-    raw = model.raw
-    return b"".join([raw[i] for i in ids])[1:].decode("utf-8", "replace")
+    return b"".join(map(model.raw.__getitem__, ids))[1:].decode("utf-8", "replace")
 
 
 _coders: dict[tuple, Coder] = {}
@@ -209,11 +333,10 @@ def encode(docs: DataFrame, model_path: str = MODEL, dropout: float = DROPOUT, s
         key = (model_path, dropout, seed, variants)
         coder = _coders.get(key) or _coders.setdefault(key, Coder(model.value, dropout, seed, variants))
         for batch in batches:
-            found, same = [], []
-            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                ids = None if text is None else coder.encode(text, doc or 0)
-                found.append(ids)
-                same.append(ids is None or decode(ids.tolist(), coder.model) == text)
+            numbers, texts = [d or 0 for d in batch.column(0).to_pylist()], batch.column(1).to_pylist()
+            found = [x for a, b in together(texts) for x in coder.encode_all([t or "" for t in texts[a:b]], numbers[a:b])]
+            found = [None if t is None else x for t, x in zip(texts, found, strict=True)]
+            same = [t is None or decode(x.tolist(), coder.model) == t for t, x in zip(texts, found, strict=True)]
             lengths = [0 if x is None else len(x) for x in found]
             flat = np.concatenate([x for x in found if x is not None] or [np.zeros(0, np.int32)])
             offsets = pa.array([None if x is None else o for x, o in zip(found, np.cumsum([0, *lengths])[:-1].tolist(), strict=True)] + [len(flat)], pa.int32())

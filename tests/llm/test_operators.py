@@ -319,12 +319,34 @@ def test_packing(docs, odd, none):
 # ------------------------------------------------------------------ 6: pieces
 
 
+def test_pieces_many_at_a_time():
+    """Batches of words agree with the priority queue, word by word, whatever is dropped."""
+    model, rng = pieces.load(), random.Random(4)
+    merger = pieces.Merger(model)
+    for length in (1, 2, 3, 7, 20, 64):
+        words = [pieces.MARK + "".join(rng.choice("aeinrst" if i % 2 else "anéßяж漢𝄞7.") for _ in range(length - 1)) for i in range(300)]
+        for limit in (0, 26, 200):
+            draws = rng.randbytes(64 * len(words))
+            want = [pieces.encode_word(w, model, draws[64 * i : 64 * i + 64], limit) for i, w in enumerate(words)]
+            assert [np.frombuffer(x, np.int32).tolist() for x in merger.encode(words, draws, limit)] == want
+
+
+def test_pieces_in_groups(monkeypatch):
+    """Groups of texts, and a memory that starts anew, change no result."""
+    model, texts = pieces.load(), [f"word{i % 7} some{i} text" for i in range(50)]
+    want = [x.tolist() for x in pieces.Coder(model).encode_all(texts, list(range(50)))]
+    monkeypatch.setattr(pieces, "REMEMBERED", 3)
+    coder = pieces.Coder(model)
+    assert [coder.encode(t, i).tolist() for i, t in enumerate(texts)] == want
+    assert pieces.together(["abc", None, "d" * 9, "e", "f"], 4) == [(0, 2), (2, 3), (3, 5)] and pieces.together([]) == [(0, 0)]
+
+
 def test_pieces(docs, odd, none):
     import sentencepiece
 
     model, lib = pieces.load(), sentencepiece.SentencePieceProcessor(model_file=pieces.MODEL)
     plain, first, again, other = pieces.Coder(model, 0), pieces.Coder(model, 0.2, 1), pieces.Coder(model, 0.2, 1), pieces.Coder(model, 0.2, 2)
-    texts = ["", " ", "a  b", "\n\n x", "▁a▁ b▁", "𝄞é", "x" * 500] + [r.text for r in docs.limit(60).collect()]
+    texts = ["", " ", "a  b", "\n\n x", "▁a▁ b▁", "\n\0\n▁", "𝄞é", "x" * 500] + [r.text for r in docs.limit(60).collect()]
     varied = 0
     for i, t in enumerate(texts):
         if pieces.MARK not in t:
@@ -340,14 +362,6 @@ def test_pieces(docs, odd, none):
     assert pieces.encode(none).count() == 0
 
 
-def test_list_and_queue_merge_alike():
-    model = pieces.load()
-    for w in ["▁thonenerly", "aaaaaaab", "▁▁▁▁▁x", "internationalisation", "é" * 9]:
-        for limit in (0, 60, 200):
-            draws = hashlib.blake2b(w.encode()).digest()
-            assert pieces._scanned(w, model.scores, draws, limit) == pieces._queued(w, model.scores, draws, limit)
-
-
 # -------------------------------------------------------------------- 7: html
 
 
