@@ -21,19 +21,22 @@ KEY = "netprop"
 ROUNDS = 20
 
 _OCTET = r"(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)"
+_QUAD = rf"{_OCTET}(?:\.{_OCTET}){{3}}"
+_HEXTET = "[0-9a-fA-F]{1,4}"
 _TITLE_M = r"Mr|Herr|Monsieur|Señor|Sr|Don|Sir|Господин|Κύριος"
 _TITLE_F = r"Mrs|Ms|Miss|Frau|Madame|Mme|Mlle|Señora|Señorita|Sra|Srta|Doña|Lady|Госпожа|Κυρία"
 _TITLE_N = r"Dr|Prof|Professor"
 _NAME = r"[\p{Lu}][\p{Ll}\p{Mn}'’-]{1,40}"
 
 #: Type and pattern, in the order in which they are tried at a place. Each opens with a check of
-#: the next characters that fails fast, and looks behind only after it; no repetition is unbounded.
+#: the next characters that fails fast, and looks behind only after it; repetitions without a bound are possessive.
 PATTERNS: tuple[tuple[str, str], ...] = (
     ("email", r"(?=[A-Za-z0-9._%+-]{1,64}@)(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}@(?:[A-Za-z0-9-]{1,63}\.){1,8}[A-Za-z]{2,24}"),
-    ("secret", r"(?=[A-Za-z0-9_+/.-]{16})(?<=[=:\s\"'])(?<=\b(?i:token|secret|password|passwd|api[_-]?key|access[_-]?key|auth[_-]?key)\s{0,2}[=:]\s{0,2}[\"']?)[A-Za-z0-9_+/.-]{16,200}"),
-    ("secret", r"(?=[0-9a-fA-F]{32})(?<![0-9A-Za-z_])(?=[a-fA-F]{0,40}[0-9])(?=[0-9]{0,40}[a-fA-F])[0-9a-fA-F]{32,128}(?![0-9A-Za-z_])"),
+    ("secret", r"(?=[A-Za-z0-9_+/.-]{16})(?<=[=:\s\"'])(?<=\b(?i:token|secret|password|passwd|api[_-]?key|access[_-]?key|auth[_-]?key)\s{0,2}[=:]\s{0,2}[\"']?)[A-Za-z0-9_+/.-]{16,}+"),
+    ("secret", r"(?=[0-9a-fA-F]{32})(?<![0-9A-Za-z_])(?=[a-fA-F]*+[0-9])(?=[0-9]*+[a-fA-F])[0-9a-fA-F]{32,}+(?![0-9A-Za-z_])"),
     ("iban", r"(?=[A-Z]{2}[0-9]{2})(?<![0-9A-Za-z_])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![0-9A-Za-z_])"),
-    ("ipv6", r"(?=[0-9a-fA-F]{1,4}:[0-9a-fA-F])(?<![\w:])(?:[0-9a-fA-F]{1,4}:){7}[0-9a-fA-F]{1,4}(?![\w:])"),
+    ("ipv6", rf"(?=[0-9a-fA-F]{{1,4}}:[0-9a-fA-F])(?<![\w:])(?:{_HEXTET}:){{6}}(?:{_QUAD}(?!\.?[0-9])|{_HEXTET}:{_HEXTET})(?![\w:])"),
+    ("ipv6", rf"(?=[0-9a-fA-F]{{0,4}}:[0-9a-fA-F:])(?<![\w:])(?:{_HEXTET}(?::{_HEXTET}){{0,6}}::|::(?=[0-9a-fA-F]))(?:(?:{_HEXTET}:){{0,5}}{_QUAD}(?!\.?[0-9])|{_HEXTET}(?::{_HEXTET}){{0,6}})?(?![\w:])"),
     ("ip", rf"(?=[0-9]{{1,3}}\.[0-9])(?<![0-9.]){_OCTET}(?:\.{_OCTET}){{3}}(?!\.?[0-9])"),
     ("phone", r"\+(?<![\w+]\+)[0-9]{1,3}[ .-]?(?:\([0-9]{1,4}\)|[0-9]{1,4})(?:[ .-]?[0-9]{2,4}){2,4}(?![0-9])"),
     ("phone", r"\((?<!\w\()[0-9]{3}\) ?[0-9]{3}[ .-][0-9]{4}(?![0-9])"),
@@ -43,7 +46,7 @@ PATTERNS: tuple[tuple[str, str], ...] = (
     ("name", rf"(?=\p{{Lu}})(?<= )(?<=\b(?:{_TITLE_M}|{_TITLE_F}|{_TITLE_N})\.?[ ]){_NAME}(?: {_NAME})?"),
 )
 #: A text without any of this holds no entity; it is passed on as it is.
-HINT = rf"[@0-9]|(?=[A-ZГΚ])\b(?:{_TITLE_M}|{_TITLE_F}|{_TITLE_N})\b"
+HINT = rf"[@0-9]|::|(?=[A-ZГΚ])\b(?:{_TITLE_M}|{_TITLE_F}|{_TITLE_N})\b"
 ANY = "|".join(f"(?:{p})" for _, p in PATTERNS)
 
 # Syllables of surrogate names by script and gender: a name is two syllables and an ending.
@@ -79,11 +82,12 @@ def compact(entity: Column) -> Column:
 def kind_of(entity: Column, title: Column | None = None) -> Column:
     """Type of a string that the combined pattern found; null where it is none after all (a number that fails its check)."""
     plain = compact(entity)
-    hexed = plain.rlike("^(?=.*[0-9])(?=.*[A-Fa-f])[0-9A-Fa-f]{32,128}$")
+    hexed = plain.rlike("^(?=.*[0-9])(?=.*[A-Fa-f])[0-9A-Fa-f]{32,}$")
+    groups = F.size(F.filter(F.split(entity, ":"), lambda g: g != "")) + entity.contains(".").cast("int")
     return (
         F.when(entity.contains("@"), "email")
         .when(entity.rlike(rf"^{_NAME}(?: {_NAME})?$") & ~entity.rlike("[0-9]"), "name")
-        .when(entity.rlike("^(?:[0-9a-fA-F]{1,4}:){7}[0-9a-fA-F]{1,4}$"), "ipv6")
+        .when(entity.rlike(r"^[0-9a-fA-F]*:[0-9a-fA-F]*:[0-9a-fA-F:.]*$"), F.when(groups <= F.when(entity.contains("::"), 7).otherwise(8), "ipv6"))
         .when(entity.rlike(rf"^{_OCTET}(?:\.{_OCTET}){{3}}$"), "ip")
         .when(entity.rlike(r"^\d{3}-\d{2}-\d{4}$"), "ssn")
         .when(entity.rlike(r"^\+|^\(\d{3}\)|^\d{3}[.-]\d{3}[.-]\d{4}$"), "phone")
@@ -94,10 +98,22 @@ def kind_of(entity: Column, title: Column | None = None) -> Column:
     )
 
 
+def hextets(entity: Column) -> Column:
+    """An IPv6 address as eight groups of four lower-case digits: zeros that ``::`` leaves out are put in, a dotted end becomes two groups."""
+    octets = F.split(F.regexp_extract(entity, r"[0-9.]+$", 0), r"\.")
+    two = lambda i: F.lpad(F.hex(F.coalesce(F.get(octets, F.lit(i)).try_cast("int"), F.lit(0))), 2, "0")
+    dotted = F.concat(F.regexp_replace(entity, r"[0-9.]+$", ""), two(0), two(1), F.lit(":"), two(2), two(3))
+    whole = F.when(entity.contains("."), dotted).otherwise(entity)
+    part = lambda side: F.filter(F.split(side, ":"), lambda g: g != "")
+    head, tail = part(F.substring_index(whole, "::", 1)), part(F.when(whole.contains("::"), F.substring_index(whole, "::", -1)).otherwise(""))
+    zeros = F.array_repeat(F.lit("0"), F.greatest(F.lit(8) - F.size(head) - F.size(tail), F.lit(0)))
+    return F.lower(F.array_join(F.transform(F.concat(head, zeros, tail), lambda g: F.lpad(g, 4, "0")), ":"))
+
+
 def canonical(kind: Column, entity: Column) -> Column:
     """One form for all spellings of an entity."""
-    hexed = compact(entity).rlike("^[0-9A-Fa-f]{32,128}$")
-    return F.when(kind.isin("email", "ipv6", "name"), F.lower(entity)).when(kind.isin("phone", "card", "iban", "ssn"), compact(entity)).when((kind == "secret") & hexed, F.lower(entity)).otherwise(entity)
+    hexed = compact(entity).rlike("^[0-9A-Fa-f]{32,}$")
+    return F.when(kind == "ipv6", hextets(entity)).when(kind.isin("email", "name"), F.lower(entity)).when(kind.isin("phone", "card", "iban", "ssn"), compact(entity)).when((kind == "secret") & hexed, F.lower(entity)).otherwise(entity)
 
 
 def _fresh(source: Column, stream: Column, letters: str = "letters") -> Column:
@@ -139,7 +155,7 @@ def surrogate(kind: Column, form: Column, gender: Column, key: str, attempt: Col
     card = F.concat(card, ((F.lit(10) - luhn_sum(F.concat(card, F.lit("0")))) % 10).cast("string"))
     country, rest = F.substring(form, 1, 2), F.substring(digits, 5, 64)
     iban = F.concat(country, F.lpad((F.lit(98) - mod97(F.concat(rest, country, F.lit("00")))).cast("string"), 2, "0"), rest)
-    secret = F.when(form.rlike("^[0-9a-f]{32,128}$"), _fresh(form, h, "hex")).otherwise(digits)
+    secret = F.when(form.rlike("^[0-9a-f]{32,}$"), _fresh(form, h, "hex")).otherwise(digits)
     words = F.split(form, " ")
     pair = F.concat_ws(" ", _name_part(F.element_at(words, 1), True, gender, key, attempt), _name_part(F.element_at(words, -1), False, gender, key, F.lit(0)))
     name = F.when(F.size(words) > 1, pair).otherwise(_name_part(form, False, gender, key, F.lit(0)))

@@ -208,6 +208,26 @@ def test_every_given_address_goes(docs):
     assert n > 5
 
 
+def test_long_secrets_and_short_addresses(spark):
+    """A secret goes to its last character; addresses with zeros left out go, and all spellings of one are one."""
+    rng = random.Random(7)
+    word = lambda n: "".join(rng.choice("ABCxyz019-_.") for _ in range(n - 1)) + "q"
+    secrets = [word(300), word(5000), "ab12" * 50, "0f" * 2500]
+    v6 = ["2001:db8::8a2e:370:7334", "2001:0DB8:0:0:0:8A2E:0370:7334", "fe80::", "::1", "::ffff:192.0.2.128", "::ffff:c000:280", "dead::beef", "1:2:3:4:5:6:7:8"]
+    kept = ["std::vector a :: b 12:30:45 1::2::3 x::", "at 10:20 :: end"]
+    rows = [(0, f'token = "{secrets[0]}" end', "x"), (1, f"password: {secrets[1]} end", "x"), (2, f"sum {secrets[2]} end", "x"), (3, f"sum {secrets[3]} end", "x")]
+    rows += [(10 + i, f"host {a}, end", "x") for i, a in enumerate(v6)] + [(30 + i, t, "x") for i, t in enumerate(kept)]
+    out = {r.doc_id: r for r in pii.replace(spark.createDataFrame(rows, DOCS)).collect()}
+    for i, s in enumerate(secrets):
+        assert out[i].n_entities == 1 and out[i].text.endswith(" end") and not any(s[k : k + 12] in out[i].text for k in range(0, len(s) - 12, 12))
+    import ipaddress
+
+    made = [re.fullmatch("host (.*), end", out[10 + i].text)[1] for i in range(len(v6))]
+    assert all(out[10 + i].n_entities == 1 and ipaddress.ip_address(m.lower()) not in map(ipaddress.ip_address, v6) for i, m in enumerate(made))
+    assert len({ipaddress.ip_address(m.lower()) for m in made}) == 6 == len(set(map(ipaddress.ip_address, v6)))
+    assert [out[30 + i].text for i in range(len(kept))] == kept
+
+
 # ------------------------------------------------------------------- 4: quality
 
 
