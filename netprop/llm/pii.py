@@ -7,12 +7,15 @@ one), and the pieces are joined again. Nothing is shuffled for that.
 
 Collision checks run over the distinct entities of all documents: where two of
 them would share a surrogate, or a surrogate is itself a real entity, all but the
-first are hashed anew with a higher attempt until all differ. The few entities
-with a raised attempt travel to the documents that hold them.
+first are hashed anew with a higher attempt until all differ. Family names are
+entities of their own, shared by all names that hold them. The few entities with a
+raised attempt travel to the documents that hold them.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, functions as F
 
 from netprop.llm import common
@@ -127,14 +130,18 @@ def _fresh(source: Column, stream: Column, letters: str = "letters") -> Column:
 
 
 def _name_part(word: Column, given: bool, gender: Column, key: str, attempt: Column) -> Column:
-    """Surrogate of one lower-case name word: syllables by script, ending by gender or as a family name."""
+    """Surrogate of one lower-case name word: syllables by script, ending by gender or as a family name.
+
+    Higher attempts have more syllables, so that there are more surrogates than names.
+    """
 
     def build(script: str) -> Column:
         syllables, male, female, family = _SYLLABLES[script]
         h = _digest(key, "given" if given else "family", word, attempt.cast("string"))
         draw = lambda k, n: (F.conv(F.substring(h, 1 + 6 * k, 6), 16, 10).cast("int") % n) + 1
         pick = lambda options, k: F.element_at(F.array(*map(F.lit, options)), draw(k, len(options)).cast("int"))
-        stem = F.concat(pick(syllables, 0), pick(syllables, 1), pick(syllables, 2))
+        more = lambda upto, k: F.when(attempt >= upto, F.concat(pick(syllables, k), pick(syllables, k + 1))).otherwise("")
+        stem = F.concat(pick(syllables, 0), pick(syllables, 1), pick(syllables, 2), more(2, 4), more(5, 6))
         ending = pick(family.split(), 3) if not given else F.when(gender == "f", pick(female.split(), 3)).otherwise(pick(male.split(), 3))
         return F.concat(stem, ending)
 
@@ -142,7 +149,7 @@ def _name_part(word: Column, given: bool, gender: Column, key: str, attempt: Col
 
 
 def surrogate(kind: Column, form: Column, gender: Column, key: str, attempt: Column) -> Column:
-    """Canonical surrogate of a canonical entity. Equal inputs give equal results everywhere."""
+    """Canonical surrogate of a canonical entity that is no name. Equal inputs give equal results everywhere."""
     h = _digest(key, kind, form, attempt.cast("string"))
     number = lambda k, n: F.conv(F.substring(h, 1 + 6 * k, 6), 16, 10).cast("int") % n
     local, domain = F.substring_index(form, "@", 1), F.substring_index(form, "@", -1)
@@ -156,16 +163,24 @@ def surrogate(kind: Column, form: Column, gender: Column, key: str, attempt: Col
     country, rest = F.substring(form, 1, 2), F.substring(digits, 5, 64)
     iban = F.concat(country, F.lpad((F.lit(98) - mod97(F.concat(rest, country, F.lit("00")))).cast("string"), 2, "0"), rest)
     secret = F.when(form.rlike("^[0-9a-f]{32,}$"), _fresh(form, h, "hex")).otherwise(digits)
-    words = F.split(form, " ")
-    pair = F.concat_ws(" ", _name_part(F.element_at(words, 1), True, gender, key, attempt), _name_part(F.element_at(words, -1), False, gender, key, F.lit(0)))
-    name = F.when(F.size(words) > 1, pair).otherwise(_name_part(form, False, gender, key, F.lit(0)))
     phone = F.concat(F.substring(form, 1, 1), F.translate(F.substring(digits, 2, 1), "01", "57"), F.substring(digits, 3, 64))
     return (
         F.when(kind == "email", email).when(kind == "ip", ip).when(kind == "ipv6", F.concat(F.lit("fd"), F.substring(_fresh(F.regexp_replace(form, "^[0-9a-f]+", "0000"), h, "hex"), 3, 64)))
-        .when(kind == "ssn", F.concat(F.lit("9"), F.substring(digits, 2, 8))).when(kind == "phone", phone).when(kind == "card", card).when(kind == "iban", iban).when(kind == "name", name).otherwise(secret)
+        .when(kind == "ssn", F.concat(F.lit("9"), F.substring(digits, 2, 8))).when(kind == "phone", phone).when(kind == "card", card).when(kind == "iban", iban).otherwise(secret)
     )
 
 
+def family_of(form: Column) -> Column:
+    """The word of a name that is the family name: the last, or the only one."""
+    return F.substring_index(form, " ", -1)
+
+
+def full_name(form: Column, gender: Column, key: str, attempt: Column, family: Column) -> Column:
+    """Surrogate of a name: ``family`` is the surrogate of its family name, before which a given name is put where the name has one."""
+    given = _name_part(F.substring_index(form, " ", 1), True, gender, key, attempt)
+    return F.when(form.contains(" "), F.concat_ws(" ", given, family)).otherwise(family)
+
+
 def dressed(kind: Column, entity: Column, made: Column) -> Column:
     """A canonical surrogate in the format of the entity: punctuation, grouping and capitals."""
     plain = F.filter(F.split(entity, ""), lambda c: c != "")
@@ -199,32 +214,47 @@ def marked(docs: DataFrame, text_col: str) -> DataFrame:
 
 
 def distinct_entities(cut: DataFrame) -> DataFrame:
-    """``(kind, form, gender)`` of all entities; the gender of a form is that of any title it has had."""
+    """``(kind, form, gender, mixed)`` of all entities; the gender of a form is that of any title it has had, ``mixed`` where it has had several."""
     each = cut.select(F.explode_outer("_found").alias("e"))  # an inner explode would add a filter that finds all entities once more
     rows = each.where("e.kind is not null").select("e.kind", "e.form", "e.gender")
-    return rows.groupBy("kind", "form").agg(F.min("gender").alias("gender"))
+    return rows.groupBy("kind", "form").agg(F.min("gender").alias("gender"), (F.min("gender") != F.max("gender")).alias("mixed"))
 
 
 def settle(found: DataFrame, key: str = KEY, rounds: int = ROUNDS) -> DataFrame:
-    """``(kind, form, gender, attempt, made)`` with distinct ``made`` per kind, none a real ``form`` of that kind.
+    """``(kind, form, gender, mixed, attempt, made)`` with distinct ``made`` per kind, none a real ``form`` of that kind.
 
-    Names of one word are family names shared by relatives and keep attempt 0, so
-    that they agree with the family name in a full name.
+    Family names are entities of their own (kind ``family``, one row per word): they
+    are settled first, and names of two words take the surrogate settled for theirs.
     """
-    now = common.checkpointed(found.withColumn("attempt", F.lit(0)).withColumn("made", surrogate(F.col("kind"), F.col("form"), F.col("gender"), key, F.lit(0))))
-    real = now.select("kind", F.col("form").alias("made"), F.lit(True).alias("real"))
+    found = common.checkpointed(found)
+    names = found.where("kind = 'name'")
+    families = names.select(F.lit("family").alias("kind"), family_of(F.col("form")).alias("form"), F.lit("n").alias("gender"), F.lit(False).alias("mixed")).distinct()
+
+    def word_or_number(attempt: Column) -> Column:
+        kind, form, gender = F.col("kind"), F.col("form"), F.col("gender")
+        return F.when(kind == "family", _name_part(form, False, gender, key, attempt)).otherwise(surrogate(kind, form, gender, key, attempt))
+
+    out = _settled(found.where("kind <> 'name'").unionByName(families), word_or_number, rounds)
+    full = names.where(F.col("form").contains(" ")).withColumn("word", family_of(F.col("form")))
+    full = full.join(out.where("kind = 'family'").select(F.col("form").alias("word"), F.col("made").alias("family")), "word").drop("word")
+    named = _settled(full, lambda attempt: full_name(F.col("form"), F.col("gender"), key, attempt, F.col("family")), rounds)
+    return out.unionByName(named.drop("family"))
+
+
+def _settled(found: DataFrame, make: Callable[[Column], Column], rounds: int) -> DataFrame:
+    """``found`` with ``attempt`` and ``made``, raised until no two ``made`` of a kind are equal and none is a ``form``."""
     from pyspark.sql.window import Window
 
+    now = common.checkpointed(found.withColumn("attempt", F.lit(0)).withColumn("made", make(F.lit(0))))
+    real = now.select("kind", F.col("form").alias("made"), F.lit(True).alias("real"))
     for _ in range(rounds):
         order = Window.partitionBy("kind", "made").orderBy("attempt", "form")
         judged = now.join(real, ["kind", "made"], "left").withColumn("at", F.row_number().over(order))
-        fixed = (F.col("kind") == "name") & ~F.col("form").contains(" ")
-        judged = judged.withColumn("again", (F.coalesce("real", F.lit(False)) | (F.col("at") > 1)) & ~fixed)
-        judged = common.checkpointed(judged.select("kind", "form", "gender", (F.col("attempt") + F.col("again").cast("int")).alias("attempt"), "made", "again"))
+        judged = judged.withColumn("again", F.coalesce("real", F.lit(False)) | (F.col("at") > 1))
+        judged = common.checkpointed(judged.select(*found.columns, (F.col("attempt") + F.col("again").cast("int")).alias("attempt"), "made", "again"))
         if common.is_empty(judged.where("again")):
             return judged.drop("again")
-        remade = F.when(F.col("again"), surrogate(F.col("kind"), F.col("form"), F.col("gender"), key, F.col("attempt"))).otherwise(F.col("made"))
-        now = judged.withColumn("made", remade).drop("again")
+        now = judged.withColumn("made", F.when(F.col("again"), make(F.col("attempt"))).otherwise(F.col("made"))).drop("again")
     raise RuntimeError("surrogates still collide")
 
 
@@ -236,18 +266,27 @@ def replace(docs: DataFrame, key: str = KEY, id_col: str = "doc_id", text_col: s
     """
     cut = marked(docs, text_col)
     settled = settle(distinct_entities(cut), key)
-    raised = common.checkpointed(settled.where("attempt > 0").select("kind", "form", "attempt"))
-    attempts = F.lit(None).cast("map<string,int>")
+    raised = settled.where((F.col("attempt") > 0))
+    raised = common.checkpointed(raised.select("kind", "form", "attempt", "gender"))
+    known = F.lit(None).cast("map<string,struct<attempt:int,gender:string>>")
     if not common.is_empty(raised):  # to the texts that hold them, by content
-        holds = cut.select(F.xxhash64(text_col).alias("_h"), F.sha2(F.col(text_col), 256).alias("_s"), F.explode("_found").alias("e"))
+        needs = lambda e: F.array(F.struct(e.kind.alias("kind"), e.form.alias("form")), F.struct(F.when(e.kind == "name", "family").alias("kind"), family_of(e.form).alias("form")))
+        holds = cut.select(F.xxhash64(text_col).alias("_h"), F.sha2(F.col(text_col), 256).alias("_s"), F.explode(F.flatten(F.transform("_found", needs))).alias("e"))
         holds = holds.select("_h", "_s", "e.kind", "e.form").join(raised, ["kind", "form"])
-        holds = holds.select("_h", "_s", F.struct(F.concat_ws("\x1f", "kind", "form"), "attempt").alias("p")).groupBy("_h", "_s").agg(F.map_from_entries(F.collect_set("p")).alias("_up"))
+        holds = holds.select("_h", "_s", F.struct(F.concat_ws("\x1f", "kind", "form"), F.struct("attempt", "gender")).alias("p")).groupBy("_h", "_s").agg(F.map_from_entries(F.collect_set("p")).alias("_up"))
         cut = cut.withColumn("_h", F.xxhash64(text_col)).withColumn("_s", F.sha2(F.col(text_col), 256)).join(holds, ["_h", "_s"], "left").drop("_h", "_s")
-        attempts = F.col("_up")
+        known = F.col("_up")
+
+    def settled_as(kind: Column | str, form: Column) -> Column:
+        return F.element_at(known, F.concat_ws("\x1f", F.lit(kind) if isinstance(kind, str) else kind, form))
 
     def put(e: Column) -> Column:
-        up = F.coalesce(F.element_at(attempts, F.concat_ws("\x1f", e.kind, e.form)), F.lit(0))
-        return F.when(e.kind.isNull(), e.entity).otherwise(dressed(e.kind, e.entity, surrogate(e.kind, e.form, e.gender, key, up)))
+        own = settled_as(e.kind, e.form)
+        up, gender = F.coalesce(own["attempt"], F.lit(0)), e.gender
+        word = family_of(e.form)
+        family = _name_part(word, False, gender, key, F.coalesce(settled_as("family", word)["attempt"], F.lit(0)))
+        made = F.when(e.kind == "name", full_name(e.form, gender, key, up, family)).otherwise(surrogate(e.kind, e.form, e.gender, key, up))
+        return F.when(e.kind.isNull(), e.entity).otherwise(dressed(e.kind, e.entity, made))
 
     n = F.size(F.filter("_found", lambda e: e.kind.isNotNull()))
     joined = F.concat(F.array_join(F.zip_with(F.slice("_gaps", F.lit(1), F.size("_found")), F.col("_found"), lambda gap, e: F.concat(gap, put(e))), ""), F.element_at("_gaps", -1))

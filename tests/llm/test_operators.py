@@ -228,6 +228,22 @@ def test_long_secrets_and_short_addresses(spark):
     assert [out[30 + i].text for i in range(len(kept))] == kept
 
 
+def test_family_names_stay_apart(spark, monkeypatch):
+    """Family names whose first surrogates collide, or are real names, are settled, the same alone and in full names."""
+    real = pii._name_part
+
+    def poor(word, given, gender, key, attempt):
+        made = real(word, given, gender, key, attempt)
+        return made if given else F.when((attempt == 0) & word.isin("smith", "jones"), F.lit("same")).when((attempt == 0) & (word == "brown"), F.lit("stone")).otherwise(made)
+
+    monkeypatch.setattr(pii, "_name_part", poor)
+    rows = [(1, "Mr. Smith and Mr. Jones and Mr. Brown", "x"), (2, "Mrs. Anna Smith, Mrs. Anna Jones", "x"), (3, "Mr. Stone", "x"), (4, "Mr. Jones", "x")]
+    out = {r.doc_id: [x.split()[-1] for x in re.findall(r"Mrs?\. (\w+(?: \w+)?)(?=,| and|$)", r.text)] for r in pii.replace(spark.createDataFrame(rows, DOCS)).collect()}
+    smith, jones, brown = out[1]
+    assert len({smith, jones, brown, *out[3]}) == 4 and "Stone" not in (smith, jones, brown)
+    assert out[2] == [smith, jones] and out[4] == [jones]
+
+
 # ------------------------------------------------------------------- 4: quality
 
 
