@@ -9,7 +9,8 @@ Collision checks run over the distinct entities of all documents: where two of
 them would share a surrogate, or a surrogate is itself a real entity, all but the
 first are hashed anew with a higher attempt until all differ. Family names are
 entities of their own, shared by all names that hold them. The few entities with a
-raised attempt travel to the documents that hold them.
+raised attempt, or with titles of several genders, travel to the documents that hold
+them.
 """
 
 from __future__ import annotations
@@ -266,7 +267,7 @@ def replace(docs: DataFrame, key: str = KEY, id_col: str = "doc_id", text_col: s
     """
     cut = marked(docs, text_col)
     settled = settle(distinct_entities(cut), key)
-    raised = settled.where((F.col("attempt") > 0))
+    raised = settled.where((F.col("attempt") > 0) | (F.col("mixed") & F.col("form").contains(" ") & (F.col("kind") == "name")))
     raised = common.checkpointed(raised.select("kind", "form", "attempt", "gender"))
     known = F.lit(None).cast("map<string,struct<attempt:int,gender:string>>")
     if not common.is_empty(raised):  # to the texts that hold them, by content
@@ -282,7 +283,7 @@ def replace(docs: DataFrame, key: str = KEY, id_col: str = "doc_id", text_col: s
 
     def put(e: Column) -> Column:
         own = settled_as(e.kind, e.form)
-        up, gender = F.coalesce(own["attempt"], F.lit(0)), e.gender
+        up, gender = F.coalesce(own["attempt"], F.lit(0)), F.coalesce(own["gender"], e.gender)
         word = family_of(e.form)
         family = _name_part(word, False, gender, key, F.coalesce(settled_as("family", word)["attempt"], F.lit(0)))
         made = F.when(e.kind == "name", full_name(e.form, gender, key, up, family)).otherwise(surrogate(e.kind, e.form, e.gender, key, up))

@@ -244,6 +244,13 @@ def test_family_names_stay_apart(spark, monkeypatch):
     assert out[2] == [smith, jones] and out[4] == [jones]
 
 
+def test_one_name_under_two_titles(spark):
+    rows = [(1, "Mrs. Anna Smith met Dr. Anna Smith.", "x"), (2, "Dr. Anna Smith", "x"), (3, "Dr. Otto Smith", "x")]
+    out = {r.doc_id: re.findall(r"(?:Mrs|Dr)\. (\w+ \w+)", r.text) for r in pii.replace(spark.createDataFrame(rows, DOCS)).collect()}
+    assert out[1][0] == out[1][1] == out[2][0] != out[3][0] and out[1][0].split()[0].endswith(("ria", "lina", "nette", "sea", "dra"))
+    assert out[1][0].split()[1] == out[3][0].split()[1]
+
+
 # ------------------------------------------------------------------- 4: quality
 
 
