@@ -6,8 +6,9 @@ often it stands in each page of the host. Tokens with equal vectors form an
 equivalence class. Large and frequent classes are the template: the class of
 tokens that stand once in each page is its frame, and classes that repeat within
 one element of the frame nest there as lists (menu items, paragraphs). What lies
-between template tokens are slots. The frame element that holds most of the slot
-text, the innermost such, is the article; its slots are extracted in page order.
+between template tokens are slots. The article is the one outermost <article> or
+<main> of the frame, if it holds most of the slot text, and else the innermost frame
+element that holds all of it; its slots are extracted in page order.
 
 Vectors are never built: each page adds a keyed hash of (page, count) per token,
 which is aggregated per host and token before anything travels, so a host with a
@@ -148,11 +149,22 @@ def is_section(place: str) -> bool:
     return place.rpartition("/")[2].partition(".")[0] in SECTIONS
 
 
+#: An <article> or <main> that stands in no other, by its place.
+OUTERMOST = r"^(?:/(?!(?:article|main)[./])[^/]*)*/(?:article|main)(?:\.[^/]*)?$"
+_OUTERMOST = re.compile(OUTERMOST)
+
+
+def outermost(size: dict[str, int]) -> list[str]:
+    return [p for p, n in size.items() if n and _OUTERMOST.match(p)]
+
+
 def article_of(seen: dict[str, int], size: dict[str, int]) -> str:
-    """The article's place by one page alone: the innermost section that stands once and holds most of its slot text."""
-    total = max(size.values(), default=0)
-    fit = [p for p, n in seen.items() if n == 1 and is_section(p) and size.get(p, 0) >= ARTICLE_SHARE * total]
-    return max(fit, key=lambda p: (p.count("/"), size.get(p, 0), p), default="")
+    """The article's place by one page alone: its one outermost <article> or <main> with most of the slot text, or the innermost section that stands once and holds all of it."""
+    total, named = max(size.values(), default=0), outermost(size)
+    if len(named) == 1 and seen[named[0]] == 1 and size[named[0]] >= ARTICLE_SHARE * total:
+        return named[0]
+    fit = [p for p, n in seen.items() if n == 1 and is_section(p) and size.get(p, 0) == total]
+    return max(fit, key=lambda p: (p.count("/"), p), default="")
 
 
 def host_of(url: str | None) -> str:
@@ -188,15 +200,20 @@ def templates(pages: DataFrame, support: float = SUPPORT, share: float = ARTICLE
 
 
 def articles(found: DataFrame, share: float = ARTICLE_SHARE) -> DataFrame:
-    """``(host, article)``: the innermost section of the frame that holds most of the host's slot text."""
-    frame = found.where((F.col("section")) & (F.col("once") == F.col("pages")) & (F.col("class_size") > 1) & (F.col("chars") >= share * F.col("host_chars")))
-    return frame.groupBy("host").agg(F.max(F.struct("depth", "chars", "place")).getField("place").alias("article"))
+    """``(host, article)``: the host's one outermost <article> or <main> with most of the slot text, or the innermost section of the frame that holds all of it."""
+    frame = F.col("section") & (F.col("once") == F.col("pages")) & (F.col("class_size") > 1)
+    named = F.col("place").rlike(OUTERMOST) & (F.col("chars") > 0)
+    at = F.struct("depth", "chars", "place")
+    chosen = found.groupBy("host").agg(
+        F.count(F.when(named, 1)).alias("n"), F.max(F.when(frame & named & (F.col("chars") >= share * F.col("host_chars")), at)).alias("one"), F.max(F.when(frame & (F.col("chars") == F.col("host_chars")), at)).alias("all")
+    )
+    return chosen.select("host", F.coalesce(F.when(F.col("n") == 1, F.col("one")), F.col("all"))["place"].alias("article")).where("article is not null")
 
 
 def extract_text(page: str, article: str | None) -> str:
-    """Slots of the article at ``article``; where the page has no such place, of the article by the page alone."""
+    """Slots of the article at ``article``; where the page has no such place, or other articles beside it, of the article by the page alone."""
     blocks, seen, size = parse(page)
-    if not article or article not in seen:
+    if not article or article not in seen or (_OUTERMOST.match(article) and (seen[article] > 1 or outermost(size) != [article])):
         article = article_of(seen, size)
     inside = f"{article}/"
     return "\n\n".join(t for p, t in blocks if p == article or p.startswith(inside))

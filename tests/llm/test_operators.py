@@ -429,6 +429,26 @@ def test_main_text(spark, sf):
         assert texts[r.page_id] == "\n\n".join(b for b in blocks if b)
 
 
+def test_nested_and_divided_articles(spark):
+    """Headline and lead above a deeper body stay, and so do all sections of an article, with or without <article>."""
+    body = "long text of the page " * 9
+    inner = {
+        "nested": "<article><h1>Head {0}</h1><p>lead {0}</p><div class=body><p>" + body + "{0}</p></div></article>",
+        "parts": "<article><section class=a><p>" + body + "{0}</p></section><section class=b><p>rest {0}</p></section></article>",
+        "plain": "<div class=c1><h1>Head {0}</h1><div class=c2><p>" + body + "{0}</p></div></div>",
+        "two": "<article class=x><p>" + body + "{0}</p></article><article class=y><p>more {0}</p></article>",
+    }
+    pages = [(10 * k + i, f"http://{h}.org/{i}", f"<html><body><nav>menu</nav>{x.format(i)}<footer>f</footer></body></html>") for k, (h, x) in enumerate(inner.items()) for i in range(4)]
+    pages.append((99, "http://nested.org/x", "<html><body><article><p>" + body + "</p></article><article><p>second</p></article></body></html>"))
+    got = {r.page_id: r.text.split("\n\n") for r in html.main_text(spark.createDataFrame(pages, "page_id long, url string, html string")).collect()}
+    for i in range(4):
+        assert got[i] == [f"Head {i}", f"lead {i}", f"{body}{i}"]
+        assert got[10 + i] == [f"{body}{i}", f"rest {i}"]
+        assert got[20 + i] == [f"Head {i}", f"{body}{i}"]
+        assert got[30 + i] == [f"{body}{i}", f"more {i}"]
+    assert got[99] == [body.strip(), "second"]
+
+
 # -------------------------------------------------------------------- 8: WARC
 
 
