@@ -1,19 +1,19 @@
 """Main text of web pages by equivalence-class template deduction.
 
 Pages of one host are taken to come from one template. A token is an element in
-its place (the path of its block-level ancestors); its occurrence vector says how
-often it stands in each page of the host. Tokens with equal vectors form an
-equivalence class. Large and frequent classes are the template: the class of
-tokens that stand once in each page is its frame, and classes that repeat within
-one element of the frame nest there as lists (menu items, paragraphs). What lies
-between template tokens are slots. The article is the one outermost <article> or
-<main> of the frame, if it holds most of the slot text, and else the innermost frame
-element that holds all of it; its slots are extracted in page order.
+its place (the path of its block-level ancestors); text is no token. Its occurrence
+vector says how often it stands in each page of the host, and tokens with equal
+vectors form an equivalence class. Sections that stand once in each page they are in,
+in a class of more than one token, are the frame. Classes are not checked for order,
+not nested, and no template is built. The article is the one outermost <article> or
+<main> of the frame, if it holds most of the text outside boilerplate elements, and
+else the innermost frame element that holds all of it; its text is extracted in page
+order, text that repeats over the host's pages included.
 
 Vectors are never built: each page adds a keyed hash of (page, count) per token,
 which is aggregated per host and token before anything travels, so a host with a
 third of all pages costs no more than any other. Boilerplate elements (menus,
-adverts, forms, ...) hold no slots.
+adverts, forms, ...), known by lists of element names and of words, hold no text.
 """
 
 from __future__ import annotations
