@@ -4,6 +4,7 @@ import hashlib
 import itertools
 import random
 import re
+import time
 
 import duckdb
 import numpy as np
@@ -449,6 +450,78 @@ def test_nested_and_divided_articles(spark):
     assert got[99] == [body.strip(), "second"]
 
 
+def frame(i, n, host="news.org"):
+    """A page of generated slots in a template whose element names and classes say nothing, and its article."""
+    rng = random.Random(i)
+    text = lambda k: " ".join(f"w{rng.randrange(10**6)}" for _ in range(k))
+    blocks = [text(6), *[text(rng.randrange(9, 30)) for _ in range(n)]]
+    menu = "".join(f"<div><a href=/{j}>{text(2)}</a></div>" for j in range(rng.randrange(2, 6)))
+    main = f"<div class=c1><h1>{blocks[0]}</h1>" + "".join(f"<div class=c2><p>{b}</div>" for b in blocks[1:]) + "<div class=c17>Read more on our site</div></div>"
+    return f"<html><body><div class=c0><div>Our site since 1999</div>{menu}</div>{main}<div class=c9>All rights kept</div></body></html>", blocks
+
+
+def test_template_of_a_host(spark):
+    """Text that all pages of a host share in the frame goes; what differs in the article stays, whatever the names say. Copies add nothing."""
+    made = {i: frame(i, 1 + i % 5) for i in range(24)}
+    rows = [(i, f"http://news.org/{i}", h) for i, (h, _) in made.items()] + [(100 + i, "http://news.org/again", made[3][0]) for i in range(30)]
+    one = frame(77, 3)
+    rows += [(500, "http://alone.org/", one[0])]
+    got = {r.page_id: r.text for r in html.main_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert len(got) == len(rows)
+    for i, (_, blocks) in made.items():
+        assert got[i] == "\n\n".join(blocks)
+    assert all(got[100 + i] == got[3] for i in range(30))
+    assert all(b in got[500] for b in one[1])  # a host of one page has no template, and loses nothing
+
+
+def test_copies_of_an_article_keep_it(spark):
+    rows = [(i, f"http://c.org/{i}", f"<body><nav>m{i}</nav><article><h1>Same</h1><p>{'same text ' * 20}</article><footer>{i}</footer></body>") for i in range(12)]
+    got = html.main_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    assert {r.text for r in got} == {"Same\n\n" + ("same text " * 20).strip()}
+    rows = [(i, f"http://d.org/{i}", f"<body><nav>m</nav><div><h1>Same</h1><p>{'same text ' * 20}</p><p>{i}</p></div><footer>{i}</footer></body>") for i in range(12)]
+    got = html.main_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    assert {r.text for r in got} == {f"Same\n\n{('same text ' * 20).strip()}\n\n{i}" for i in range(12)}
+
+
+def test_vectors_and_validity():
+    """Classes against occurrence vectors built in full; classes out of order or overlapping are no template."""
+    docs = [html.Page(f"<body><div class=a>x</div>{'<p>y</p>' * k}<div class=b>z{k}</div></body>") for k in range(1, 5)]
+    full: dict[int, list[int]] = {}
+    for d, page in enumerate(docs):
+        for p, n in enumerate(page.count):
+            full.setdefault(page.token[p], [0] * len(docs))[d] = n
+    assert sorted(map(tuple, full.values())) == sorted([(1, 1, 1, 1)] * 4 + [(1, 2, 3, 4)])
+    a, b = (html.Page(f"<body>{x}</body>") for x in ("<div class=a></div><div class=b></div>", "<div class=b></div><div class=a></div>"))
+    classes = {t: 7 for t in a.token[2:]}
+    assert html.walk(a, [], classes, {7: 2})[7][2] and html.walk(a, [], classes, {7: 2})[7][0] != html.walk(b, [], classes, {7: 2})[7][0]
+    lap = html.Page("<body><div class=a></div><div class=b></div><div class=c></div><div class=d></div></body>")
+    t = lap.token[2:]
+    crossed = html.walk(lap, [], {t[0]: 1, t[2]: 1, t[1]: 2, t[3]: 2}, {1: 2, 2: 2})
+    assert crossed[1][2] and not crossed[2][2]
+    nested = html.walk(lap, [], {t[0]: 1, t[3]: 1, t[1]: 2, t[2]: 2}, {1: 2, 2: 2})
+    assert nested[1][2] and nested[2][2] and nested[1][1] != nested[2][1]
+
+
+def test_hostile_pages_and_names():
+    alone = html.Template(None)
+    start = time.perf_counter()
+    deep = html.extract_text("<div>" * 5000 + "".join(f"<p>a{i}</p></b>" for i in range(500)), alone)
+    assert deep == "\n\n".join(f"a{i}" for i in range(500))
+    assert len(html.extract_text('<a "x ' * 170_000, alone)) > 1_000_000 and html.extract_text("<p>a" + "<script>" * 100_000, alone) == "a"
+    assert time.perf_counter() - start < 20
+    page = '<article>One <span class="ad">buy <span>y</span> z</span> two <script>x</script>three<p class="ad-hoc">q<p class=related-work>r <math>m</math><p class=ad>gone<header>h</header><footer>f</footer></article>'
+    assert html.extract_text(page, alone) == "One two three\n\nq\n\nr m\n\nh"
+    assert html.extract_text("<body><div class=no-sidebar><p>kept<div id=comments>c</div></div></body>", alone) == "kept"
+    assert html.extract_text("<main><div class=intro>i</div><div class=body>b</div></main>", alone) == "i\n\nb"
+
+
+def test_pages_edges(spark):
+    assert html.main_text(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
+    rows = [(1, "http://a.org/", "<p>same</p>", 5)] * 3 + [(None, None, None, 5), (2, "http://a.org/", "<p>same</p>", None)]
+    got = html.main_text(spark.createDataFrame(rows, "page_id long, url string, html string, text long")).collect()
+    assert sorted((r.page_id or 0, r.text, r.n_chars) for r in got) == [(0, "", 0), *[(1, "same", 4)] * 3, (2, "same", 4)]
+
+
 # -------------------------------------------------------------------- 8: WARC
 
 
