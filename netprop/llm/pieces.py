@@ -3,11 +3,14 @@
 Encoding starts from characters and an agenda of neighbouring pairs that form a
 piece; the best pair (highest score, then leftmost) is merged and its new
 neighbours enter the agenda. With dropout, a candidate that comes up is skipped
-for good where a keyed hash (64 draws of a byte for a word) says so, which gives
-varied segmentations, all of which decode to the same text. The hash takes the seed, the variant, the word and
-the place of the merge, and the variant of each occurrence comes from a hash of
-seed, document and position: the same input always gives the same pieces, on any
-machine, and a word has so few segmentations that they can be remembered.
+for good where a keyed hash says so, which gives varied segmentations, all of which
+decode to the same text. The hash takes the seed, the document, the position of the
+word in it and the place of the merge: every occurrence draws for itself, and the same
+input always gives the same pieces, on any machine.
+
+What is remembered depends on no draw: for each word a tree of the candidates that
+come up after each outcome of those before, and the pieces at its ends. Occurrences
+walk the trees together, and only outcomes not met before are merged.
 
 Pieces hold the space mark only in front (checked when a model is loaded), so
 merges never reach across the start of a word and words are encoded alone.
@@ -18,17 +21,16 @@ from __future__ import annotations
 import heapq
 import re
 from dataclasses import dataclass
-from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
-#: Share of candidate merges skipped (in steps of 1/256), and segmentations that a word has at most.
-DROPOUT, VARIANTS = 0.1, 4
-#: Words that a worker remembers, for each variant, before it starts anew.
-REMEMBERED = 250_000
+#: Share of candidate merges skipped, in steps of 2^-32.
+DROPOUT = 0.1
+#: Nodes of trees, and pieces at their ends, that a worker remembers before it starts anew.
+REMEMBERED = 3_000_000
 
 #: Words of up to so many characters are merged many at a time.
 SHORT = 64
@@ -70,10 +72,36 @@ def load(path: str = MODEL) -> Model:
     return Model({p: i for i, p, _ in normal}, {p: s for _, p, s in normal}, [octets[b] for b in range(256)], raw)
 
 
-def encode_word(word: str, model: Model, draws: bytes = b"", limit: int = 0) -> list[int]:
-    """Pieces of one word. The merge of word[a:b] is dropped when it comes up if its draw is below ``limit``."""
+_STEP = 0x9E3779B97F4A7C15
+_FULL = (1 << 64) - 1
+
+
+def _mixed(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+def keys_of(seed: int, doc: int, n: int) -> np.ndarray:
+    """The key of each of the first ``n`` words of a document."""
+    start = np.uint64((seed * _STEP + (doc & _FULL) * 0xD1B54A32D192ED03) & _FULL)
+    return _mixed(_mixed(np.arange(n, dtype=np.uint64) * np.uint64(0xA0761D6478BD642F) + start))
+
+
+def places(a: np.ndarray, middle: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """One number for the merge of word[a:middle] and word[middle:end]."""
+    return ((a.astype(np.uint64) << np.uint64(42)) | (middle.astype(np.uint64) << np.uint64(21)) | end.astype(np.uint64)) * np.uint64(_STEP)
+
+
+def dropped(keys: np.ndarray, at: np.ndarray, limit: int) -> np.ndarray:
+    """Whether words of these keys drop the merges at these places: 32 bits of a hash against ``limit``."""
+    return (_mixed(keys + at) >> np.uint64(32)) < np.uint64(limit)
+
+
+def encode_word(word: str, model: Model, key: int = 0, limit: int = 0) -> list[int]:
+    """Pieces of one word, by the queue."""
     out, ids = [], model.ids
-    for piece in _queued(word, model.scores, draws, limit):
+    for piece in _queued(word, model.scores, key, limit):
         found = ids.get(piece)
         if found is None:
             out += [model.bytes_from[b] for b in piece.encode()]
@@ -137,9 +165,10 @@ class Merger:
             open_ = open_[(held != keys[open_]) & (held >= 0)]
         return slots
 
-    def encode(self, words: list[str], draws: bytes, limit: int) -> list[bytes]:
-        """Piece ids of words of one length (as bytes of 32-bit numbers); 64 draws a word where there is a limit."""
+    def encode(self, words: list[str], keys: np.ndarray, limit: int) -> tuple[np.ndarray, np.ndarray, list[tuple[np.ndarray, np.ndarray, np.ndarray]]]:
+        """Words of one length: their piece ids in a row, how many each has, and for each step the words that took it, the places and what was dropped."""
         n, length = len(words), len(words[0])
+        steps = []
         wide = length + 1
         parts = np.empty((n, wide), np.int64)
         parts[:, :length] = self.part_of[np.frombuffer("".join(words).encode("utf-32-le"), np.uint32).reshape(n, length)]
@@ -152,7 +181,7 @@ class Merger:
         agenda = self.rank[slots]
         agenda[:, length] = -1
         parts, before, after, slots, todo = parts.ravel(), before.ravel(), after.ravel(), slots.ravel(), np.arange(n)
-        flat, dealt = agenda.ravel(), np.frombuffer(draws, np.uint8)
+        flat = agenda.ravel()
         while len(todo):
             at = (agenda if len(todo) == n else agenda[todo]).argmax(1)
             left = todo * wide + at
@@ -162,7 +191,9 @@ class Merger:
             middle = after[left]
             end = after[start + middle]
             if limit:
-                drop = dealt[todo * 64 + ((at * 7 + end * 13) & 63)] < limit
+                place = places(at, middle, end)
+                drop = dropped(keys[todo], place, limit)
+                steps.append((todo, place, drop))
                 flat[left[drop]] = -1
                 keep = ~drop
                 at, left, start, middle, end = at[keep], left[keep], start[keep], middle[keep], end[keep]
@@ -186,12 +217,10 @@ class Merger:
             found[np.repeat(unknown, sizes)] = self.octets[raw]
         each = np.zeros((n, length), np.int64)
         each[stays] = sizes
-        ends = (4 * each.sum(1).cumsum()).tolist()
-        data = found.astype(np.int32).tobytes()
-        return [data[a:b] for a, b in zip([0, *ends], ends, strict=False)]
+        return found.astype(np.int32), each.sum(1), steps
 
 
-def _queued(word: str, scores: dict[str, float], draws: bytes, limit: int) -> list[str]:
+def _queued(word: str, scores: dict[str, float], key: int, limit: int) -> list[str]:
     """The agenda of one word as a priority queue: for long words, and the measure of :class:`Merger`."""
     n = len(word)
     ends, before, after = list(range(1, n + 1)), list(range(-1, n - 1)), list(range(1, n + 1))
@@ -209,7 +238,7 @@ def _queued(word: str, scores: dict[str, float], draws: bytes, limit: int) -> li
         _, a, middle, end = heapq.heappop(agenda)
         if gone[a] or ends[a] != middle or middle >= n or gone[middle] or ends[middle] != end:
             continue  # a part has been merged meanwhile
-        if limit and draws[(a * 7 + end * 13) & 63] < limit:
+        if limit and _drops(key, a, middle, end, limit):
             continue
         gone[middle] = True
         ends[a] = end
@@ -226,77 +255,139 @@ def _queued(word: str, scores: dict[str, float], draws: bytes, limit: int) -> li
     return out
 
 
-def _mixed(x: np.ndarray) -> np.ndarray:
-    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-    return x ^ (x >> np.uint64(31))
+def _drops(key: int, a: int, middle: int, end: int, limit: int) -> bool:
+    x = (key + ((a << 42) | (middle << 21) | end) * _STEP) & _FULL
+    x = ((x ^ (x >> 30)) * 0xBF58476D1CE4E5B9) & _FULL
+    x = ((x ^ (x >> 27)) * 0x94D049BB133111EB) & _FULL
+    return ((x ^ (x >> 31)) >> 32) < limit
+
+
+class _Grown:
+    """An array that grows at its end."""
 
+    def __init__(self, kind):
+        self.all, self.n = np.zeros(1 << 12, kind), 0
 
-def variants_of(seed: int, doc: int, n: int, variants: int) -> list[int]:
-    """Variant of each of ``n`` words of a document."""
-    start = np.uint64((seed * 0x9E3779B97F4A7C15 + (doc & (2**64 - 1)) * 0xD1B54A32D192ED03) & (2**64 - 1))
-    return (_mixed(_mixed(np.arange(n, dtype=np.uint64) + start)) % np.uint64(variants)).tolist()
+    def add(self, values: np.ndarray) -> int:
+        """Where the values now start."""
+        start, self.n = self.n, self.n + len(values)
+        if self.n > len(self.all):
+            self.all = np.concatenate([self.all, np.zeros(max(self.n, len(self.all)), self.all.dtype)])
+        self.all[start : self.n] = values
+        return start
 
 
 class Coder:
-    """Encodes with one seed and dropout, remembering words."""
+    """Encodes with one seed and dropout.
+
+    A node of a word's tree is a candidate merge: ``place`` says which, and ``next[2 *
+    node + dropped]`` what comes then: a node, -1 where that was not met yet, or -2 - i for
+    the pieces number i. A word's entry is a node without a place, of which only the first
+    is used. Words of over SHORT characters are encoded alone and not remembered.
+    """
 
-    def __init__(self, model: Model, dropout: float = DROPOUT, seed: int = 1, variants: int = VARIANTS):
-        self.model, self.limit, self.seed = model, round(dropout * 256), seed
-        self.variants = variants if dropout > 0 else 1
-        self.keys = [f"{seed}/{v}".encode() for v in range(self.variants)]
+    def __init__(self, model: Model, dropout: float = DROPOUT, seed: int = 1):
+        self.model, self.limit, self.seed = model, round(dropout * (1 << 32)), seed
         self.merger = Merger(model)
-        self.own_mark = np.array([model.bytes_from[b] for b in MARK.encode()], np.int32).tobytes()
-        self.known: list[dict[str, bytes]] = [{OWN: self.own_mark} for _ in range(self.variants)]
-
-    def _draws(self, variant: int, words: list[str]) -> bytes:
-        key = self.keys[variant]
-        return b"".join([blake2b(w.encode(), key=key).digest() for w in words]) if self.limit else b""
-
-    def _learn(self, variant: int, words: set[str]) -> None:
-        known, by_length = self.known[variant], {}
-        for w in words:
-            by_length.setdefault(len(w), []).append(w)
-        for length, same in by_length.items():
-            if length > SHORT:
-                known.update((w, np.array(encode_word(w, self.model, self._draws(variant, [w]), self.limit), np.int32).tobytes()) for w in same)
-                continue
-            for k in range(0, len(same), ROWS):
-                some = same[k : k + ROWS]
-                known.update(zip(some, self.merger.encode(some, self._draws(variant, some), self.limit), strict=True))
-
-    def _words(self, text: str, doc: int) -> tuple[list[str], list[int]]:
-        """Words of a text and their variants. A text's own marks part it and go to bytes."""
-        words, chosen = [], []
+        self.own_mark = np.array([model.bytes_from[b] for b in MARK.encode()], np.int32)
+        self._anew()
+
+    def _anew(self) -> None:
+        self.entry: dict[str, int] = {}
+        self.words: list[str] = []
+        self.place, self.next = _Grown(np.uint64), _Grown(np.int32)
+        self.pieces, self.starts, self.sizes = _Grown(np.int32), _Grown(np.int64), _Grown(np.int64)
+        self._ends(self.own_mark, np.array([len(self.own_mark)]))
+        self.entry[OWN] = self._nodes(np.zeros(1, np.uint64))
+        self.next.all[0] = -2
+
+    def _nodes(self, place: np.ndarray) -> int:
+        self.next.add(np.full(2 * len(place), -1, np.int32))
+        return self.place.add(place)
+
+    def _ends(self, pieces: np.ndarray, sizes: np.ndarray) -> int:
+        start = self.pieces.add(pieces)
+        self.starts.add(start + np.cumsum(sizes) - sizes)
+        return self.sizes.add(sizes)
+
+    def _grow(self, words: list[str], keys: np.ndarray, edges: np.ndarray, depths: np.ndarray) -> None:
+        """Merge words of one length, each of which came to an edge (2 * node + dropped) that was not met yet, after so many draws; edges differ."""
+        pieces, sizes, steps = self.merger.encode(words, keys, self.limit)
+        end = self._ends(pieces, sizes) + np.arange(len(words))
+        came = edges.copy()  # the edge at which each word's path ends so far
+        for depth, (todo, place, drop) in enumerate(steps):
+            new = depths[todo] <= depth
+            todo, place, drop = todo[new], place[new], drop[new]
+            if len(todo):
+                node = self._nodes(place) + np.arange(len(todo))
+                self.next.all[came[todo]] = node
+                came[todo] = 2 * node + drop
+        self.next.all[came] = -2 - end
+
+    def _walk(self, words: list[str], entries: np.ndarray, keys: np.ndarray) -> np.ndarray:
+        """The number of the pieces of each word."""
+        at, edge, depth = self.next.all[2 * entries], 2 * entries, np.zeros(len(entries), np.int64)
+        lengths = None
+        while True:
+            on = np.flatnonzero(at >= 0)
+            while len(on):
+                node = at[on]
+                drop = dropped(keys[on], self.place.all[node], self.limit)
+                edge[on] = 2 * node.astype(np.int64) + drop
+                depth[on] += 1
+                at[on] = self.next.all[edge[on]]
+                on = on[at[on] >= 0]
+            open_ = np.flatnonzero(at == -1)
+            if not len(open_):
+                return -2 - at
+            edges, first = np.unique(edge[open_], return_index=True)
+            some = open_[first]
+            lengths = np.fromiter(map(len, words), np.int64, len(words)) if lengths is None else lengths
+            order = np.argsort(lengths[some], kind="stable")
+            some, edges = some[order], edges[order]
+            for same in np.split(np.arange(len(some)), np.flatnonzero(np.diff(lengths[some])) + 1):
+                for k in range(0, len(same), ROWS):
+                    few = some[same[k : k + ROWS]]
+                    self._grow([words[i] for i in few.tolist()], keys[few], edges[same[k : k + ROWS]], depth[few])
+            at[open_] = self.next.all[edge[open_]]
+
+    def _words(self, text: str) -> list[str]:
+        """Words of a text. A text's own marks part it and go to bytes."""
+        if MARK not in text:
+            return _WORDS.findall(MARK + text.replace(" ", MARK))
+        words = []
         for i, part in enumerate(text.split(MARK)):
-            some = _WORDS.findall(part.replace(" ", MARK) if i else MARK + part.replace(" ", MARK))
-            if i:
-                words.append(OWN)
-                chosen.append(0)
-            words += some
-            chosen += variants_of(self.seed, doc, len(some), self.variants) if self.variants > 1 else [0] * len(some)
-        return words, chosen
+            words += [OWN, *_WORDS.findall(part.replace(" ", MARK))] if i else _WORDS.findall(MARK + part.replace(" ", MARK))
+        return words
 
     def encode_all(self, texts: list[str], docs: list[int]) -> list[np.ndarray]:
-        """Piece ids of each text; its number in ``docs`` chooses the variants of its words."""
-        for known in self.known:
-            if len(known) >= REMEMBERED:
-                known.clear()
-                known[OWN] = self.own_mark
-        held = [self._words(t, d) if t else ([], []) for t, d in zip(texts, docs, strict=True)]
-        known = self.known
-        found = [[known[v].get(w) for w, v in zip(*x, strict=True)] for x in held]
-        new: list[set[str]] = [set() for _ in known]
-        for x, parts in zip(held, found, strict=True):
-            for w, v, p in zip(*x, parts, strict=True):
-                if p is None:
-                    new[v].add(w)
-        for v, words in enumerate(new):
-            self._learn(v, words)
-        for x, parts in zip(held, found, strict=True):
-            if None in parts:
-                parts[:] = [known[v][w] if p is None else p for w, v, p in zip(*x, parts, strict=True)]
-        return [np.frombuffer(b"".join(parts), np.int32) for parts in found]
+        """Piece ids of each text; its number in ``docs`` is part of all draws."""
+        if max(self.place.n, self.starts.n, self.pieces.n >> 2) >= REMEMBERED:
+            self._anew()
+        held = [self._words(t) if t else [] for t in texts]
+        words = [w for some in held for w in some]
+        counts = np.array([len(some) for some in held], np.int64)
+        keys = np.concatenate([keys_of(self.seed, d, n) for d, n in zip(docs, counts.tolist(), strict=True)]) if self.limit else np.zeros(len(words), np.uint64)
+        entry = self.entry
+        found = [entry.get(w, -1) for w in words]
+        long = []
+        if -1 in found:
+            new = list(dict.fromkeys(w for w, e in zip(words, found, strict=True) if e < 0 and (len(w) <= SHORT or w == OWN)))
+            first = self._nodes(np.zeros(len(new), np.uint64))
+            entry.update(zip(new, range(first, first + len(new)), strict=True))
+            found = [entry.get(w, -1) for w in words]
+            long = [i for i, e in enumerate(found) if e < 0]
+        entries = np.array(found, np.int64)
+        entries[long] = entry[OWN]
+        end = self._walk(words, entries, keys)
+        for i in long:
+            ids = np.array(encode_word(words[i], self.model, int(keys[i]), self.limit), np.int32)
+            end[i] = self._ends(ids, np.array([len(ids)]))
+        sizes, starts = self.sizes.all[end], self.starts.all[end]
+        upto = np.cumsum(sizes)
+        flat = self.pieces.all[np.repeat(starts - (upto - sizes), sizes) + np.arange(upto[-1] if len(upto) else 0)]
+        cuts = np.append(0, upto)[np.append(0, np.cumsum(counts))]
+        return [flat[a:b] for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)]
 
     def encode(self, text: str, doc: int = 0) -> np.ndarray:
         """Piece ids of one text."""
@@ -322,16 +413,17 @@ def decode(ids, model: Model) -> str:
 _coders: dict[tuple, Coder] = {}
 
 
-def encode(docs: DataFrame, model_path: str = MODEL, dropout: float = DROPOUT, seed: int = 1, variants: int = VARIANTS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def encode(docs: DataFrame, model_path: str = MODEL, dropout: float = DROPOUT, seed: int = 1, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(doc_id, n_tokens, ids, lossless)``: piece ids, and whether they decode to the text, one row per input row.
 
-    A null text has null ids, an empty one none. Null ids (of documents) count as 0 in the hash.
+    A null text has null ids, an empty one none. Null ids (of documents) count as 0 in the
+    hash, and repeated rows of one id draw alike.
     """
     model = docs.sparkSession.sparkContext.broadcast(load(model_path))  # one vocabulary, a fixed size
 
     def run(batches):
-        key = (model_path, dropout, seed, variants)
-        coder = _coders.get(key) or _coders.setdefault(key, Coder(model.value, dropout, seed, variants))
+        key = (model_path, dropout, seed)
+        coder = _coders.get(key) or _coders.setdefault(key, Coder(model.value, dropout, seed))
         for batch in batches:
             numbers, texts = [d or 0 for d in batch.column(0).to_pylist()], batch.column(1).to_pylist()
             found = [x for a, b in together(texts) for x in coder.encode_all([t or "" for t in texts[a:b]], numbers[a:b])]
