@@ -1,28 +1,37 @@
 """Personal data: detection and surrogates, in SQL functions only.
 
 A text is cut at every entity that one combined pattern finds; each entity gets a
-surrogate of its own type, script and format, made from a keyed hash of its
-canonical form (so all spellings of one entity, in all documents, get the same
-one), and the pieces are joined again. Nothing is shuffled for that.
-
-Collision checks run over the distinct entities of all documents: where two of
-them would share a surrogate, or a surrogate is itself a real entity, all but the
-first are hashed anew with a higher attempt until all differ. Family names are
-entities of their own, shared by all names that hold them. The few entities with a
-raised attempt, or with titles of several genders, travel to the documents that hold
-them.
+surrogate of its own type, script and format, made under a key from its canonical
+form (so all spellings of one entity, in all documents, get the same one), and the
+pieces are joined again. Nothing is shuffled for that.
+
+Numbers, addresses and secrets are moved by a keyed permutation of the strings of
+their own format (a Feistel network over characters or octets; check digits are
+computed anew), so different entities differ by construction, however many there are.
+Names come from syllables. Collision checks run over the distinct entities of all
+documents: where two would share a surrogate, or a surrogate is itself a real entity,
+all but the first are made anew under a higher attempt, outside of what the first
+attempts took. A permuted entity for which no attempt finds a free place (its format is
+full) goes back to the first, which no other has. Family names are entities of their
+own, shared by all names that hold them. The entities with a raised attempt, or with
+titles of several genders, travel to the documents that hold them.
+
+The key is an argument, or the session's ``spark.netprop.pii.key``. Where neither is
+set, a call draws one, and its surrogates go with no other call's.
 """
 
 from __future__ import annotations
 
+import secrets
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 from netprop.llm import common
 
-KEY = "netprop"
-ROUNDS = 20
+KEY_SETTING = "spark.netprop.pii.key"
+#: Attempts to find a free surrogate; rounds of the permutation.
+ROUNDS, FEISTEL = 12, 6
 
 _OCTET = r"(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)"
 _QUAD = rf"{_OCTET}(?:\.{_OCTET}){{3}}"
@@ -49,18 +58,29 @@ PATTERNS: tuple[tuple[str, str], ...] = (
     ("card", r"[0-9](?<![\w.-][0-9])(?:[ -]?[0-9]){12,18}(?![\w-])"),
     ("name", rf"(?=\p{{Lu}})(?<= )(?<=\b(?:{_TITLE_M}|{_TITLE_F}|{_TITLE_N})\.?[ ]){_NAME}(?: {_NAME})?"),
 )
-#: A text without any of this holds no entity; it is passed on as it is.
-HINT = rf"[@0-9]|::|(?=[A-ZГΚ])\b(?:{_TITLE_M}|{_TITLE_F}|{_TITLE_N})\b"
+#: A text without any of this holds no entity; it is passed on as it is. Each pattern needs an @, a digit, two colons
+#: or colons between hex letters, a key word with its sign, or a title.
+HINT = rf"[@0-9]|::|[a-fA-F]:[a-fA-F]{{1,4}}:|(?i:token|secret|password|passwd|key)\s{{0,2}}[=:]|(?=\p{{Lu}})\b(?:{_TITLE_M}|{_TITLE_F}|{_TITLE_N})\b"
 ANY = "|".join(f"(?:{p})" for _, p in PATTERNS)
 
-# Syllables of surrogate names by script and gender: a name is two syllables and an ending.
-_SYLLABLES = {
-    "latin": ("ba be bo da de do fa fe ga ka ke ko la le lo ma me mo na no pa re ro sa se ta te ti va vi".split(), "rin ton lus mer den", "ria lina nette sea dra", "berg well mann ford stein"),
-    "cyrillic": ("ба бе бо да де до га ка ке ко ла ле ло ма ме мо на но па ре ро са се та те ти ва ви фе зо".split(), "рин тон лей мир дан", "рия лина нета сея дра", "енко ский цев ухин овец"),
-    "greek": ("βα βε βο δα δε δο φα γα κα κε κο λα λε λο μα με μο να νο πα ρε ρο σα σε τα τε τι ζα ζε ζο".split(), "ριν τος λας μης δων", "ρια λινα νετη σια δρα", "ιδης οπου ακης αδης ελης"),
+# Syllables of surrogate names (a consonant and a vowel), and endings by gender and of family names, by script.
+_SCRIPTS = {
+    "latin": ("b d f g k l m n p r s t v z", "a e i o u", "rin ton lus mer den", "ria lina nette sea dra", "berg well mann ford stein"),
+    "cyrillic": ("б в г д з к л м н п р с т ф", "а е и о у", "рин тон лей мир дан", "рия лина нета сея дра", "енко ский цев ухин овец"),
+    "greek": ("β γ δ ζ θ κ λ μ ν π ρ σ τ φ", "α ε ι ο υ", "ριν τος λας μης δων", "ρια λινα νετη σια δρα", "ιδης οπου ακης αδης ελης"),
 }
 
 
+def _syllables(script: str) -> list[str]:
+    consonants, vowels = (part.split() for part in _SCRIPTS[script][:2])
+    return [c + v for c in consonants for v in vowels]
+
+
+def _let(value: Column, body: Callable[[Column], Column]) -> Column:
+    """``body`` of a value that is computed once."""
+    return F.transform(F.array(value), body).getItem(0)
+
+
 def _digest(*parts: Column | str) -> Column:
     return F.sha2(F.concat_ws("\x1f", *[F.lit(p) if isinstance(p, str) else p for p in parts]), 256)
 
@@ -120,14 +140,48 @@ def canonical(kind: Column, entity: Column) -> Column:
     return F.when(kind == "ipv6", hextets(entity)).when(kind.isin("email", "name"), F.lower(entity)).when(kind.isin("phone", "card", "iban", "ssn"), compact(entity)).when((kind == "secret") & hexed, F.lower(entity)).otherwise(entity)
 
 
-def _fresh(source: Column, stream: Column, letters: str = "letters") -> Column:
-    """``source`` with each digit and letter drawn from a stream of hex characters; the rest as it is."""
-    digit = lambda c: F.translate(c, "abcdef", "283746")
-    alpha = lambda c, d: F.chr(F.lit(97) + (F.ascii(c) * 5 + F.ascii(d) * 7) % 26)
-    at = lambda i: F.substring(stream, (i % 64 + 1).cast("int"), F.lit(1))
-    put = (lambda c, i: at(i)) if letters == "hex" else (lambda c, i: F.when(c.rlike("^[0-9]$"), digit(at(i))).when(c.rlike("^[A-Z]$"), F.upper(alpha(at(i), at(i + 17)))).when(c.rlike("^[a-z]$"), alpha(at(i), at(i + 17))).otherwise(c))
-    keep = (lambda c, i: F.when(c.rlike("^[0-9A-Fa-f]$"), put(c, i)).otherwise(c)) if letters == "hex" else put
-    return F.array_join(F.transform(F.filter(F.split(source, ""), lambda c: c != ""), keep), "")
+def permuted(text: Column, *key: Column | str, within: str = "class") -> Column:
+    """``text`` moved by a keyed permutation of the strings of its format. Characters but ASCII letters and digits stay.
+
+    Rounds take turns at the even and the odd characters: each is shifted by a hash of
+    all others' and its place, which can be undone, so no two texts meet. ``within``:
+    a character stays a digit, a small or a capital letter (``class``; ``phone``: the
+    first also stays below 2 or not), or is any hex digit (``hex``).
+    """
+
+    def moved(c: Column, by: Column, i: Column) -> Column:
+        if within == "hex":
+            digits = F.lit("0123456789abcdef")
+            return F.when(c.rlike("^[0-9a-f]$"), F.substring(digits, (F.pmod(F.instr(digits, c) - 1 + F.pmod(by, F.lit(16)), F.lit(16)) + 1).cast("int"), F.lit(1))).otherwise(c)
+
+        def shifted(a: Column) -> Column:
+            turn = lambda low, n: F.chr(F.lit(low) + F.pmod(a - low + F.pmod(by, F.lit(n)), F.lit(n)))
+            digit = F.when(i > 0, turn(48, 10)).when(a >= 50, turn(50, 8)).otherwise(turn(48, 2)) if within == "phone" else turn(48, 10)
+            return F.when(a.between(48, 57), digit).when(a.between(97, 122), turn(97, 26)).when(a.between(65, 90), turn(65, 26)).otherwise(c)
+
+        return _let(F.ascii(c), shifted)
+
+    def turn(state: Column, r: Column) -> Column:
+        others = F.array_join(F.filter(state, lambda c, i: i % 2 != r % 2), "")
+        return _let(_digest(*key, r.cast("string"), others), lambda h: F.transform(state, lambda c, i: F.when(i % 2 == r % 2, moved(c, F.xxhash64(h, i), i)).otherwise(c)))
+
+    chars = F.filter(F.split(text, ""), lambda c: c != "")
+    return F.array_join(F.aggregate(F.sequence(F.lit(0), F.lit(FEISTEL - 1)), chars, turn), "")
+
+
+def permuted_address(form: Column, *key: Column | str) -> Column:
+    """A dotted address moved by a keyed permutation of all of them: a Feistel network over its two halves."""
+    octet = lambda i: F.coalesce(F.get(F.split(form, r"\."), F.lit(i)).try_cast("int"), F.lit(0))
+    halves = F.struct((octet(0) * 256 + octet(1)).cast("long").alias("l"), (octet(2) * 256 + octet(3)).cast("long").alias("r"))
+
+    def turn(s: Column, r: Column) -> Column:
+        by = F.pmod(F.xxhash64(_digest(*key, r.cast("string"), s["r"].cast("string"))), F.lit(65536))
+        return F.struct(s["r"].alias("l"), F.pmod(s["l"] + by, F.lit(65536)).cast("long").alias("r"))
+
+    def shown(s: Column) -> Column:
+        return F.concat_ws(".", *[(F.floor(s[h] / 256) if high else F.pmod(s[h], F.lit(256))).cast("string") for h in "lr" for high in (True, False)])
+
+    return _let(F.aggregate(F.sequence(F.lit(0), F.lit(FEISTEL - 1)), halves, turn), shown)
 
 
 def _name_part(word: Column, given: bool, gender: Column, key: str, attempt: Column) -> Column:
@@ -137,37 +191,37 @@ def _name_part(word: Column, given: bool, gender: Column, key: str, attempt: Col
     """
 
     def build(script: str) -> Column:
-        syllables, male, female, family = _SYLLABLES[script]
-        h = _digest(key, "given" if given else "family", word, attempt.cast("string"))
-        draw = lambda k, n: (F.conv(F.substring(h, 1 + 6 * k, 6), 16, 10).cast("int") % n) + 1
-        pick = lambda options, k: F.element_at(F.array(*map(F.lit, options)), draw(k, len(options)).cast("int"))
-        more = lambda upto, k: F.when(attempt >= upto, F.concat(pick(syllables, k), pick(syllables, k + 1))).otherwise("")
-        stem = F.concat(pick(syllables, 0), pick(syllables, 1), pick(syllables, 2), more(2, 4), more(5, 6))
-        ending = pick(family.split(), 3) if not given else F.when(gender == "f", pick(female.split(), 3)).otherwise(pick(male.split(), 3))
-        return F.concat(stem, ending)
+        syllables = F.array(*map(F.lit, _syllables(script)))
+        male, female, family = (part.split() for part in _SCRIPTS[script][2:])
+        n = F.lit(3) + F.when(attempt < 3, attempt).otherwise(attempt * 2)
+
+        def name(h: Column) -> Column:
+            pick = lambda options, k: F.element_at(options, (F.pmod(F.xxhash64(h, k), F.size(options)) + 1).cast("int"))
+            stem = F.array_join(F.transform(F.sequence(F.lit(1), n), lambda k: pick(syllables, k)), "")
+            ending = lambda options: pick(F.array(*map(F.lit, options)), F.lit(0))
+            return F.concat(stem, ending(family) if not given else F.when(gender == "f", ending(female)).otherwise(ending(male)))
+
+        return _let(_digest(key, "given" if given else "family", word, attempt.cast("string")), name)
 
     return F.when(word.rlike(r"^\p{IsCyrillic}"), build("cyrillic")).when(word.rlike(r"^\p{IsGreek}"), build("greek")).otherwise(build("latin"))
 
 
 def surrogate(kind: Column, form: Column, gender: Column, key: str, attempt: Column) -> Column:
-    """Canonical surrogate of a canonical entity that is no name. Equal inputs give equal results everywhere."""
-    h = _digest(key, kind, form, attempt.cast("string"))
-    number = lambda k, n: F.conv(F.substring(h, 1 + 6 * k, 6), 16, 10).cast("int") % n
-    local, domain = F.substring_index(form, "@", 1), F.substring_index(form, "@", -1)
+    """Canonical surrogate of a canonical entity that is no name. Equal inputs give equal results everywhere; under one key and attempt, different ones different results."""
+    own = (key, kind, attempt.cast("string"))
     # addresses at one domain stay together; example names are reserved and reach nobody
-    host = F.substring(F.translate(_digest(key, "domain", domain), "0123456789", "ghijkmnpqr"), 1, 10)
-    email = F.concat(_fresh(local, h), F.lit("@"), host, F.lit(".example."), F.substring_index(domain, ".", -1))
-    ip = F.concat_ws(".", (F.lit(240) + number(0, 16)).cast("string"), number(1, 256).cast("string"), number(2, 256).cast("string"), number(3, 256).cast("string"))
-    digits = _fresh(form, h)
-    card = F.concat(F.substring(form, 1, 1), F.substring(digits, F.lit(2), F.length(form) - 2))
-    card = F.concat(card, ((F.lit(10) - luhn_sum(F.concat(card, F.lit("0")))) % 10).cast("string"))
-    country, rest = F.substring(form, 1, 2), F.substring(digits, 5, 64)
-    iban = F.concat(country, F.lpad((F.lit(98) - mod97(F.concat(rest, country, F.lit("00")))).cast("string"), 2, "0"), rest)
-    secret = F.when(form.rlike("^[0-9a-f]{32,}$"), _fresh(form, h, "hex")).otherwise(digits)
-    phone = F.concat(F.substring(form, 1, 1), F.translate(F.substring(digits, 2, 1), "01", "57"), F.substring(digits, 3, 64))
+    local, domain, top = F.substring_index(form, "@", 1), F.substring_index(form, "@", -1), F.substring_index(form, ".", -1)
+    host = permuted(F.substring(domain, F.lit(1), F.length(domain) - F.length(top) - 1), key, "domain", top)
+    email = F.concat(permuted(local, *own, domain), F.lit("@"), host, F.lit(".example."), top)
+    first, rest = F.substring(form, 1, 1), F.substring(form, F.lit(2), F.length(form) - 2)
+    card = _let(F.concat(first, permuted(rest, *own, first)), lambda c: F.concat(c, ((F.lit(10) - luhn_sum(F.concat(c, F.lit("0")))) % 10).cast("string")))
+    country = F.substring(form, 1, 2)
+    iban = _let(permuted(F.substring(form, F.lit(5), F.length(form)), *own, country), lambda r: F.concat(country, F.lpad((F.lit(98) - mod97(F.concat(r, country, F.lit("00")))).cast("string"), 2, "0"), r))
+    phone = F.concat(first, permuted(F.substring(form, F.lit(2), F.length(form)), *own, first, within="phone"))
+    hexed = F.when(form.rlike("^[0-9a-f]{32,}$"), permuted(form, *own, "hex", within="hex"))
     return (
-        F.when(kind == "email", email).when(kind == "ip", ip).when(kind == "ipv6", F.concat(F.lit("fd"), F.substring(_fresh(F.regexp_replace(form, "^[0-9a-f]+", "0000"), h, "hex"), 3, 64)))
-        .when(kind == "ssn", F.concat(F.lit("9"), F.substring(digits, 2, 8))).when(kind == "phone", phone).when(kind == "card", card).when(kind == "iban", iban).otherwise(secret)
+        F.when(kind == "email", email).when(kind == "ip", permuted_address(form, *own)).when(kind == "ipv6", permuted(form, *own, within="hex"))
+        .when(kind == "phone", phone).when(kind == "card", card).when(kind == "iban", iban).otherwise(F.coalesce(hexed, permuted(form, *own)))
     )
 
 
@@ -193,9 +247,8 @@ def dressed(kind: Column, entity: Column, made: Column) -> Column:
 
 
 def entities(text: Column) -> Column:
-    """Array of (entity, title before it) structs, in order."""
-    found = F.regexp_extract_all(text, F.lit(ANY), F.lit(0))
-    return found
+    """Array of entities, in order."""
+    return F.regexp_extract_all(text, F.lit(ANY), F.lit(0))
 
 
 def _gender(before: Column) -> Column:
@@ -221,7 +274,7 @@ def distinct_entities(cut: DataFrame) -> DataFrame:
     return rows.groupBy("kind", "form").agg(F.min("gender").alias("gender"), (F.min("gender") != F.max("gender")).alias("mixed"))
 
 
-def settle(found: DataFrame, key: str = KEY, rounds: int = ROUNDS) -> DataFrame:
+def settle(found: DataFrame, key: str, rounds: int = ROUNDS) -> DataFrame:
     """``(kind, form, gender, mixed, attempt, made)`` with distinct ``made`` per kind, none a real ``form`` of that kind.
 
     Family names are entities of their own (kind ``family``, one row per word): they
@@ -243,28 +296,40 @@ def settle(found: DataFrame, key: str = KEY, rounds: int = ROUNDS) -> DataFrame:
 
 
 def _settled(found: DataFrame, make: Callable[[Column], Column], rounds: int) -> DataFrame:
-    """``found`` with ``attempt`` and ``made``, raised until no two ``made`` of a kind are equal and none is a ``form``."""
+    """``found`` with ``attempt`` and ``made``, raised until no two ``made`` of a kind are equal and none is a ``form``.
+
+    Raised ones stay out of what all first attempts made. So those that are still not
+    free after ``rounds`` can go back to their first, which nothing else has taken if
+    first attempts differ by construction (all but names, whose space grows instead).
+    """
     from pyspark.sql.window import Window
 
-    now = common.checkpointed(found.withColumn("attempt", F.lit(0)).withColumn("made", make(F.lit(0))))
-    real = now.select("kind", F.col("form").alias("made"), F.lit(True).alias("real"))
+    first = common.checkpointed(found.withColumn("attempt", F.lit(0)).withColumn("made", make(F.lit(0))))
+    now, taken = first, first.select("kind", F.col("form").alias("made"), F.lit(True).alias("real")).unionByName(first.select("kind", "made", F.lit(False).alias("real")))
+    taken = taken.groupBy("kind", "made").agg(F.max("real").alias("real"))
     for _ in range(rounds):
         order = Window.partitionBy("kind", "made").orderBy("attempt", "form")
-        judged = now.join(real, ["kind", "made"], "left").withColumn("at", F.row_number().over(order))
-        judged = judged.withColumn("again", F.coalesce("real", F.lit(False)) | (F.col("at") > 1))
+        judged = now.join(taken, ["kind", "made"], "left").withColumn("at", F.row_number().over(order))
+        judged = judged.withColumn("again", F.coalesce("real", F.lit(False)) | (F.col("at") > 1) | ((F.col("attempt") > 0) & F.col("real").isNotNull()))
         judged = common.checkpointed(judged.select(*found.columns, (F.col("attempt") + F.col("again").cast("int")).alias("attempt"), "made", "again"))
         if common.is_empty(judged.where("again")):
             return judged.drop("again")
         now = judged.withColumn("made", F.when(F.col("again"), make(F.col("attempt"))).otherwise(F.col("made"))).drop("again")
-    raise RuntimeError("surrogates still collide")
+    back = F.col("again") & ~F.col("kind").isin("name", "family")
+    return common.checkpointed(judged.withColumn("attempt", F.when(back, 0).otherwise(F.col("attempt"))).withColumn("made", F.when(F.col("again"), make(F.col("attempt"))).otherwise(F.col("made"))).drop("again"))
+
+
+def key_of(spark: SparkSession) -> str:
+    return spark.conf.get(KEY_SETTING, None) or secrets.token_hex(16)
 
 
-def replace(docs: DataFrame, key: str = KEY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``docs`` with entities in ``text_col`` replaced, plus ``n_entities`` (int). All other columns and rows stay.
+def replace(docs: DataFrame, key: str | None = None, text_col: str = "text", count_col: str = "n_entities") -> DataFrame:
+    """``docs`` with entities in ``text_col`` replaced, plus ``count_col`` (int; one of that name is replaced). All other columns and rows stay.
 
     Null and empty texts stay as they are. Repeated rows and ids need no care: a
     surrogate depends on the entity, the key and the corpus's entities alone.
     """
+    key = key or key_of(docs.sparkSession)
     cut = marked(docs, text_col)
     settled = settle(distinct_entities(cut), key)
     raised = settled.where((F.col("attempt") > 0) | (F.col("mixed") & F.col("form").contains(" ") & (F.col("kind") == "name")))
@@ -292,4 +357,5 @@ def replace(docs: DataFrame, key: str = KEY, id_col: str = "doc_id", text_col: s
     n = F.size(F.filter("_found", lambda e: e.kind.isNotNull()))
     joined = F.concat(F.array_join(F.zip_with(F.slice("_gaps", F.lit(1), F.size("_found")), F.col("_found"), lambda gap, e: F.concat(gap, put(e))), ""), F.element_at("_gaps", -1))
     text = F.when(F.col("_found").isNotNull(), joined).otherwise(F.col(text_col))
-    return cut.withColumns({text_col: text, "n_entities": F.coalesce(F.when(F.col("_found").isNotNull(), n), F.lit(0)).cast("int")}).select(*docs.columns, "n_entities")
+    count = F.coalesce(F.when(F.col("_found").isNotNull(), n), F.lit(0)).cast("int")
+    return cut.withColumns({text_col: text, count_col: count}).select(*[c for c in docs.columns if c != count_col], count_col)

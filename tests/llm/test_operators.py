@@ -252,6 +252,49 @@ def test_one_name_under_two_titles(spark):
     assert out[1][0].split()[1] == out[3][0].split()[1]
 
 
+def test_permutations_are_permutations(spark):
+    """Whole small formats map onto themselves, one to one; so do samples of large ones, in their own format."""
+    one = [chr(97 + i) for i in range(26)] + [f"{a}{b}" for a in "ab7" for b in "cdefg019"] + [f"{i:03d}" for i in range(1000)]
+    frame = spark.createDataFrame([(t,) for t in one], "t string").select("t", pii.permuted(F.col("t"), "k").alias("u"), pii.permuted(F.col("t"), "k", within="phone").alias("p"))
+    rows = frame.collect()
+    shape = lambda t: re.sub("[a-z]", "a", re.sub("[0-9]", "0", t))
+    assert all(shape(r.t) == shape(r.u) for r in rows) and len({r.u for r in rows}) == len({r.p for r in rows}) == len(rows)
+    assert {r.u for r in rows if len(r.t) == 3} == {r.t for r in rows if len(r.t) == 3}
+    assert all((r.t[0] < "2") == (r.p[0] < "2") for r in rows if r.t[0].isdigit())
+    ips = [f"10.{i // 256}.{i % 256}.{i % 7}" for i in range(4000)]
+    got = [r.u for r in spark.createDataFrame([(t,) for t in ips], "t string").select(pii.permuted_address(F.col("t"), "k").alias("u")).collect()]
+    import ipaddress
+
+    assert len(set(map(ipaddress.ip_address, got))) == len(ips) and len({g.split(".")[0] for g in got}) > 200
+
+
+def test_full_formats_and_many_names(spark):
+    """All 26 one-letter addresses of a domain, secrets without a digit, a column n_entities, and very many family names."""
+    rows = [(i, f"write to {chr(97 + i)}@x.com now", "x") for i in range(26)] + [(30, "password: correcthorsebatterystaple end", "x"), (31, "host dead:beef:cafe:babe:dead:beef:cafe:babe up", "x")]
+    out = {r.doc_id: r for r in pii.replace(spark.createDataFrame(rows, DOCS).withColumn("n_entities", F.lit("old"))).collect()}
+    assert len({out[i].text for i in range(26)}) == 26 and not any("@x.com" in r.text for r in out.values())
+    assert "correct" not in out[30].text and out[30].text.endswith(" end") and "beef" not in out[31].text
+    assert out[30].n_entities == 1 and list(out[0].asDict()) == ["doc_id", "text", "lang", "n_entities"]
+    names = spark.range(100_000).select(F.lit("name").alias("kind"), F.translate(F.col("id").cast("string"), "0123456789", "abcdefghij").alias("form"), F.lit("n").alias("gender"), F.lit(False).alias("mixed"))
+    done = pii.settle(names, "k").where("kind = 'family'")
+    assert done.count() == 100_000 == done.select("made").distinct().count()
+
+
+def test_hint_covers_every_pattern(spark):
+    texts = ["a@b.co", "token=abcdefghijklmnopqrst", "passwd : abcdefghijklmnopqrst", "api-key:abcdefghijklmnopqrst", "AUTH_KEY=abcdefghijklmnopqrst", "secret = 'abcdefghijklmnopqrst'", "::ffff:abcd", "dead:beef:cafe:babe:dead:beef:cafe:babe"]
+    texts += [f"{t} Abc" for t in f"{pii._TITLE_M}|{pii._TITLE_F}|{pii._TITLE_N}".split("|")]
+    got = spark.createDataFrame([(t,) for t in texts], "t string").select("t", F.col("t").rlike(pii.ANY).alias("found"), F.col("t").rlike(pii.HINT).alias("hinted")).collect()
+    assert all(r.found and r.hinted for r in got), [r for r in got if not (r.found and r.hinted)]
+
+
+def test_spaces_that_are_full(spark, monkeypatch):
+    """Where every surrogate is a real entity too, the job ends, and entities stay distinct."""
+    monkeypatch.setattr(pii, "surrogate", lambda kind, form, gender, key, attempt: F.concat(F.lit("9.9.9."), ((F.substring_index(form, ".", -1).cast("int") + 1 + attempt) % 5).cast("string")))
+    rows = [(i, f"at 9.9.9.{i} up", "x") for i in range(5)]
+    out = [r.text for r in pii.replace(spark.createDataFrame(rows, DOCS)).collect()]
+    assert len(set(out)) == 5
+
+
 # ------------------------------------------------------------------- 4: quality
 
 
@@ -369,10 +412,50 @@ def test_pieces_many_at_a_time():
     merger = pieces.Merger(model)
     for length in (1, 2, 3, 7, 20, 64):
         words = [pieces.MARK + "".join(rng.choice("aeinrst" if i % 2 else "anéßяж漢𝄞7.") for _ in range(length - 1)) for i in range(300)]
-        for limit in (0, 26, 200):
-            draws = rng.randbytes(64 * len(words))
-            want = [pieces.encode_word(w, model, draws[64 * i : 64 * i + 64], limit) for i, w in enumerate(words)]
-            assert [np.frombuffer(x, np.int32).tolist() for x in merger.encode(words, draws, limit)] == want
+        for limit in (0, 1 << 28, 3 << 30):
+            keys = pieces.keys_of(3, length, len(words))
+            want = [pieces.encode_word(w, model, int(k), limit) for w, k in zip(words, keys, strict=True)]
+            ids, sizes, _ = merger.encode(words, keys, limit)
+            assert [x.tolist() for x in np.split(ids, np.cumsum(sizes)[:-1])] == want
+
+
+def slow_pieces(text, model, seed, doc, limit):
+    """Every occurrence merged for itself, pair by pair from a plain list."""
+    out = []
+    words = pieces.Coder._words(None, text) if text else []
+    for word, key in zip(words, pieces.keys_of(seed, doc, len(words)).tolist(), strict=True):
+        if word == pieces.OWN:
+            out += [model.bytes_from[b] for b in pieces.MARK.encode()]
+            continue
+        cuts, skipped = list(range(len(word) + 1)), set()
+        while True:
+            pairs = [(-model.scores[word[a:c]], a, b, c) for a, b, c in zip(cuts, cuts[1:], cuts[2:], strict=False) if word[a:c] in model.scores and (a, b, c) not in skipped]
+            if not pairs:
+                break
+            _, a, b, c = min(pairs)
+            if pieces._drops(key, a, b, c, limit):
+                skipped.add((a, b, c))
+            else:
+                cuts.remove(b)
+        for a, b in itertools.pairwise(cuts):
+            out += [model.ids[word[a:b]]] if word[a:b] in model.ids else [model.bytes_from[x] for x in word[a:b].encode()]
+    return out
+
+
+def test_every_occurrence_draws_for_itself(spark):
+    """The whole query against plain loops; the share dropped; and how often a word of one merge varies."""
+    model = pieces.load()
+    texts = ["the thing and then", "a  b\n\nnéw ▁own▁ 𝄞" + "long" * 40, "the " * 400, "", "nation " * 60]
+    frame = spark.createDataFrame([*enumerate(texts), (2, texts[2])], "doc_id long, text string")
+    for r in pieces.encode(frame, dropout=0.3, seed=9).join(frame.distinct(), "doc_id").collect():
+        assert list(r.ids) == slow_pieces(r.text, model, 9, r.doc_id, round(0.3 * 2**32)) and r.lossless
+    coder = pieces.Coder(model, 0.1)
+    plain = pieces.Coder(model, 0).encode("to").tolist()
+    assert len(plain) == 1
+    ids = coder.encode("x " + "to " * 20_000).tolist()
+    assert 0.75 < ids.count(plain[0]) / 20_000 < 0.91
+    drops = pieces.dropped(pieces.keys_of(1, 5, 200_000), np.full(200_000, 77, np.uint64), coder.limit).mean()
+    assert abs(drops - 0.1) < 0.004
 
 
 def test_pieces_in_groups(monkeypatch):
