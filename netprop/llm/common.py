@@ -10,19 +10,18 @@ import tempfile
 import uuid
 
 import numpy as np
-from pyspark.sql import Column, DataFrame, SparkSession, functions as F
+from pyspark.sql import DataFrame, SparkSession, functions as F
 from pyspark.sql.window import Window
 
-#: Rows that one task of :func:`gapless_rank` ranks at most (unless ids repeat).
-RANK_CHUNK = 1 << 16
-
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where none is set."""
+    """The folder that driver and executors share. A temporary one serves only where none is set and all run in one process."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         if held.isEmpty():
+            if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+                raise RuntimeError("spark.checkpoint.dir must name a folder that all executors see")
             spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="netprop-"))
             held = spark.sparkContext._jsc.sc().getCheckpointDir()
         found = held.get()
@@ -30,7 +29,10 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def stored(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` as Parquet in the shared folder and read it back: a durable cut of lineage."""
+    """Write ``df`` as Parquet in the shared folder and read it back: a durable cut of lineage.
+
+    The caller's result reads it later, so it stays; who owns the folder clears it after the run.
+    """
     path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex[:12]}"
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
@@ -69,6 +71,29 @@ def local_components(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarr
         label = new
 
 
+def local_forest(a: np.ndarray, b: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """Places of the edges (a, b) that make a spanning forest of least weight ``w`` (small integers): each component takes its lightest way out, round by round."""
+    nodes, inv = np.unique(np.concatenate([a, b]), return_inverse=True)
+    x, y = inv[: len(a)], inv[len(a) :]
+    label, chosen = np.arange(len(nodes)), []
+    rank = np.lexsort((np.maximum(a, b), np.minimum(a, b), w))  # ties alike in every task
+    key = np.empty(len(a), np.int64)
+    key[rank] = np.arange(len(a))
+    while True:
+        out = np.flatnonzero(label[x] != label[y])
+        if not len(out):
+            return np.unique(np.concatenate(chosen)) if chosen else np.zeros(0, np.int64)
+        best = np.full(len(nodes), len(a), np.int64)
+        np.minimum.at(best, label[x[out]], key[out])
+        np.minimum.at(best, label[y[out]], key[out])
+        taken = rank[np.unique(best[best < len(a)])]
+        chosen.append(taken)
+        held, root = local_components(label[x[taken]], label[y[taken]])
+        new = np.arange(len(nodes))
+        new[held] = root
+        label = new[label]
+
+
 def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """``(a, b)`` links of LONG ids to ``(id, root)``, root being the smallest id reachable.
 
@@ -105,18 +130,18 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
 # -------------------------------------------------------------------- ranks
 
 
-def gapless_rank(df: DataFrame, group: str, order: str, out: str, ties: tuple[Column, ...] = ()) -> DataFrame:
-    """Add ``out``: 0, 1, 2, ... within each ``group``, by ``order`` (a LONG; nulls first).
+def gapless_rank(df: DataFrame, group: str, order: str, out: str, ties: tuple[str, ...] = ()) -> DataFrame:
+    """Add ``out``: 0, 1, 2, ... within each ``group``, by ``order`` (nulls first), then ``ties``. Rows equal in all of these come in any order.
 
-    No task ranks a whole group: rows are ranked within chunks of the order column
-    and the counts of earlier chunks (one row per chunk and group) are added.
+    Rows are dealt to ranges of (group, order, ties, own number), so that no group, id
+    or row that repeats fills a task, and are numbered range by range; what earlier ranges
+    hold of a group (one row per range and group) is added. ``df`` is to be a stored table.
     """
-    cell = F.coalesce(F.floor(F.col(order) / F.lit(float(RANK_CHUNK))), F.lit(-(1 << 62))).cast("long")
-    df = df.withColumn("_cell", cell)
-    counts = df.groupBy(group, "_cell").agg(F.count("*").alias("_n"))
-    before = Window.partitionBy(group).orderBy("_cell").rowsBetween(Window.unboundedPreceding, -1)
-    counts = counts.withColumn("_before", F.coalesce(F.sum("_n").over(before), F.lit(0))).drop("_n")
-    within = Window.partitionBy(group, "_cell").orderBy(F.col(order).asc_nulls_first(), *ties)
-    ranked = df.withColumn("_at", F.row_number().over(within) - 1)
-    return ranked.join(counts, [group, "_cell"]).withColumn(out, (F.col("_at") + F.col("_before")).cast("long")).drop("_cell", "_at", "_before")
-
+    keys = [F.col(group), F.col(order).asc_nulls_first(), *[F.col(t).asc_nulls_first() for t in ties]]
+    dealt = df.withColumn("_own", F.monotonically_increasing_id()).repartitionByRange(*keys, F.col("_own")).sortWithinPartitions(*keys, F.col("_own"))
+    place = F.monotonically_increasing_id()
+    dealt = stored(dealt.drop("_own").withColumn("_part", F.shiftrightunsigned(place, 33)).withColumn("_at", place.bitwiseAND(F.lit((1 << 33) - 1))), "ranges")
+    counts = dealt.groupBy(group, "_part").agg(F.count("*").alias("_n"), F.min("_at").alias("_first"))
+    before = Window.partitionBy(group).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+    counts = counts.select(group, "_part", (F.coalesce(F.sum("_n").over(before), F.lit(0)) - F.col("_first")).alias("_add"))
+    return dealt.join(counts, [group, "_part"]).withColumn(out, (F.col("_at") + F.col("_add")).cast("long")).drop("_part", "_at", "_add")

@@ -103,6 +103,6 @@ def pack(docs: DataFrame, buckets: int = BUCKETS, budget: int = TOKEN_BUDGET, mu
     bounds = bounds or [0]
     placed = rows.withColumn("bucket", bucket_column(padded(F.col("n_tokens"), multiple), bounds))
     bound = F.element_at(F.array(*[F.lit(b).cast("long") for b in bounds]), F.col("bucket") + 1)
-    ranked = common.gapless_rank(placed, "bucket", "doc_id", "_slot", (F.col("n_tokens"), F.col("_crc"))).withColumn("padded_tokens", bound)
+    ranked = common.gapless_rank(placed, "bucket", "doc_id", "_slot", ("n_tokens", "_crc")).withColumn("padded_tokens", bound)
     room = F.greatest(F.lit(1).cast("long"), F.floor(F.lit(budget) / F.greatest(F.col("padded_tokens"), F.lit(1))).cast("long"))
     return ranked.select("doc_id", "n_tokens", "bucket", "padded_tokens", F.floor(F.col("_slot") / room).cast("long").alias("batch"), (F.col("_slot") % room).cast("long").alias("place"))

@@ -178,7 +178,8 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str = "quality",
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([statistics(t)[1] for t in batch.column(1).to_pylist()], pa.list_(pa.float64())), batch.column(2)], names=["doc_id", "x", "y"])
 
-    got = picked.select("doc_id", "text", "y").mapInArrow(run, "doc_id long, x array<double>, y int").toPandas()
+    got = picked.select("doc_id", "text", "y").mapInArrow(run, "doc_id long, x array<double>, y int")
+    got = got.orderBy(F.xxhash64("doc_id"), "doc_id", "y", "x").limit(rows).toPandas()  # an id may repeat without bound
     if not len(got):
         return np.zeros((0, len(FEATURES))), np.zeros(0)
     x = np.array(got["x"].tolist())

@@ -61,8 +61,8 @@ def assign(docs: DataFrame, shards: int = 24, id_col: str = "doc_id", text_col:
         (F.coalesce(F.octet_length(body), F.lit(0)).cast("long") + ROW_OVERHEAD).alias("size"),
         F.coalesce(F.crc32(body), F.lit(0).cast("long")).alias("text_crc32"),
     )
-    placed = with_shards(rows, shards)
-    ranked = common.gapless_rank(placed, "shard", "doc_id", "slot", (F.col("size"), F.col("text_crc32")))
+    placed = common.stored(with_shards(rows, shards), "shards")
+    ranked = common.gapless_rank(placed, "shard", "doc_id", "slot", ("size", "text_crc32"))
     return ranked.select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")
 
 
