@@ -79,6 +79,87 @@ def test_simhash_dense_groups(spark):
         assert len(set(zip(mine.values(), want.values(), strict=True))) == len(set(want.values()))
 
 
+def test_simhash_buckets_hot_again_and_again(spark):
+    """Fingerprints that agree on half of their bits and more: buckets are split until nothing is left to split by."""
+    rng = random.Random(9)
+    prints = sorted({(rng.getrandbits(14) << 3) | (0xABCD << 40) for _ in range(300)})
+    fps = spark.createDataFrame([(p,) for p in prints], "fp long")
+    plan = simhash.plan_search(fps)
+    want = classes_of(prints, list(range(len(prints))))
+    rows = simhash.split_hot(simhash.probe_rows(fps, plan), plan, 20)
+    assert rows.select("path").distinct().count() > 4
+    roots = {r.id: r.root for r in common.connected_components(simhash.spanning_links(fps, plan, 20)).collect()}
+    mine = {i: roots.get(p, ("own", i)) for i, p in enumerate(prints)}
+    assert len(set(zip(mine.values(), want.values(), strict=True))) == len(set(want.values())) == len(set(mine.values()))
+
+
+def similar_classes(texts, width=5, similarity=0.8):
+    """Smallest key that each key reaches by pairs of that Jaccard similarity, all pairs compared."""
+    sets = {}
+    for k, t in texts.items():
+        words = re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), t or ""))
+        sets[k] = {tuple(words[i : i + width]) for i in range(max(1, len(words) - width + 1))}
+    root = {k: k for k in texts}
+    near = [(a, b) for a, b in itertools.combinations(sorted(texts), 2) if len(sets[a] & sets[b]) >= similarity * len(sets[a] | sets[b])]
+    while True:
+        new = dict(root)
+        for a, b in near:
+            new[a] = new[b] = min(new[a], new[b])
+        if new == root:
+            return root
+        root = new
+
+
+def test_near_copies(spark):
+    """Against all pairs: copies with words changed here and there, and chains of them; nothing goes that is not similar."""
+    rng = random.Random(11)
+    word = lambda: "".join(rng.choice("abcdefgh") for _ in range(5))
+    texts, k = {}, 0
+    for _ in range(120):
+        base = [word() for _ in range(rng.randrange(60, 200))]
+        for _ in range(rng.randrange(1, 6)):
+            copy = list(base)
+            for _ in range(rng.randrange(0, max(1, len(base) // 25))):
+                copy[rng.randrange(len(copy))] = word()
+            texts[k], k = " ".join(copy), k + 1
+            if rng.random() < 0.3:
+                base = copy
+    root = similar_classes(texts)
+    got = sorted(r.doc_id for r in simhash.representatives(spark.createDataFrame([(k, t, "x") for k, t in texts.items()], DOCS)).collect())
+    want = {k for k in texts if root[k] == k}
+    assert want <= set(got)  # of each class the first stays, and no text goes without a similar one
+    missed = sum(root[k] != k for k in got)
+    assert missed <= 0.1 * (len(texts) - len(want)) and len(texts) - len(want) > 120  # candidates are found with a stated recall
+
+
+def test_least_forest():
+    rng = np.random.default_rng(2)
+    a, b, w = rng.integers(0, 60, 300), rng.integers(0, 60, 300), rng.integers(0, 9, 300)
+    at = common.local_forest(a, b, w)
+    seen, total = {i: i for i in range(60)}, 0
+    find = lambda i: i if seen[i] == i else find(seen[i])
+    for e in np.argsort(w, kind="stable"):
+        x, y = find(int(a[e])), find(int(b[e]))
+        if x != y:
+            seen[x], total = y, total + int(w[e])
+    assert w[at].sum() == total and len(at) == 60 - len({find(i) for i in range(60)})
+
+
+def test_representatives(spark):
+    """Rows without an id and rows that share one go only as near-duplicates; which row stays does not depend on the order of rows."""
+    words = lambda s: " ".join(f"{s}{i}" for i in range(60))
+    rows = [(None, words("a"), "x"), (None, words("b"), "x"), (None, words("c"), "y"), (5, words("d"), "x"), (5, words("e"), "x"), (5, words("d"), "x"), (5, words("d"), "z"), (2, words("a"), "y"), (9, words("b"), "y"), (7, None, "x"), (8, "", "x")]
+    want = {(2, words("a")), (9, words("b")), (None, words("c")), (5, words("d")), (5, words("e")), (7, None)}
+    seen = set()
+    for seed in range(2):
+        random.Random(seed).shuffle(rows)
+        got = simhash.representatives(spark.createDataFrame(rows, DOCS)).collect()
+        assert len(got) == len(want) and {(r.doc_id, r.text) for r in got} == want
+        seen.add(tuple(sorted(map(str, got))))
+    assert len(seen) == 1
+    assert simhash.representatives(spark.createDataFrame([], DOCS)).columns == ["doc_id", "text", "lang"]
+
+
 def test_flood_equals_pairs():
     rng = np.random.default_rng(1)
     fp = (rng.integers(0, 1 << 12, 400) | (7 << 40)).astype(np.int64)
@@ -372,10 +453,12 @@ def test_shard_growth_moves_its_share():
         assert set(b[a != b]) == {n} and abs((a != b).mean() - 1 / (n + 1)) < 0.01 and b.max() == n
 
 
-def test_ranks_over_many_chunks(spark, monkeypatch):
-    monkeypatch.setattr(common, "RANK_CHUNK", 16)
-    rows = spark.range(1000).select((F.col("id") * 3 - 500).alias("k"), (F.col("id") % 3).alias("g")).unionByName(spark.sql("select cast(null as bigint) k, 1L g from range(5)"))
-    got = common.gapless_rank(rows, "g", "k", "n").toPandas()
+def test_ranks_over_many_ranges(spark):
+    """Sparse ids, nulls, one id of a third of all rows and rows equal in everything; no range holds much more than its share."""
+    rows = spark.range(1000).select(F.shiftleft(F.col("id") * 3 - 500, 40).alias("k"), (F.col("id") % 3).alias("g"), F.lit(0).alias("t")).unionByName(spark.sql("select cast(null as bigint) k, 1L g, 0 t from range(5)"))
+    rows = common.stored(rows.unionByName(spark.sql("select 77L k, 2L g, 1 t from range(500)")).repartition(7), "rows")
+    got = common.gapless_rank(rows, "g", "k", "n", ("t",)).toPandas()
+    assert len(got) == 1505
     for _, part in got.groupby("g"):
         part = part.sort_values("n")
         assert part.n.tolist() == list(range(len(part))) and part.k.dropna().is_monotonic_increasing
@@ -652,6 +735,15 @@ def test_bounds_hold():
         u = x / np.linalg.norm(x, axis=1, keepdims=True)
         want = {(a, b) for a, b in zip(*np.nonzero(u @ u.T >= 0.98), strict=True) if a < b}
         assert set(zip(i.tolist(), j.tolist(), strict=True)) == want and n < 60 * 59 / 2
+    for dim in (3072, 5000):  # integer products beyond what float32 holds
+        x = np.abs(rng.standard_normal((20, dim)))
+        x[10:] = x[:10] * (1 + 0.15 * rng.standard_normal((10, dim)))
+        codes = embed.unit_codes(x)
+        middle, error = embed.estimates(codes, codes)
+        q, scale = codes[0].astype(np.int64), codes[1]
+        assert np.array_equal(middle, (q @ q.T).astype(float) * scale[:, None] * scale[None, :])
+        u = x / np.linalg.norm(x, axis=1, keepdims=True)
+        assert (np.abs(u @ u.T - middle) <= error + 1e-12).all()
 
 
 def test_embeddings(spark):
