@@ -214,6 +214,20 @@ def induced(graph: Graph, ids: DataFrame) -> Graph:
     return Graph(edges, keep, graph.name)
 
 
+def dedupe(graph: Graph) -> Graph:
+    """Parallel edges as one, their weights summed."""
+    return Graph.of(graph.edges, graph.extra, graph.name)
+
+
+def compact_ids(graph: Graph) -> tuple[Graph, DataFrame]:
+    """The graph under ids 0, 1, 2, ... in the order of the old ones, and the map ``(id, new_id)``."""
+    from netprop.operators.ranks import numbered
+
+    names = numbered(graph.vertices, ["id"], "new_id")
+    edges = graph.edges.join(names.select(F.col("id").alias("src"), F.col("new_id").alias("s")), "src").join(names.select(F.col("id").alias("dst"), F.col("new_id").alias("t")), "dst")
+    return Graph(edges.select(F.col("s").alias("src"), F.col("t").alias("dst"), "w"), names.select(F.col("new_id").alias("id")), graph.name), names
+
+
 def drop_isolated(graph: Graph) -> Graph:
     return replace(graph, extra=None)
 

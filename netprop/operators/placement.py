@@ -14,6 +14,7 @@ from pyspark.sql.window import Window
 from netprop import session
 from netprop.operators import problems
 from netprop.operators.graphs import Graph, undirected
+from netprop.operators.ranks import numbered
 
 #: Vertices that one step of the id pool covers.
 POOL_STEP = 64
@@ -50,18 +51,20 @@ def communities(graph: Graph, rounds: int = 5) -> DataFrame:
 def pack(grouped: DataFrame, parts: int) -> DataFrame:
     """Communities in order of size onto parts: each part takes the next full share of vertices, so large ones may span parts."""
     sizes = grouped.groupBy("community").agg(F.count("*").alias("n"))
-    order = Window.orderBy(F.desc("n"), "community").rowsBetween(Window.unboundedPreceding, -1)
-    placed = sizes.withColumn("before", F.coalesce(F.sum("n").over(order), F.lit(0)))
+    # a community starts after those of larger size, and after earlier ones of its own size: one row per size in the window
+    same = numbered(sizes, ["community"], "k", "n").withColumnRenamed("k", "earlier")
+    each = sizes.groupBy("n").agg((F.sum("n")).alias("mass"))
+    larger = each.select("n", F.coalesce(F.sum("mass").over(Window.orderBy(F.desc("n")).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("larger"))
+    placed = same.join(larger, "n").select("community", (F.col("larger") + F.col("earlier") * F.col("n")).alias("before"))
     total = sizes.agg(F.sum("n").alias("all"))
-    within = Window.partitionBy("community").orderBy("id")
-    rows = grouped.withColumn("k", F.row_number().over(within) - 1).join(placed, "community").join(F.broadcast(total))  # one row
+    rows = numbered(grouped, ["id"], "k", "community").join(placed, "community").join(F.broadcast(total))  # one row
     return rows.select("id", F.least(F.lit(parts - 1), F.floor((F.col("before") + F.col("k")) * parts / F.col("all"))).cast("int").alias("part"))
 
 
 def relabel(graph: Graph, placed: DataFrame, parts: int) -> tuple[Graph, DataFrame]:
     """The graph under new ids whose hash is the wanted part, and the map ``(id, new_id)``."""
     spark = placed.sparkSession
-    placed = session.stored(placed.withColumn("k", F.row_number().over(Window.partitionBy("part").orderBy("id"))), "placed")
+    placed = session.stored(numbered(placed, ["id"], "k", "part"), "placed")
     most = placed.groupBy("part").count().agg(F.max("count")).first()[0] or 0
     size = 2 * parts * (most + POOL_STEP)
     while True:
@@ -69,7 +72,7 @@ def relabel(graph: Graph, placed: DataFrame, parts: int) -> tuple[Graph, DataFra
         if (pool.groupBy("part").count().agg(F.min("count"), F.count("*")).first() or (0, 0))[0] >= most:
             break
         size *= 2
-    pool = pool.withColumn("k", F.row_number().over(Window.partitionBy("part").orderBy("new_id")))
+    pool = numbered(pool, ["new_id"], "k", "part")
     names = session.stored(placed.join(pool, ["part", "k"]).select("id", "new_id"), "names")
     edges = graph.edges.join(names.select(F.col("id").alias("src"), F.col("new_id").alias("s")), "src").join(names.select(F.col("id").alias("dst"), F.col("new_id").alias("d")), "dst")
     return Graph(edges.select(F.col("s").alias("src"), F.col("d").alias("dst"), "w"), names.select(F.col("new_id").alias("id")), graph.name), names

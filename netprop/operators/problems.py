@@ -34,7 +34,7 @@ def distance_program() -> VertexProgram:
 
 def _sourced(graph: Graph, source: int | list[int], column: str, zero) -> DataFrame:
     sources = [source] if isinstance(source, int) else list(source)
-    vertices = graph.vertices
+    vertices = session.stored(graph.vertices, "vertices")
     found = vertices.where(F.col("id").isin(sources)).count()
     if found != len(set(sources)):
         raise ValueError("a source is not a vertex of the graph")
@@ -43,23 +43,26 @@ def _sourced(graph: Graph, source: int | list[int], column: str, zero) -> DataFr
 
 
 def shortest_hops(
-    graph: Graph, source: int | list[int], engine: str | Engine = "resident", max_rounds: int = 10, stop: str = "quiescent", activation: str = "improved",
+    graph: Graph, source: int | list[int], engine: str | Engine = "resident", max_rounds: int | None = None, stop: str = "quiescent", activation: str = "improved",
     unreached: str = "null", options: EngineOptions | None = None,
 ) -> RunResult:
-    """Fewest edges from the source (or the nearest of several): ``(id, hops)``; null, or 2147483647 with ``unreached='max'``, where there is no path."""
+    """Fewest edges from the source (or the nearest of several): ``(id, hops)``; null, or 2147483647 with ``unreached='max'``, where there is no path.
+
+    ``stop='quiescent'`` goes on until no message is pending, however deep the graph; 'fixed' runs ``max_rounds`` rounds (10).
+    """
     result = engine_of(engine).run(graph, hop_program(activation), _sourced(graph, source, "hops", 0), max_rounds, stop, options_of(engine, options))
     if unreached == "max":
         result.state = result.state.select("id", F.coalesce("hops", F.lit(FAR)).alias("hops"))
     return result
 
 
-def shortest_paths(graph: Graph, source: int | list[int], engine: str | Engine = "resident", max_rounds: int = 100, options: EngineOptions | None = None) -> RunResult:
+def shortest_paths(graph: Graph, source: int | list[int], engine: str | Engine = "resident", max_rounds: int | None = None, options: EngineOptions | None = None) -> RunResult:
     """Least sum of weights from the source: ``(id, distance)``."""
     return engine_of(engine).run(graph, distance_program(), _sourced(graph, source, "distance", 0.0), max_rounds, "quiescent", options_of(engine, options))
 
 
 def recursive_sql_hops(spark: SparkSession, graph: Graph, source: int, max_rounds: int = 10) -> DataFrame:
-    """Hop counts as one recursive query, for small graphs: every path up to ``max_rounds`` is walked, ids once a level."""
+    """Hop counts up to ``max_rounds`` as one recursive query, for small graphs: every path is walked, ids once a level; the engine allows 100 levels."""
     graph.edges.select("src", "dst").createOrReplaceTempView("netprop_hop_edges")
     return spark.sql(f"""
         WITH RECURSIVE walk(id, hops) AS (
@@ -115,8 +118,6 @@ def relational_influence(
         raise ValueError("seeds: clamped, overwrite, first; gate: known, all")
     if gate == "all" and prior is None:
         raise ValueError("gate='all' needs a prior")
-    if activation == "messaged" and engine not in ("resident",):
-        raise ValueError("'messaged' is a policy of the resident engine")
     known = labels.groupBy("id").agg(F.max("p").alias("p"))
     ids = graph.vertices.select("id").unionByName(labels.select("id")).distinct()
     start = F.col("p") if gate == "known" else F.coalesce("p", F.lit(prior))
@@ -177,6 +178,12 @@ def decide(result: DataFrame, rule: str = "argmax") -> DataFrame:
     return result.groupBy("id").agg(F.max_by("class", F.struct(F.round("p", 9), -F.col("class"))).alias("class"))
 
 
+def transferred_influence(source: DataFrame, target: Graph, labels: DataFrame, rounds: int = 10, engine: str | Engine = "resident", seeds: str = "clamped", options: EngineOptions | None = None) -> RunResult:
+    """Across networks: influence on ``target`` whose unlabelled vertices start from the mean likelihood of ``(id, p)`` results of another network."""
+    prior = source.agg(F.avg("p")).first()[0]
+    return relational_influence(target, labels, rounds, engine, seeds, gate="known" if prior is None else "all", prior=prior, options=options)
+
+
 def transfer_prior(source: DataFrame, target: Graph) -> DataFrame:
     """Across networks: each vertex of ``target`` starts with the class distribution of ``(id, class, p)`` results: ``(id, class, p)``."""
     share = source.groupBy("class").agg(F.sum("p").alias("m"))

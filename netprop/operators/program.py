@@ -43,9 +43,9 @@ class VertexProgram:
 
     # -- pieces that the engines put together
 
-    def messages(self, joined: DataFrame) -> DataFrame:
+    def messages(self, joined: DataFrame, *more: Column) -> DataFrame:
         """Messages of rows that hold the sender's state, ``dst`` and ``w``."""
-        return joined.select("dst", *[make().alias(c) for c, make in self.payload.items()])
+        return joined.select("dst", *[make().alias(c) for c, make in self.payload.items()], *more)
 
     def combined(self, messages: DataFrame, by: str = "dst") -> DataFrame:
         return messages.groupBy(by).agg(*[COMBINERS[how](c).alias(c) for c, how in self.combine.items()], F.count("*").alias("_n"))

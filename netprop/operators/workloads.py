@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
+from netprop import session
 from netprop.operators import engines, graphs, problems
 from netprop.operators.graphs import Graph
 from netprop.sources.tables import table
@@ -23,6 +26,22 @@ def build(spark: SparkSession, sf_dir: str, name: str) -> Graph:
     }[name]()
 
 
+def ready(spark: SparkSession, sf_dir: str, name: str) -> Graph:
+    """The graph with its edges written once: a run reads them several times."""
+    graph = build(spark, sf_dir, name)
+    return replace(graph, edges=session.stored(graph.edges, f"edges-{name}"))
+
+
+def places_of(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``(id, value)``: the nation of customers, their orders, suppliers and nations in the entity graph, by which it may be placed."""
+    t = lambda n: table(spark, sf_dir, n)
+    key = lambda c, k: (F.col(c).cast("long") * 8 + k).alias("id")
+    customers = t("customer").select("c_custkey", F.col("c_nationkey").cast("long").alias("value"))
+    orders = t("orders").join(customers, F.col("o_custkey") == F.col("c_custkey")).select(key("o_orderkey", 1), "value")
+    rows = customers.select(key("c_custkey", 0), "value").unionByName(orders)
+    return rows.unionByName(t("supplier").select(key("s_suppkey", 3), F.col("s_nationkey").cast("long").alias("value"))).unionByName(t("nation").select(key("n_nationkey", 4), F.col("n_nationkey").cast("long").alias("value")))
+
+
 def labels_for(spark: SparkSession, sf_dir: str, name: str, graph: Graph) -> DataFrame:
     """Scalar labels: duration shares on call graphs, coins elsewhere."""
     if name.startswith("call"):
@@ -46,11 +65,14 @@ def source_of(graph: Graph, name: str) -> int:
 
 
 def run(spark: SparkSession, sf_dir: str, problem: str, name: str, engine: str, rounds: int = 10, stop: str = "fixed", partitions: int | None = None) -> engines.RunResult:
-    graph = build(spark, sf_dir, name)
-    options = engines.EngineOptions(partitions=partitions)
+    return run_on(ready(spark, sf_dir, name), problem, engine, rounds, stop, engines.EngineOptions(partitions=partitions), source_of, lambda g: labels_for(spark, sf_dir, name, g))
+
+
+def run_on(graph: Graph, problem: str, engine: str, rounds: int = 10, stop: str = "fixed", options: engines.EngineOptions | None = None, source=None, labels=graphs.coin_labels) -> engines.RunResult:
+    """One problem on one graph: hops from ``source`` (a function of graph and name; else vertex 0), or influence of masked ``labels``."""
     if problem == "hops":
-        return problems.shortest_hops(graph, source_of(graph, name), engine, rounds, stop, options=options)
-    return problems.relational_influence(graph, graphs.mask_labels(labels_for(spark, sf_dir, name, graph)), rounds, engine, "overwrite", stop=stop, options=options)
+        return problems.shortest_hops(graph, source(graph, graph.name) if source else 0, engine, rounds, stop, options=options)
+    return problems.relational_influence(graph, graphs.mask_labels(labels(graph)), rounds, engine, "overwrite", stop=stop, options=options)
 
 
 def compare_engines(spark: SparkSession, sf_dir: str, problem: str, names=STAND_INS, which=ENGINES, rounds: int = 10) -> DataFrame:
@@ -64,14 +86,30 @@ def compare_sizes(spark: SparkSession, sf_dirs: list[str], problem: str, name: s
 
 
 def compare_partitions(spark: SparkSession, sf_dir: str, problem: str, name: str, counts=(1, 2, 4, 8, 16, 32), which=ENGINES, rounds: int = 10) -> DataFrame:
-    """Traces by partition count, the stand-in for the number of machines within one session (W5)."""
+    """Traces by partition count within one session; core counts need sessions of their own (experiments.cores)."""
     return _traces(spark, [(problem, name, e, rounds, p, sf_dir) for p in counts for e in which])
 
 
-def compare_combine(spark: SparkSession, graph: Graph, labels: DataFrame, rounds: int = 3) -> dict[str, engines.RunResult]:
+def compare_combine(spark: SparkSession, graph: Graph, labels: DataFrame, rounds: int = 3, partitions: int | None = None, hub_degree: int = 100) -> dict[str, engines.RunResult]:
     """Influence with the combiner, without, and with salted hubs (W12)."""
-    kinds = {"on": engines.EngineOptions(), "off": engines.EngineOptions(combine=False), "salted": engines.EngineOptions(salt=8, hub_degree=100)}
-    return {k: problems.relational_influence(graph, labels, rounds, options=o) for k, o in kinds.items()}
+    kinds = {"on": {}, "off": {"combine": False}, "salted": {"salt": 8, "hub_degree": hub_degree}}
+    return {k: problems.relational_influence(graph, labels, rounds, options=engines.EngineOptions(partitions=partitions, **o)) for k, o in kinds.items()}
+
+
+def compare_placements(spark: SparkSession, graph: Graph, source: int, attribute: DataFrame, parts: int, engine: str = "resident") -> DataFrame:
+    """``(strategy, cut, vertices, edges, messages, mean_ms)``: edge cut, balance and time of a hop search by placement (W11)."""
+    from netprop.operators import placement
+
+    rows = []
+    for strategy in ("hash", "range", "cluster"):
+        placed = session.stored(placement.part_of(graph, strategy, parts, attribute), "placed")
+        moved, names = placement.relabel(graph, placed, parts)
+        moved = replace(moved, edges=session.stored(moved.edges, "moved"))
+        at = names.where(F.col("id") == source).first()["new_id"]
+        result = problems.shortest_hops(moved, at, engine, options=engines.EngineOptions(partitions=parts))
+        cut, even = placement.edge_cut(graph, placed).first(), placement.balance(graph, placed).first()
+        rows.append((strategy, cut["cut"], even["vertices"], even["edges"], even["messages"], sum(t["ms"] for t in result.trace) / max(result.rounds, 1)))
+    return spark.createDataFrame(rows, "strategy string, cut double, vertices double, edges double, messages double, mean_ms double")
 
 
 def _traces(spark: SparkSession, jobs: list[tuple], sized: bool = False) -> DataFrame:

@@ -61,24 +61,34 @@ def degrees(name: str) -> str:
     return f"{graph(name)} SELECT degree, COUNT(*) AS vertices FROM (SELECT COUNT(*) AS degree FROM e GROUP BY dst) GROUP BY degree"
 
 
-_HOPS = "h(id, d) AS (SELECT CAST({s} AS BIGINT), 0 UNION SELECT e.dst, h.d + 1 FROM h JOIN e ON e.src = h.id WHERE h.d < {cap}), best AS (SELECT id, MIN(d) AS d FROM h GROUP BY id)"
+_CAPPED = "h(id, d) AS (SELECT CAST({s} AS BIGINT), 0 UNION SELECT e.dst, h.d + 1 FROM h JOIN e ON e.src = h.id WHERE h.d < {cap}), best AS (SELECT id, MIN(d) AS d FROM h GROUP BY id)"
+#: Level by level until no vertex is new: a vertex has one row.
+_QUIET = "h(id, d) USING KEY (id) AS (SELECT CAST({s} AS BIGINT), 0 UNION SELECT e.dst, MIN(h.d) + 1 FROM h JOIN e ON e.src = h.id LEFT JOIN recurring.h AS k ON k.id = e.dst WHERE k.id IS NULL GROUP BY e.dst), best AS (SELECT id, d FROM h)"
 
 
-def hops(name: str, cap: int = 10, select: str = "SELECT v.id, CAST(best.d AS INTEGER) AS hops FROM v LEFT JOIN best ON best.id = v.id") -> str:
-    return f"{graph(name, True)}, {_HOPS.format(s=SOURCE[name], cap=cap)} {select}"
+def hops(name: str, cap: int | None = None, select: str = "SELECT v.id, CAST(best.d AS INTEGER) AS hops FROM v LEFT JOIN best ON best.id = v.id", source: str | None = None) -> str:
+    """Without ``cap`` the search ends when nothing is new."""
+    found = (_QUIET if cap is None else _CAPPED).format(s=source or SOURCE[name], cap=cap)
+    return f"{graph(name, True)}, {found} {select}"
 
 
-def hop_messages(name: str, cap: int = 10) -> str:
+def hop_messages(name: str) -> str:
     """Messages and senders of each round: a vertex sends once, in the round after it was found."""
-    return hops(name, cap, f"SELECT CAST(d + 1 AS INTEGER) AS round, COUNT(DISTINCT best.id) AS senders, COUNT(e.dst) AS messages FROM best LEFT JOIN e ON e.src = best.id WHERE d < {cap} GROUP BY d")
+    return hops(name, select="SELECT CAST(d + 1 AS INTEGER) AS round, COUNT(DISTINCT best.id) AS senders, COUNT(e.dst) AS messages FROM best LEFT JOIN e ON e.src = best.id GROUP BY d")
 
 
-def distance(name: str, rounds: int = 12) -> str:
-    """Least weight sums by relaxation of all edges, round by round."""
-    return f"""{graph(name, True)}, s(r, id, d) AS (
-      SELECT 0, id, CASE WHEN id = {SOURCE[name]} THEN 0.0::DOUBLE END FROM v
-      UNION ALL SELECT s.r + 1, s.id, LEAST(s.d, m.d) FROM s LEFT JOIN (SELECT e.dst, MIN(q.d + e.w) AS d FROM s q JOIN e ON e.src = q.id GROUP BY e.dst) m ON m.dst = s.id WHERE s.r < {rounds}
-    ) SELECT id, ROUND(d, 6) AS distance FROM s WHERE r = {rounds}"""
+def nearest(name: str, sources: tuple[int, ...]) -> str:
+    """Hops from the nearest of several sources: the least over searches from each."""
+    each = ", ".join(f"{_QUIET.format(s=x)}".replace("h(id", f"h{x}(id").replace("recurring.h ", f"recurring.h{x} ").replace("FROM h ", f"FROM h{x} h ").replace("FROM h)", f"FROM h{x})").replace("best AS", f"best{x} AS") for x in sources)
+    both = " UNION ALL ".join(f"SELECT id, d FROM best{x}" for x in sources)
+    return f"{graph(name, True)}, {each}, best AS (SELECT id, MIN(d) AS d FROM ({both}) GROUP BY id) SELECT v.id, CAST(best.d AS INTEGER) AS hops FROM v LEFT JOIN best ON best.id = v.id"
+
+
+def distance(name: str) -> str:
+    """Least weight sums: relaxed until none gets less."""
+    return f"""{graph(name, True)}, h(id, d) USING KEY (id) AS (SELECT CAST({SOURCE[name]} AS BIGINT), 0.0::DOUBLE
+      UNION SELECT e.dst, MIN(h.d + e.w) FROM h JOIN e ON e.src = h.id LEFT JOIN recurring.h AS k ON k.id = e.dst WHERE k.id IS NULL OR h.d + e.w < k.d GROUP BY e.dst)
+      SELECT v.id, ROUND(h.d, 6) AS distance FROM v LEFT JOIN h ON h.id = v.id"""
 
 
 def share_labels(ranks: str = "1, 2") -> str:
@@ -94,14 +104,14 @@ def labels(name: str) -> str:
     return share_labels("3, 4" if name == "call_next" else "1, 2") if name.startswith("call") else f"SELECT id, {COIN} AS p FROM v"
 
 
-def influence(name: str, seeds: str = "clamped", rounds: int = 10, mask: bool = True, activation: str = "all", select: str | None = None) -> str:
+def influence(name: str, seeds: str = "clamped", rounds: int = 10, mask: bool = True, activation: str = "all", select: str | None = None, prior: str | None = None) -> str:
     where = "WHERE MOD(MOD(id, 10) + 10, 10) < 7" if mask else ""
     new = {"clamped": "CASE WHEN s.seed THEN s.p ELSE COALESCE(m.lw / NULLIF(m.sw, 0), s.p) END", "overwrite": "COALESCE(m.lw / NULLIF(m.sw, 0), s.p)", "first": "COALESCE(s.p, m.lw / NULLIF(m.sw, 0))"}[seeds]
     sends = "q.p IS NOT NULL" + (" AND q.act" if activation == "messaged" else "")
     last = select or f"SELECT id, ROUND(p, 6) AS p FROM s WHERE r = {rounds}"
     return f"""{graph(name, True)}, lab AS MATERIALIZED (SELECT id, p FROM ({labels(name)}) {where}), ids AS MATERIALIZED (SELECT id FROM v UNION SELECT id FROM lab),
     s(r, id, p, seed, act) AS (
-      SELECT 0, ids.id, lab.p, lab.p IS NOT NULL, TRUE FROM ids LEFT JOIN lab ON lab.id = ids.id
+      SELECT 0, ids.id, {f"COALESCE(lab.p, {prior})" if prior else "lab.p"}, lab.p IS NOT NULL, TRUE FROM ids LEFT JOIN lab ON lab.id = ids.id
       UNION ALL SELECT s.r + 1, s.id, {new}, s.seed, m.dst IS NOT NULL FROM s
         LEFT JOIN (SELECT e.dst, SUM(q.p * e.w) AS lw, SUM(e.w) AS sw FROM s q JOIN e ON e.src = q.id WHERE {sends} GROUP BY e.dst) m ON m.dst = s.id WHERE s.r < {rounds}
     ) {last}"""

@@ -12,7 +12,7 @@ from netprop.sources.tables import table
 
 GRAPHS = tuple(oracle.EDGES)
 #: Graphs on which every engine is run; the others are run on the resident engine.
-ENGINE_GRAPHS = ("call_top", "follow")
+ENGINE_GRAPHS = ("call_next", "call_top", "related", "follow")
 PARTITIONS = 8
 
 
@@ -37,13 +37,14 @@ def degrees(spark, sf_dir, name):
     return graphs.degree_histogram(workloads.build(spark, sf_dir, name))
 
 
-def _hops(spark, sf_dir, name, engine="resident", rounds=10, stop="quiescent"):
-    graph = workloads.build(spark, sf_dir, name)
-    return problems.shortest_hops(graph, workloads.source_of(graph, name), engine, rounds, stop, options=_options())
+def _hops(spark, sf_dir, name, engine="resident", stop="quiescent", source=None, activation="improved"):
+    """Quiescent runs end when no message is pending, fixed ones after ten rounds."""
+    graph = workloads.ready(spark, sf_dir, name)
+    return problems.shortest_hops(graph, workloads.source_of(graph, name) if source is None else source, engine, None, stop, activation, options=_options())
 
 
-def hops(spark, sf_dir, name, engine="resident", stop="quiescent"):
-    return _hops(spark, sf_dir, name, engine, stop=stop).state
+def hops(spark, sf_dir, name, engine="resident", stop="quiescent", source=None, activation="improved"):
+    return _hops(spark, sf_dir, name, engine, stop, source, activation).state
 
 
 def hop_histogram(spark, sf_dir, name):
@@ -60,13 +61,13 @@ def hop_messages(spark, sf_dir, name):
 
 
 def hops_sql(spark, sf_dir, name):
-    graph = workloads.build(spark, sf_dir, name)
+    graph = workloads.ready(spark, sf_dir, name)
     return problems.recursive_sql_hops(spark, graph, 0, 10)
 
 
 def distance(spark, sf_dir, name):
-    graph = workloads.build(spark, sf_dir, name)
-    return problems.shortest_paths(graph, 0, max_rounds=12, options=_options()).state.select("id", F.round("distance", 6).alias("distance"))
+    graph = workloads.ready(spark, sf_dir, name)
+    return problems.shortest_paths(graph, 0, options=_options()).state.select("id", F.round("distance", 6).alias("distance"))
 
 
 def labels(spark, sf_dir, name):
@@ -74,14 +75,27 @@ def labels(spark, sf_dir, name):
     return workloads.labels_for(spark, sf_dir, name, graph).select("id", F.round("p", 6).alias("p"))
 
 
-def _influence(spark, sf_dir, name, engine="resident", seeds="overwrite", mask=True, activation="all"):
-    graph = workloads.build(spark, sf_dir, name)
+def _influence(spark, sf_dir, name, engine="resident", seeds="overwrite", mask=True, activation="all", rounds=10, prior=None):
+    graph = workloads.ready(spark, sf_dir, name)
     known = workloads.labels_for(spark, sf_dir, name, graph)
-    return problems.relational_influence(graph, graphs.mask_labels(known) if mask else known, 10, engine, seeds, activation=activation, options=_options())
+    gate = "known" if prior is None else "all"
+    return problems.relational_influence(graph, graphs.mask_labels(known) if mask else known, rounds, engine, seeds, gate, activation, prior, options=_options())
+
 
+def influence(spark, sf_dir, name, engine="resident", seeds="overwrite", mask=True, activation="all", rounds=10, prior=None):
+    return _influence(spark, sf_dir, name, engine, seeds, mask, activation, rounds, prior).state.select("id", F.round("p", 6).alias("p"))
 
-def influence(spark, sf_dir, name, engine="resident", seeds="overwrite", mask=True, activation="all"):
-    return _influence(spark, sf_dir, name, engine, seeds, mask, activation).state.select("id", F.round("p", 6).alias("p"))
+
+def decided(spark, sf_dir, name):
+    return problems.decide(_influence(spark, sf_dir, name, seeds="clamped").state, "threshold")
+
+
+def transferred(spark, sf_dir):
+    """What the small call network learnt is the start of the large one's unlabelled vertices."""
+    source = _influence(spark, sf_dir, "call_next", seeds="clamped").state
+    graph = workloads.ready(spark, sf_dir, "call_top")
+    known = graphs.mask_labels(workloads.labels_for(spark, sf_dir, "call_top", graph))
+    return problems.transferred_influence(source, graph, known, options=_options()).state.select("id", F.round("p", 6).alias("p"))
 
 
 def influence_messages(spark, sf_dir, name):
@@ -109,9 +123,9 @@ def class_scores(spark, sf_dir, name, seeds="clamped"):
 
 
 def placed_hops(spark, sf_dir, strategy):
-    """Hop counts after relabelling for a placement: the same as without."""
-    graph = workloads.build(spark, sf_dir, "entity" if strategy == "range" else "follow")
-    attribute = graph.vertices.select("id", F.pmod("id", F.lit(8)).alias("value")) if strategy == "range" else None
+    """Hop counts after relabelling for a placement (range: by nation): the same as without."""
+    graph = workloads.ready(spark, sf_dir, "entity" if strategy == "range" else "follow")
+    attribute = workloads.places_of(spark, sf_dir) if strategy == "range" else None
     placed = placement.part_of(graph, strategy, PARTITIONS, attribute)
     return placement.placed_hops(graph, 0, placed, PARTITIONS)
 
@@ -129,7 +143,7 @@ def placement_report(spark, sf_dir):
 
 
 def combine(spark, sf_dir, kind):
-    graph = workloads.build(spark, sf_dir, "call_top")
+    graph = workloads.ready(spark, sf_dir, "call_top")
     known = graphs.mask_labels(workloads.labels_for(spark, sf_dir, "call_top", graph))
     how = {"on": {}, "off": {"combine": False}, "salted": {"salt": 4, "hub_degree": 10}}[kind]
     return problems.relational_influence(graph, known, 10, "resident", "overwrite", options=_options(**how)).state.select("id", F.round("p", 6).alias("p"))
@@ -185,9 +199,20 @@ for _g in ("call_top", "call_next", "related", "follow", "sequence"):
 for _g in ("follow", "sequence", "entity", "chain"):
     _add(f"hop_histogram_{_g}", partial(hop_histogram, name=_g), oracle.hops(_g, select="SELECT CAST(best.d AS INTEGER) AS hops, COUNT(*) AS vertices FROM v LEFT JOIN best ON best.id = v.id GROUP BY best.d"))
     _add(f"unreached_{_g}", partial(unreached, name=_g), oracle.hops(_g, select="SELECT v.id FROM v LEFT JOIN best ON best.id = v.id WHERE best.d IS NULL"))
-_add("hops_fixed10_chain", partial(hops, name="chain", stop="fixed"), oracle.hops("chain"))
-_add("hops_fixed10_follow", partial(hops, name="follow", stop="fixed"), oracle.hops("follow"))
-_add("hops_recursive_sql_follow", partial(hops_sql, name="follow"), oracle.hops("follow", select="SELECT id, CAST(d AS INTEGER) AS hops FROM best"))
+for _g in ("chain", "follow"):
+    _add(f"hops_fixed10_{_g}", partial(hops, name=_g, stop="fixed"), oracle.hops(_g, 10))
+for _e in ("colocated", "reduce_merge", "reshuffle1", "reshuffle2"):
+    _add(f"hops_{_e}_chain", partial(hops, name="chain", engine=_e), oracle.hops("chain"))
+    _add(f"influence_messaged_{_e}_follow", partial(influence, name="follow", engine=_e, mask=False, activation="messaged"), oracle.influence("follow", "overwrite", mask=False, activation="messaged"))
+_add("hops_broadcast_follow", partial(hops, name="follow", activation="all", stop="fixed"), oracle.hops("follow", 10))
+_add("hops_nearest_follow", partial(hops, name="follow", source=[0, 7]), oracle.nearest("follow", (0, 7)))
+for _g in ("entity", "chain", "wordlink"):
+    _add(f"influence_resident_{_g}", partial(influence, name=_g), oracle.influence(_g, "overwrite"))
+_add("influence_gate_all_follow", partial(influence, name="follow", prior=0.25), oracle.influence("follow", "overwrite", prior="0.25::DOUBLE"))
+_add("influence_one_round_follow", partial(influence, name="follow", seeds="clamped", rounds=1), oracle.influence("follow", "clamped", 1))
+_add("decide_threshold_call_top", partial(decided, name="call_top"), oracle.influence("call_top", "clamped", select="SELECT id, p >= 0.5 AS positive FROM s WHERE r = 10 AND p IS NOT NULL"))
+_add("influence_transferred_call_top", transferred, f"WITH prior AS (SELECT AVG(p) AS p FROM ({oracle.influence('call_next', 'clamped', select='SELECT id, p FROM s WHERE r = 10')})) SELECT * FROM ({oracle.influence('call_top', 'clamped', prior='(SELECT p FROM prior)')})")
+_add("hops_recursive_sql_follow", partial(hops_sql, name="follow"), oracle.hops("follow", 10, select="SELECT id, CAST(d AS INTEGER) AS hops FROM best"))
 _add("distance_call_top", partial(distance, name="call_top"), oracle.distance("call_top"))
 _add("labels_share", partial(labels, name="call_top"), f"SELECT id, ROUND(p, 6) AS p FROM ({oracle.share_labels()})")
 _add("labels_coin", partial(labels, name="follow"), f"{oracle.graph('follow')} SELECT id, {oracle.COIN} AS p FROM v")

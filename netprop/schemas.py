@@ -17,7 +17,7 @@ CLASS_LABELS = _schema("id long, class int, p double", "id class p")
 CLASSES = _schema("class int, name string", "class name")
 CALLS = _schema("ts timestamp, src long, dst long, tariff string, dur long", "ts src dst tariff dur")
 HOPS = _schema("id long, hops int", "id")
-TRACE = _schema("run_id string, problem string, engine string, graph string, cores int, partitions int, round int, ms long, active long, messages long, improved long, shuffle_rows long, stored_rows long", "run_id round")
+TRACE = _schema("run_id string, problem string, engine string, graph string, cores int, partitions int, round int, ms long, active long, messages long, improved long, shuffle_rows long, shuffle_bytes long, stored_rows long, stored_bytes long", "run_id round")
 
 
 def conform(df: DataFrame, schema: T.StructType) -> DataFrame:

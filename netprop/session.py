@@ -33,11 +33,13 @@ def loop_conf(spark: SparkSession, partitions: int, broadcast: bool = False):
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir, which all executors see; a temporary one only where none is set."""
+    """The folder in spark.checkpoint.dir, which all executors see; a temporary one only where none is set and all run in one process."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         if held.isEmpty():
+            if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+                raise RuntimeError("spark.checkpoint.dir must name a folder that all executors see")
             spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="netprop-"))
             held = spark.sparkContext._jsc.sc().getCheckpointDir()
         found = held.get()
@@ -59,3 +61,48 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     path = fresh_path(df.sparkSession, name)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def size_of(spark: SparkSession, path: str) -> int:
+    """Bytes under a path of any Hadoop file system; 0 where there is none."""
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    files = target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    return files.getContentSummary(target).getLength() if files.exists(target) else 0
+
+
+def checkpoint_path(df: DataFrame) -> str | None:
+    """Where a checkpointed frame's rows lie."""
+    held = df._jdf.queryExecution().analyzed().rdd().getCheckpointFile()
+    return held.get() if held.isDefined() else None
+
+
+def cut(df: DataFrame) -> DataFrame:
+    """A persisted frame as the leaf of a new plan, with its partitioning; nothing is written.
+
+    Else each round's plan would hold those of all rounds before, twice. The lineage
+    stays behind it, so lost executors cost a recomputation and no more.
+    """
+    jvm, made = df.sparkSession.sparkContext._jvm, df._jdf
+    leaves = getattr(getattr(jvm.org.apache.spark.sql.execution, "LogicalRDD$"), "MODULE$")
+    leaf = leaves.fromDataset(made.queryExecution().toRdd(), made, False)
+    return DataFrame(jvm.org.apache.spark.sql.classic.Dataset.ofRows(df.sparkSession._jsparkSession, leaf), df.sparkSession)
+
+
+@contextlib.contextmanager
+def measured(spark: SparkSession):
+    """A dict that after the block holds what its jobs sent through exchanges and wrote to tables, as rows and bytes.
+
+    Taken from the stages' own counters, so after the combiner.
+    """
+    sc, group, seen = spark.sparkContext, f"netprop-{uuid.uuid4().hex}", {}
+    before = sc.getLocalProperty("spark.jobGroup.id")
+    sc.setLocalProperty("spark.jobGroup.id", group)
+    try:
+        yield seen
+    finally:
+        sc.setLocalProperty("spark.jobGroup.id", before)
+    sc._jsc.sc().listenerBus().waitUntilEmpty()
+    store, tracker = sc._jsc.sc().statusStore(), sc.statusTracker()
+    stages = {s for job in tracker.getJobIdsForGroup(group) if (info := tracker.getJobInfo(job)) for s in info.stageIds}
+    data = [store.lastStageAttempt(s) for s in stages]
+    seen |= {"shuffle_rows": sum(d.shuffleWriteRecords() for d in data), "shuffle_bytes": sum(d.shuffleWriteBytes() for d in data), "written_rows": sum(d.outputRecords() for d in data), "written_bytes": sum(d.outputBytes() for d in data)}

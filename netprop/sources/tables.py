@@ -42,10 +42,18 @@ def bucketed_name(prefix: str) -> str:
 
 def save_bucketed(df: DataFrame, name: str, partitions: int, key: str) -> DataFrame:
     """A catalogue table split by the hash of ``key`` into as many buckets as loops have partitions."""
-    df.write.bucketBy(partitions, key).sortBy(key).mode("overwrite").format("parquet").saveAsTable(name)
+    path = f"{session.shared_dir(df.sparkSession)}/{name}"
+    df.write.bucketBy(partitions, key).sortBy(key).mode("overwrite").format("parquet").option("path", path).saveAsTable(name)
     return df.sparkSession.table(name)
 
 
+def drop(spark: SparkSession, names: list[str]) -> None:
+    """Tables of :func:`save_bucketed` with their files, which lie in the shared folder."""
+    for name in names:
+        spark.sql(f"DROP TABLE IF EXISTS {name}")
+        session.remove(spark, f"{session.shared_dir(spark)}/{name}")
+
+
 class RoundStore:
     """State of each round as files, of which the last two are kept."""
 

@@ -81,6 +81,17 @@ def test_depth_and_quiescence(spark):
     assert fixed == {k: (k if k <= 10 else None) for k in range(13)}
     full = problems.shortest_hops(g, 0, max_rounds=50, options=OPTIONS)
     assert states(full.state, "hops")[12] == 12 and full.rounds == 13
+    short = problems.shortest_hops(g, 0, max_rounds=5, options=OPTIONS)
+    assert not short.halted and short.rounds == 5 and states(short.state, "hops")[6] is None
+
+
+@pytest.mark.parametrize("engine", ENGINES)
+def test_quiet_means_quiet(spark, engine):
+    """Deeper than ten levels, whatever the engine and however often the resident one writes its state."""
+    g = graphs.path(spark, 13)
+    for every in (1, 3, 100) if engine == "resident" else (5,):
+        found = problems.shortest_hops(g, 0, engine, options=engines.EngineOptions(partitions=3, checkpoint_every=every))
+        assert states(found.state, "hops") == {k: k for k in range(14)} and found.halted
 
 
 def test_combiner_and_hubs(spark):
@@ -90,6 +101,46 @@ def test_combiner_and_hubs(spark):
     assert all(r.trace[1]["messages"] == 8 for r in found.values())
 
 
+def test_traffic_is_measured_after_the_combiner(spark):
+    g = graphs.star(spark, 900)
+    known = labels(spark, {k: 1 for k in range(1, 901)})
+    run = lambda **o: problems.relational_influence(g, known, 1, options=engines.EngineOptions(partitions=3, **o)).trace[1]
+    on, off, salted = run(), run(combine=False), run(salt=4, hub_degree=100)
+    assert on["messages"] == off["messages"] == salted["messages"] == 900
+    # a round's own counts add one row a partition
+    assert on["shuffle_rows"] <= 3 + 3 and off["shuffle_rows"] >= 900 and on["shuffle_rows"] <= salted["shuffle_rows"] <= 3 * 4 + 9
+    assert 0 < on["shuffle_bytes"] < off["shuffle_bytes"]
+
+
+def test_nothing_is_left_behind(spark):
+    before = set(t.name for t in spark.catalog.listTables())
+    kept = len(list(spark.sparkContext._jsc.getPersistentRDDs()))
+    for engine in ("resident", "colocated", "reduce_merge", "reshuffle2"):
+        problems.shortest_hops(graph(spark, F1), 1, engine, options=OPTIONS)
+    with pytest.raises(Exception):  # noqa: B017  (a run that fails half-way)
+        problems.shortest_hops(Graph(graph(spark, F1).edges.withColumn("w", F.raise_error(F.lit("no")).cast("double"))), 1, "colocated", options=OPTIONS)
+    assert set(t.name for t in spark.catalog.listTables()) == before
+    assert len(list(spark.sparkContext._jsc.getPersistentRDDs())) <= kept
+
+
+@pytest.mark.parametrize("engine", ["colocated", "reduce_merge", "reshuffle1", "reshuffle2"])
+def test_messaged_on_every_engine(spark, engine):
+    g = graph(spark, [(1, 3, 1), (2, 3, 3), (3, 4, 2), (1, 4, 2)])
+    got = states(problems.relational_influence(g, labels(spark, {1: 1, 2: 0}), 2, engine, "overwrite", activation="messaged", options=OPTIONS).state, "p")
+    assert got[4] == 0.25
+
+
+def test_numbers_without_gaps(spark):
+    from netprop.operators.ranks import numbered
+
+    df = spark.range(500).select((F.col("id") * 7919 % 500).alias("k"), (F.col("id") % 3).alias("g"))
+    got = numbered(df, ["k"], "n", "g").collect()
+    for g in range(3):
+        mine = sorted((r.n, r.k) for r in got if r.g == g)
+        assert [n for n, _ in mine] == list(range(len(mine))) and [k for _, k in mine] == sorted(k for _, k in mine)
+    assert sorted(r.n for r in numbered(df, ["k"], "n").collect()) == list(range(500))
+
+
 def test_a_mean_is_no_combiner():
     ok = dict(name="x", state={"p": "double"}, payload={"m": lambda: F.col("p")}, update={"p": lambda: F.col("m")}, sends=lambda: F.lit(True), changed=lambda: F.lit(True))
     with pytest.raises(ValueError):
@@ -135,7 +186,11 @@ def test_cost_structure(spark):
     found = {e: problems.relational_influence(graph(spark, F1), labels(spark, {1: 1}), 3, e, options=OPTIONS) for e in ("resident", "colocated", "reduce_merge", "reshuffle2")}
     assert {e: found[e].exchanges for e in ("resident", "colocated", "reduce_merge")} == {"resident": 1, "colocated": 1, "reduce_merge": 1}
     stored = {e: r.trace[-1]["stored_rows"] for e, r in found.items()}
-    assert stored["resident"] == 0 and stored["colocated"] == 5 and stored["reduce_merge"] == stored["reshuffle2"] == 10
+    # reshuffle stores the state and, between its two jobs, records with their edges; the resident state is written every fifth round
+    assert stored["resident"] == 0 and stored["colocated"] == 5 and stored["reduce_merge"] == 10 and stored["reshuffle2"] == 15
+    often = problems.relational_influence(graph(spark, F1), labels(spark, {1: 1}), 3, options=engines.EngineOptions(partitions=3, checkpoint_every=1))
+    assert often.trace[-1]["stored_rows"] == 5 and often.trace[-1]["stored_bytes"] > 0 and found["resident"].trace[-1]["stored_bytes"] == 0
+    assert all(r.trace[-1]["stored_bytes"] > 0 for e, r in found.items() if e != "resident") and all(r.trace[-1]["shuffle_bytes"] > 0 for r in found.values())
 
 
 @pytest.mark.parametrize("strategy", ["hash", "range", "cluster"])
@@ -183,12 +238,49 @@ def test_lead_crosses_cells(spark):
     assert got == {i: (i + 1) * 10 if i < 19 else None for i in range(20)}
 
 
-def test_streams(spark, sf):
+STREAMS = ["stream_dedup", "stream_windowed_edges", "stream_sliding_share", "stream_sessions", "stream_labelled_calls", "stream_returned_calls", "stream_late_split", "stream_windowed_influence", "stream_incremental_hops", "stream_last_callee"]
+
+
+@pytest.mark.parametrize("name", STREAMS)
+def test_streams(spark, sf, name):
+    """What a stream leaves when it has read all there is equals the batch result in SQL."""
     from netprop.plans import catalogue
 
-    want = duckdb.sql(catalogue.ENTRIES["stream_dedup"][1].replace("FROM events", f"FROM '{sf}/events.parquet'")).fetchall()
-    got = [(r.event_type, r.n) for r in catalogue.ENTRIES["stream_dedup"][0](spark, sf).collect()]
-    assert sorted(got) == sorted(want)
+    query, sql = catalogue.ENTRIES[name]
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW events AS SELECT * FROM '{sf}/events.parquet'")
+    want, got = con.sql(sql), query(spark, sf)
+    order = [want.columns.index(c) for c in got.columns]
+    assert sorted(map(str, (tuple(r) for r in got.collect()))) == sorted(str(tuple(r[i] for i in order)) for r in want.fetchall())
+
+
+def test_sources_and_sinks(spark, tmp_path):
+    from netprop.sources import tables
+
+    g = graph(spark, F1)
+    for fmt in ("parquet", "orc", "json"):
+        tables.write_graph(g, f"{tmp_path}/{fmt}", fmt)
+        assert spark.read.format(fmt).load(f"{tmp_path}/{fmt}").count() == 5
+    (tmp_path / "edges.tsv").write_text("1\t2\nx\t3\n2\t3\n\n4\t\n")
+    read, bad = tables.read_edge_list(spark, f"{tmp_path}/edges.tsv")
+    assert states(read.edges, "dst") == {1: 2, 2: 3} and bad.count() == 2
+    (tmp_path / "lists.json").write_text('{"id": 1, "related": [2, 3]}\n{"id": 4, "related": []}\n')
+    lists = tables.read_adjacency(spark, f"{tmp_path}/lists.json")
+    assert lists.edges.count() == 2 and lists.vertices.count() == 4
+    report = tables.scan_report(spark.read.parquet(f"{tmp_path}/parquet").where("w > 0").select("src"))
+    assert len(report) == 1
+
+
+def test_experiments_run(spark, sf):
+    from netprop import experiments
+
+    found = experiments.totals(spark, sf, "hops", "chain", ("reshuffle2", "resident"), 3)
+    assert {r["engine"] for r in found["fit"]} == {"reshuffle2", "resident"} and all(0 < r["r2"] <= 1 for r in found["fit"]) and len(found["total_ms"]) == 8
+    out = experiments.combiner(spark, sf, (2000, 5), 1, 4)
+    assert out["off"][1]["shuffle_rows"] > 3 * out["on"][1]["shuffle_rows"]
+    assert engines.cache_overhead(spark, graphs.power_law(spark, 20_000, 5).edges, 2) > 0
+    moved = experiments.workloads.compare_placements(spark, graphs.two_blocks(spark, 40, 3, 1), 0, spark.range(40).select("id", (F.col("id") % 2).alias("value")), 4)
+    assert {r["strategy"] for r in moved.collect()} == {"hash", "range", "cluster"}
 
 
 def test_entry(spark):
