@@ -36,7 +36,6 @@ import itertools
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
-from pyspark.sql.window import Window
 
 from netprop.llm import common
 
@@ -50,6 +49,8 @@ HOT_SEGMENTS = 512
 CORE_SPAN = 8
 #: Bytes in one transform, unless one group has more.
 TEXT_CHUNK = 1 << 22
+#: Bytes of text whose entries make one bucket, about.
+BUCKET_BYTES = 64 << 20
 #: Entries that a map task holds before it hands them on.
 FLUSH = 1 << 19
 
@@ -322,8 +323,10 @@ def _numbered(docs: DataFrame, id_col: str, text_col: str, carry: bool = False)
     twice = common.checkpointed(rows.groupBy("doc_id").count().where("count > 1").select("doc_id"))
     if common.is_empty(twice):
         return rows.select("doc_id", F.lit(0).alias("rep"), "body", *more)
-    print_of = F.struct(F.sha2("body", 256), F.octet_length("body"))
-    some = rows.join(twice, "doc_id", "left_semi").withColumn("rep", F.dense_rank().over(Window.partitionBy("doc_id").orderBy(print_of)).cast("int"))
+    some = common.stored(rows.join(twice, "doc_id", "left_semi").withColumn("_p", F.sha2("body", 256)), "shared-ids")
+    # one row per different text of an id, numbered by ranges: an id, or none, may have any number of them
+    reps = common.gapless_rank(common.stored(some.select("doc_id", "_p").distinct(), "texts"), "doc_id", "_p", "rep")
+    some = some.withColumn("_q", F.coalesce("_p", F.lit(""))).join(reps.select("doc_id", F.coalesce("_p", F.lit("")).alias("_q"), (F.col("rep") + 1).cast("int").alias("rep")), ["doc_id", "_q"])
     return rows.join(twice, "doc_id", "left_anti").select("doc_id", F.lit(0).alias("rep"), "body", *more).unionByName(some.select("doc_id", "rep", "body", *more))
 
 
@@ -550,7 +553,9 @@ def searched(parts: DataFrame, length: int) -> DataFrame:
 def repeated_ranges(rows: DataFrame, length: int = LENGTH, anchor: int = ANCHOR, hot_segments: int = HOT_SEGMENTS, buckets: int | None = None) -> DataFrame:
     """``(doc_id, rep, first, end)``: byte ranges of (doc_id, rep, body) rows to remove, perhaps overlapping."""
     spark = rows.sparkSession
-    buckets = buckets or 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
+    if not buckets:
+        size = rows.agg(F.sum(F.octet_length("body"))).first()[0] or 0
+        buckets = max(4 * int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // BUCKET_BYTES))
     ranges = common.stored(resolved(anchored(rows, length, anchor, buckets), hot_segments), "ranges")
     found = searched(gathered(rows, ranges.where("kind > 0"), length, buckets), length)
     return ranges.where("kind = 0").unionByName(found).select("doc_id", "rep", "first", "end")
