@@ -87,16 +87,20 @@ def bucket_column(length: Column, bounds: list[int]) -> Column:
     return F.size(F.filter(steps, lambda b: b < length)).cast("int")
 
 
-def pack(docs: DataFrame, buckets: int = BUCKETS, budget: int = TOKEN_BUDGET, multiple: int = MULTIPLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def pack(docs: DataFrame, buckets: int = BUCKETS, budget: int = TOKEN_BUDGET, multiple: int = MULTIPLE, id_col: str = "doc_id", text_col: str = "text", length_col: str | None = None) -> DataFrame:
     """``(doc_id, n_tokens, bucket, padded_tokens, batch, place)``, one row per input row.
 
     ``batch`` numbers the batches of a bucket and ``place`` the rows of a batch,
     both from 0. A batch of padded rows keeps to ``budget`` tokens; a row longer
     than that is a batch of its own, uncut. Null and blank texts have no tokens
     and share bucket 0. Equal ids are told apart by length and checksum.
+
+    Tokens are words, unless ``length_col`` holds their number (say, of pieces). Padding is
+    least among bounds that are multiples of ``multiple`` (1: among all).
     """
     body = F.col(text_col)
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), token_count(body).alias("n_tokens"), F.coalesce(F.crc32(body.cast("binary")), F.lit(0)).alias("_crc"))
+    length = F.coalesce(F.col(length_col).cast("long"), F.lit(0)) if length_col else token_count(body)
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), length.alias("n_tokens"), F.coalesce(F.crc32(body.cast("binary")), F.lit(0)).alias("_crc"))
     rows = common.stored(rows, "lengths")
     lengths, counts = histogram(rows, multiple)
     bounds, _ = best_bounds(lengths, counts, buckets)

@@ -18,6 +18,7 @@ import itertools
 import uuid
 
 import pyarrow as pa
+import zstandard as zstd
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from netprop.llm import common
@@ -42,6 +43,10 @@ def payload_digest(payload: bytes) -> str:
     return base64.b32encode(hashlib.sha1(payload).digest()).decode()
 
 
+#: What an archive that breaks the format raises.
+ERRORS = (InvalidRecord, zstd.ZstdError, UnicodeDecodeError)
+
+
 # -------------------------------------------------------------------- records
 
 
@@ -90,8 +95,6 @@ def http_payload(block: bytes) -> bytes:
 
 def build_archive(records: list[bytes], level: int = 3) -> bytes:
     """Dictionary in a leading skippable frame (compressed), then one frame a record."""
-    import zstandard as zstd
-
     sample, size = [], 0
     for r in records:
         sample.append(r[: 1 << 16])
@@ -110,8 +113,6 @@ def build_archive(records: list[bytes], level: int = 3) -> bytes:
 
 def read_archive(data: bytes):
     """Headers and block of each record, in order. Archives without a dictionary are read too."""
-    import zstandard as zstd
-
     at, options = 0, {}
     if int.from_bytes(data[:4], "little") == SKIPPABLE_MAGIC:
         size = int.from_bytes(data[4:8], "little")
@@ -187,25 +188,56 @@ def write_archives(records: DataFrame, date: str = "2024-01-01T00:00:00Z", level
 _READ_DDL = "archive string, page_id long, url string, record_type string, payload_bytes long, payload_digest string, refers_to long, payload binary"
 
 
-def read_archives(archives: DataFrame, name_col: str = "archive", data_col: str = "data", keep_payload: bool = True) -> DataFrame:
-    """One row per record of the archives; a malformed archive or a wrong digest raises InvalidRecord.
+def checked_records(data: bytes):
+    """Headers, block and payload of each record (None for other kinds than responses), whose digest must fit."""
+    for head, block in read_archive(data):
+        body = http_payload(block) if head["warc-type"] == "response" else None
+        digest = head.get("warc-payload-digest", "").removeprefix("sha1:")
+        if body is not None and digest and payload_digest(body) != digest:
+            raise InvalidRecord(f"payload of {head['warc-record-id']} has another digest")
+        yield head, digest, body
+
+
+def rejected(archives: DataFrame, name_col: str = "archive", data_col: str = "data") -> DataFrame:
+    """``(archive, error, n_read)`` of the archives that break the format: what is wrong, and after how many sound records."""
+
+    def run(batches):
+        for batch in batches:
+            out = []
+            for name, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                n = 0
+                try:
+                    for _ in checked_records(data or b""):
+                        n += 1
+                except ERRORS as e:
+                    out.append((name, str(e), n))
+            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], k) for i, k in enumerate((pa.string(), pa.string(), pa.int64()))], names=["archive", "error", "n_read"])
+
+    return archives.select(F.col(name_col).alias("archive"), F.col(data_col).alias("data")).mapInArrow(run, "archive string, error string, n_read long")
+
+
+def read_archives(archives: DataFrame, name_col: str = "archive", data_col: str = "data", keep_payload: bool = True, strict: bool = True) -> DataFrame:
+    """One row per record of the archives. A malformed archive or a wrong digest raises InvalidRecord, or with ``strict=False`` ends that archive: see :func:`rejected`.
 
     ``payload`` is null for revisits, whose length and digest are those of the page they refer to.
     """
 
+    def sound(data):
+        try:
+            yield from checked_records(data)
+        except ERRORS:
+            if strict:
+                raise
+
     def run(batches):
         for batch in batches:
             for name, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                records = read_archive(data)
+                records = sound(data or b"")
                 while some := list(itertools.islice(records, 256)):
                     out = []
-                    for head, block in some:
+                    for head, digest, body in some:
                         kind = head["warc-type"]
-                        digest = head.get("warc-payload-digest", "").removeprefix("sha1:")
-                        body = http_payload(block) if kind == "response" else None
                         size = len(body) if body is not None else int(head.get("x-payload-length") or 0)
-                        if body is not None and digest and payload_digest(body) != digest:
-                            raise InvalidRecord(f"payload of {head['warc-record-id']} has another digest")
                         number = lambda k, head=head: int(head[k]) if head.get(k) else None
                         out.append((name, number("x-page-id"), head.get("warc-target-uri"), kind, size, digest, number("x-refers-to-page"), body if keep_payload else None))
                     kinds = (pa.string(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.string(), pa.int64(), pa.binary())

@@ -475,6 +475,12 @@ def test_best_bounds():
         assert cost == best == sum(c * (min(b for b in bounds if b >= x) - x) for x, c in zip(lengths, counts, strict=True))
 
 
+def test_packing_by_given_lengths(spark):
+    rows = spark.createDataFrame([(i, "x", n) for i, n in enumerate([3, 3, 5, 9, 9, 20])] + [(9, "x", None)], "doc_id long, text string, n long")
+    got = {r.doc_id: (r.n_tokens, r.padded_tokens) for r in packing.pack(rows, buckets=3, multiple=1, length_col="n").collect()}
+    assert got == {0: (3, 3), 1: (3, 3), 2: (5, 9), 3: (9, 9), 4: (9, 9), 5: (20, 20), 9: (0, 3)}
+
+
 def test_packing(docs, odd, none):
     got = packing.pack(docs, budget=2048).toPandas()
     texts = {r.doc_id: r.text for r in docs.collect()}
@@ -723,6 +729,18 @@ def test_broken_archives():
             warc.parse_record(raw)
 
 
+def test_rejected_archives(spark):
+    """One broken archive costs what stands behind the fault in it, and is named; the others are read whole."""
+    name = lambda i: ("WARC-Record-ID", f"<urn:x:{i}>")
+    records = [warc.build_record([("WARC-Type", "response"), name(i), ("WARC-Date", "2024-01-01T00:00:00Z"), ("X-Page-ID", str(i))], warc.http_response(b"x%d" % i)) for i in range(3)]
+    good, cut = warc.build_archive(records), warc.build_archive(records)[:-5]
+    frame = spark.createDataFrame([("good", good), ("cut", cut), ("noise", b"noise"), ("none", None)], "archive string, data binary")
+    assert sorted((r.archive, r.page_id) for r in warc.read_archives(frame, strict=False).collect()) == [("cut", 0), ("cut", 1), ("good", 0), ("good", 1), ("good", 2)]
+    assert {(r.archive, r.n_read) for r in warc.rejected(frame).collect()} == {("cut", 2), ("noise", 0)}
+    with pytest.raises(Exception):  # noqa: B017
+        warc.read_archives(frame).count()
+
+
 # --------------------------------------------------------------- 9: embeddings
 
 
