@@ -31,6 +31,8 @@ from netprop.sources import tables
 
 #: Rounds of a run of fixed length, unless it says otherwise; what a loop is sent at its end.
 ROUNDS, DONE = 10, -1
+#: Hubs up to which their ids are broadcast for salting.
+BROADCAST_HUBS = 1_000_000
 
 
 @dataclass(frozen=True)
@@ -166,6 +168,8 @@ class Resident(Engine):
         kept, files, plan = [structure, *([hubs] if hubs is not None else [])], [], None
         try:
             structure.count()
+            if hubs is not None and hubs.count() <= BROADCAST_HUBS:
+                hubs = F.broadcast(hubs)  # counted; else messages would have to travel to learn that they go to a hub
             held = program.fresh(state.repartition(n, "id")).persist(level)
             kept.append(held)
             senders, _, _ = _counts(held, program)

@@ -6,6 +6,7 @@ import contextlib
 import tempfile
 import uuid
 
+from py4j.protocol import Py4JJavaError
 from pyspark.sql import DataFrame, SparkSession
 
 
@@ -104,5 +105,10 @@ def measured(spark: SparkSession):
     sc._jsc.sc().listenerBus().waitUntilEmpty()
     store, tracker = sc._jsc.sc().statusStore(), sc.statusTracker()
     stages = {s for job in tracker.getJobIdsForGroup(group) if (info := tracker.getJobInfo(job)) for s in info.stageIds}
-    data = [store.lastStageAttempt(s) for s in stages]
+    data = []
+    for s in stages:
+        try:
+            data.append(store.lastStageAttempt(s))
+        except Py4JJavaError:  # a skipped stage, of which a long session keeps nothing
+            pass
     seen |= {"shuffle_rows": sum(d.shuffleWriteRecords() for d in data), "shuffle_bytes": sum(d.shuffleWriteBytes() for d in data), "written_rows": sum(d.outputRecords() for d in data), "written_bytes": sum(d.outputBytes() for d in data)}
