@@ -163,7 +163,7 @@ class Resident(Engine):
 
     def _loop(self, graph, program, state, options):
         spark, level, n = state.sparkSession, getattr(StorageLevel, options.storage), options.partitions
-        structure = graph.edges.select("src", "dst", "w").repartition(n, "src").persist(level)
+        structure = graph.edges.select("src", "dst", "w").repartition(n, "src").sortWithinPartitions("src").persist(level)  # sorted once, not in the join of each round
         hubs = hub_flags(graph, options.hub_degree).persist(level) if options.salt else None
         kept, files, plan = [structure, *([hubs] if hubs is not None else [])], [], None
         try:

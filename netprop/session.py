@@ -83,7 +83,7 @@ def cut(df: DataFrame) -> DataFrame:
     Else each round's plan would hold those of all rounds before, twice. The lineage
     stays behind it, so lost executors cost a recomputation and no more.
     """
-    jvm, made = df.sparkSession.sparkContext._jvm, df._jdf
+    jvm, made = df.sparkSession.sparkContext._jvm, df.select("*")._jdf  # planned anew: a plan made before the frame was persisted would compute it again
     leaves = getattr(getattr(jvm.org.apache.spark.sql.execution, "LogicalRDD$"), "MODULE$")
     leaf = leaves.fromDataset(made.queryExecution().toRdd(), made, False)
     return DataFrame(jvm.org.apache.spark.sql.classic.Dataset.ofRows(df.sparkSession._jsparkSession, leaf), df.sparkSession)
