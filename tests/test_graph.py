@@ -85,6 +85,14 @@ def test_depth_and_quiescence(spark):
     assert not short.halted and short.rounds == 5 and states(short.state, "hops")[6] is None
 
 
+def test_recursive_query_has_no_row_limit(spark):
+    spark.conf.set("spark.sql.cteRecursionRowLimit", "3")
+    try:
+        assert states(problems.recursive_sql_hops(spark, graphs.path(spark, 6), 0), "hops") == {k: k for k in range(7)}
+    finally:
+        spark.conf.unset("spark.sql.cteRecursionRowLimit")
+
+
 @pytest.mark.parametrize("engine", ENGINES)
 def test_quiet_means_quiet(spark, engine):
     """Deeper than ten levels, whatever the engine and however often the resident one writes its state."""
