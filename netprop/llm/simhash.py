@@ -16,12 +16,13 @@ the remaining bits. Buckets give spanning edges only, never all pairs.
 
 from __future__ import annotations
 
+import functools
 import itertools
 import math
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
 from netprop.llm import common
 
@@ -241,16 +242,20 @@ def plan_search(fps: DataFrame, radius: int = 4) -> dict:
 # ------------------------------------------------------------------ candidates
 
 
+def _others(fps: DataFrame) -> list[str]:
+    return ["root"] if "root" in fps.columns else []
+
+
 def probe_rows(fps: DataFrame, plan: dict) -> DataFrame:
-    """``(part, key, fp)``: every fingerprint under its own value in each probed partition and under those near it."""
-    out = None
+    """``(part, key, fp)`` and what else ``fps`` has: every fingerprint under its own value in each probed partition and under those near it."""
+    out, more = None, _others(fps)
     for i, (group, t) in enumerate(zip(plan["groups"], plan["radii"], strict=True)):
         if t < 0:
             continue
         flips = [signed(mask_of(list(c))) for r in range(t + 1) for c in itertools.combinations(group, r)]
         own = F.col("fp").bitwiseAND(F.lit(signed(mask_of(group))))
-        rows = fps.select(F.lit(i).alias("part"), own.alias("own"), "fp", F.explode(F.array(*map(F.lit, flips))).alias("flip"))
-        rows = rows.select("part", F.col("own").bitwiseXOR(F.col("flip")).alias("key"), "fp")
+        rows = fps.select(F.lit(i).alias("part"), own.alias("own"), "fp", *more, F.explode(F.array(*map(F.lit, flips))).alias("flip"))
+        rows = rows.select("part", F.col("own").bitwiseXOR(F.col("flip")).alias("key"), "fp", *more)
         out = rows if out is None else out.unionByName(rows)
     return out
 
@@ -280,7 +285,8 @@ def split_hot(rows: DataFrame, plan: dict, hot_members: int, levels: int = SPLIT
             cells = F.array(*[F.struct(F.lit(path * (parts + 1) + len(free) + j).alias("path"), F.col("fp").bitwiseAND(F.lit(signed(mask_of(m)))).bitwiseOR(F.col("bits")).alias("bits")) for j, m in enumerate(masks)])
             finer |= {path * (parts + 1) + len(free) + j: [b for b in bits if b not in m] for j, m in enumerate(masks)}
             spots = F.when(F.col("path") == path, cells) if spots is None else spots.when(F.col("path") == path, cells)
-        rows = met.where("hot").select("part", "key", "fp", "member", F.explode(spots).alias("c")).select("part", "key", "fp", "member", "c.path", "c.bits")
+        held = ["part", "key", "fp", *_others(rows), "member"]
+        rows = met.where("hot").select(*held, F.explode(spots).alias("c")).select(*held, "c.path", "c.bits")
         free = finer
     return rows if done is None else done.unionByName(rows)
 
@@ -293,45 +299,46 @@ def _member(plan: dict):
     return own == F.col("key")
 
 
-def spanning_links(fps: DataFrame, plan: dict, hot_members: int = HOT_MEMBERS, own: int = 0) -> DataFrame:
-    """``(a, b)``: links that join all fingerprints which any bucket links, a forest per task. With ``own`` all are links found: so many forests, the nearest first; else all go to a root."""
-    radius = plan["radius"]
+def _cells(fps: DataFrame, plan: dict, hot_members: int) -> DataFrame:
+    """``(cell, fp, member)`` and what else ``fps`` has: the buckets, each whole in one task and in one piece."""
     rows = split_hot(probe_rows(fps, plan), plan, hot_members)
-    rows = rows.select(F.xxhash64("part", "key", "path", "bits").alias("cell"), "fp", "member")
-    rows = rows.repartition("cell").sortWithinPartitions("cell")
+    rows = rows.select(F.xxhash64("part", "key", "path", "bits").alias("cell"), "fp", "member", *_others(fps))
+    return rows.repartition("cell").sortWithinPartitions("cell")
+
+
+def _runs(batches):
+    """Batches of whole cells, as lists of arrays."""
+    held = []
+    for batch in itertools.chain(batches, [None]):
+        if batch is not None:
+            if not batch.num_rows:
+                continue
+            held.append([np.asarray(batch.column(i).to_numpy(zero_copy_only=False)) for i in range(batch.num_columns)])
+            if held[0][0][0] == held[-1][0][-1]:
+                continue  # still the one cell: nothing is copied before it ends
+        if not held:
+            continue
+        columns = list(map(np.concatenate, zip(*held, strict=True)))
+        upto = len(columns[0]) if batch is None else int(np.searchsorted(columns[0], columns[0][-1]))
+        held = [[c[upto:] for c in columns]] if batch is not None else []
+        yield [c[:upto] for c in columns]
+
+
+def spanning_links(fps: DataFrame, plan: dict, hot_members: int = HOT_MEMBERS) -> DataFrame:
+    """``(a, b)``: links that join all fingerprints which any bucket links, each to a root of its task."""
+    radius = plan["radius"]
 
     def run(batches):
-        held, edges, n = [], [], 0
+        edges, n = [], 0
 
         def out():
-            a, b = map(np.concatenate, zip(*edges, strict=True))
+            nodes, roots = local_components(*map(np.concatenate, zip(*edges, strict=True)))
             edges.clear()
-            if own:
-                a, b = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1)
-                w, left, taken = np.bitwise_count((a ^ b).view(np.uint64)), np.arange(len(a)), []
-                for _ in range(own):  # each forest from what the ones before have left
-                    at = common.local_forest(a[left], b[left], w[left])
-                    taken.append(left[at])
-                    left = np.delete(left, at)
-                at = np.concatenate(taken)
-                return pa.RecordBatch.from_arrays([pa.array(a[at]), pa.array(b[at])], names=["a", "b"])
-            nodes, roots = local_components(a, b)
             keep = nodes != roots
             return pa.RecordBatch.from_arrays([pa.array(nodes[keep]), pa.array(roots[keep])], names=["a", "b"])
 
-        for batch in itertools.chain(batches, [None]):
-            if batch is not None:
-                if not batch.num_rows:
-                    continue
-                held.append([np.asarray(batch.column(i).to_numpy(zero_copy_only=False)) for i in range(3)])
-                if held[0][0][0] == held[-1][0][-1]:
-                    continue  # still the one cell: nothing is copied before it ends
-            if not held:
-                continue
-            cell, fp, member = map(np.concatenate, zip(*held, strict=True))
-            upto = len(cell) if batch is None else int(np.searchsorted(cell, cell[-1]))
-            held = [[cell[upto:], fp[upto:], member[upto:]]] if batch is not None else []
-            for a, b in bucket_links(cell[:upto], fp[:upto], member[:upto].astype(bool), radius):
+        for cell, fp, member in _runs(batches):
+            for a, b, _ in bucket_links(cell, fp, member.astype(bool), radius):
                 edges.append((a, b))
                 n += len(a)
             if n > 1 << 20:
@@ -340,14 +347,82 @@ def spanning_links(fps: DataFrame, plan: dict, hot_members: int = HOT_MEMBERS, o
         if edges:
             yield out()
 
-    return rows.mapInArrow(run, "a long, b long")
+    return _cells(fps.select("fp"), plan, hot_members).mapInArrow(run, "a long, b long")
+
+
+def nearest_links(fps: DataFrame, plan: dict, hot_members: int = HOT_MEMBERS, forests: int = 4) -> DataFrame:
+    """``(a, b)``: links that the search found, so many spanning forests of each task, the nearest first.
+
+    A task that has more links than these names their ends, as rows with a null ``b``:
+    whatever is not given lies between two of them, and :func:`links_across` finds it.
+    """
+    radius = plan["radius"]
+
+    def run(batches):
+        edges, n = [], 0
+
+        def out():
+            a, b = (np.concatenate([e[i] for e in edges]) for i in range(2))
+            named = [np.concatenate(e[:2]) for e in edges if not e[2]]
+            edges.clear()
+            a, b = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1)
+            w, left, taken = np.bitwise_count((a ^ b).view(np.uint64)), np.arange(len(a)), []
+            for _ in range(forests):  # each forest from what the ones before have left
+                at = common.local_forest(a[left], b[left], w[left])
+                taken.append(left[at])
+                left = np.delete(left, at)
+            at = np.concatenate(taken)
+            more = np.unique(np.concatenate([a[left], b[left], *named]))
+            ends = pa.concat_arrays([pa.array(b[at], pa.int64()), pa.nulls(len(more), pa.int64())])
+            return pa.RecordBatch.from_arrays([pa.array(np.concatenate([a[at], more])), ends], names=["a", "b"])
+
+        for cell, fp, member in _runs(batches):
+            for link in bucket_links(cell, fp, member.astype(bool), radius):
+                edges.append(link)
+                n += len(link[0])
+                if n > 1 << 20:
+                    yield out()
+                    n = 0
+        if edges:
+            yield out()
+
+    return _cells(fps.select("fp"), plan, hot_members).mapInArrow(run, "a long, b long")
+
+
+def links_across(fps: DataFrame, plan: dict, hot_members: int = HOT_MEMBERS) -> DataFrame:
+    """``(a, b)``, a below b, some more than once: all links between fingerprints of ``(fp, root)`` whose roots differ."""
+    radius = plan["radius"]
+
+    def run(batches):
+        edges, n = [], 0
+
+        def out():
+            a, b = (np.concatenate([e[i] for e in edges]) for i in range(2))
+            edges.clear()
+            a, b = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1)
+            return pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
+
+        for cell, fp, member, root in _runs(batches):
+            for link in bucket_links(cell, fp, member.astype(bool), radius, root):
+                edges.append(link)
+                n += len(link[0])
+                if n > 1 << 20:
+                    yield out()
+                    n = 0
+        if edges:
+            yield out()
+
+    return _cells(fps.select("fp", "root"), plan, hot_members).mapInArrow(run, "a long, b long")
 
 
 local_components = common.local_components
 
 
-def bucket_links(cell: np.ndarray, fp: np.ndarray, member: np.ndarray, radius: int):
-    """Links within each run of equal ``cell`` (sorted), as arrays of pairs. Compares probes with members."""
+def bucket_links(cell: np.ndarray, fp: np.ndarray, member: np.ndarray, radius: int, root: np.ndarray | None = None):
+    """Links within each run of equal ``cell`` (sorted), as arrays of pairs and whether they are all. Compares probes with members.
+
+    Without ``root`` a large bucket gives links that join what it links; with it all links between different roots come.
+    """
     if not len(cell):
         return
     starts = np.flatnonzero(np.append(True, cell[1:] != cell[:-1]))
@@ -356,7 +431,10 @@ def bucket_links(cell: np.ndarray, fp: np.ndarray, member: np.ndarray, radius: i
     big = sizes * mates > PAIR_CHUNK
     for i in np.flatnonzero(big):
         s = slice(starts[i], starts[i] + sizes[i])
-        yield from _flood(fp[s], member[s], radius)
+        if root is None:
+            yield from _flood(fp[s], member[s], radius)
+        else:
+            yield from _every(fp[s], member[s], root[s], radius)
     few = np.flatnonzero((mates > 0) & (sizes > 1) & ~big)
     if not len(few):
         return
@@ -373,8 +451,22 @@ def bucket_links(cell: np.ndarray, fp: np.ndarray, member: np.ndarray, radius: i
         right = at[np.repeat(first[group[rows]], m) + np.arange(len(left)) - np.repeat(np.cumsum(m) - m, m)]
         a, b = fp[left], fp[right]
         near = (a != b) & (np.bitwise_count((a ^ b).view(np.uint64)) <= radius)
+        if root is not None:
+            near &= root[left] != root[right]
         if near.any():
-            yield a[near], b[near]
+            yield a[near], b[near], True
+
+
+def _every(fp: np.ndarray, member: np.ndarray, root: np.ndarray, radius: int):
+    """All links between different roots in a large bucket, a block of its members at a time."""
+    at = np.flatnonzero(member)
+    step = max(1, PAIR_CHUNK // len(fp))
+    for i in range(0, len(at), step):
+        some = at[i : i + step]
+        bits = np.bitwise_count((fp[some, None] ^ fp).view(np.uint64))
+        x, y = np.nonzero((bits > 0) & (bits <= radius) & (root[some, None] != root))
+        if len(x):
+            yield fp[some[x]], fp[y], True
 
 
 def _flood(fp: np.ndarray, member: np.ndarray, radius: int):
@@ -397,7 +489,7 @@ def _flood(fp: np.ndarray, member: np.ndarray, radius: int):
                 met = free[near]
                 free = free[~near]
                 queue.extend(met)
-                yield np.full(len(met), x), met
+                yield np.full(len(met), x), met, False
 
 
 # -------------------------------------------------------------------- operator
@@ -435,8 +527,10 @@ def classes(fps: DataFrame, radius: int = 4, hot_members: int = HOT_MEMBERS) ->
 #: At a five-word similarity of 0.8 about six bits differ, nine or fewer with a chance of 0.93; of such pairs of 10,000 given documents 0.99 were within nine.
 #: (Of five-word fingerprints about ten bits differ: none of those pairs was within four.)
 PROBE_WIDTH, PROBE_RADIUS = 2, 9
-#: Forests of candidates that a task gives: one that is verified in vain may hide another.
+#: Forests of candidates that a task gives at first. What they leave out is verified too, unless those of the forests have joined both texts.
 FORESTS = 4
+#: Longs in the sketch of a set of shingles.
+SKETCH_LONGS = 16
 #: Least similarity (Jaccard) of two texts' sets of shingles.
 SIMILARITY = 0.8
 
@@ -458,16 +552,20 @@ def word_prints(rows: DataFrame) -> DataFrame:
 
 
 def shingle_sets(rows: DataFrame, width: int) -> DataFrame:
-    """``rows`` with their last column, the text as bytes, turned into ``shingles``: its distinct shingles as 32 bits of their hashes."""
+    """``rows`` with their last column, the text as bytes, turned into ``shingles``, its distinct shingles as 32 bits of their hashes, and ``sketch``, where their number is odd."""
     kept = rows.schema.fields[:-1]
 
     def run(batches):
+        bits = 64 * SKETCH_LONGS
         for batch in batches:
             sets = [np.unique(np.array(shingle_hashes(t or b"", width), np.uint64).astype(np.uint32).view(np.int32)) for t in batch.column(len(kept)).to_pylist()]
             offsets = np.cumsum([0, *map(len, sets)]).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate([*sets, np.zeros(0, np.int32)])))], names=[*[f.name for f in kept], "shingles"])
+            odd = [np.packbits((np.bincount(s.view(np.uint32) % bits, minlength=bits) & 1).astype(bool)).view(np.int64) for s in sets]
+            places = np.arange(0, (len(sets) + 1) * SKETCH_LONGS, SKETCH_LONGS).astype(np.int32)
+            columns = [pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate([*sets, np.zeros(0, np.int32)]))), pa.ListArray.from_arrays(pa.array(places), pa.array(np.concatenate([*odd, np.zeros(0, np.int64)])))]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], *columns], names=[*[f.name for f in kept], "shingles", "sketch"])
 
-    return rows.mapInArrow(run, ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in kept] + ["shingles array<int>"]))
+    return rows.mapInArrow(run, ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in kept] + ["shingles array<int>, sketch array<long>"]))
 
 
 def alike(edges: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
@@ -477,13 +575,53 @@ def alike(edges: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     return edges.join(of("a"), "a").join(of("b"), "b").where(both >= similarity * (F.size("s_a") + F.size("s_b") - both)).select("a", "b")
 
 
-def representatives(docs: DataFrame, width: int = 5, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text", radius: int = PROBE_RADIUS, hot_members: int = HOT_MEMBERS) -> DataFrame:
+def maybe_alike(edges: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """The edges ``(a, b)`` that sizes and sketches leave open; no pair of this similarity is lost.
+
+    A sketch holds, bit by bit, whether an odd number of the set's shingles fall there. Where
+    two differ, some shingle is in one set only, so sets differ in no fewer shingles than sketches in bits.
+    """
+    of = lambda end: sets.select(F.col("node").alias(end), F.size("shingles").alias(f"n_{end}"), F.col("sketch").alias(f"k_{end}"))
+    bits = functools.reduce(Column.__add__, [F.bit_count(F.col("k_a")[i].bitwiseXOR(F.col("k_b")[i])) for i in range(SKETCH_LONGS)])
+    apart, both = F.greatest(bits, F.abs(F.col("n_a") - F.col("n_b"))), F.col("n_a") + F.col("n_b")
+    return edges.join(of("a"), "a").join(of("b"), "b").where(both - apart >= similarity * (both + apart) - 1e-6).select("a", "b")
+
+
+def other_candidates(nodes: DataFrame, fps: DataFrame, found: DataFrame, edges: DataFrame, links: DataFrame, radius: int, hot_members: int) -> DataFrame | None:
+    """``(a, b)``: all pairs of nodes with fingerprints within ``radius`` that are neither among ``edges`` nor joined by ``links``; None if there are none.
+
+    ``found`` are the :func:`nearest_links` of ``fps``, ``edges`` those of its pairs that are verified.
+    """
+    least = found.where("b is null").select(F.col("a").alias("fp")).distinct()
+    many = fps.where("nodes > 1")
+    if common.is_empty(least) and common.is_empty(many):
+        return None
+    roots = common.connected_components(links).withColumnRenamed("id", "node")
+    placed = nodes.join(roots, "node", "left").select("node", "fp", F.coalesce("root", "node").alias("root"))
+    placed = common.stored(placed, "placed")
+    # a fingerprint whose nodes are not all joined has a root of its own
+    one = placed.groupBy("fp").agg(F.when(F.min("root") == F.max("root"), F.min("root")).otherwise(-1 - F.min("node")).alias("root"), F.count("*").alias("nodes"))
+    one = common.stored(one, "roots")
+    pairs = one.where("nodes > 1 and root < 0").select(F.col("fp").alias("a"), F.col("fp").alias("b"))
+    end = lambda e: one.select(F.col("fp").alias(e), F.col("root").alias(f"r_{e}"), F.col("nodes").alias(f"n_{e}"))
+    pairs = pairs.unionByName(found.where("b is not null").join(end("a"), "a").join(end("b"), "b").where("r_a <> r_b and (n_a > 1 or n_b > 1)").select("a", "b"))
+    left = common.stored(least.join(one, "fp").select("fp", "root"), "left")
+    if not common.is_empty(left):
+        pairs = pairs.unionByName(links_across(left, plan_search(left, radius), hot_members))
+    node = lambda e, x: placed.select(F.col("fp").alias(e), F.col("node").alias(x), F.col("root").alias(f"r_{x}"))
+    met = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct().join(node("a", "x"), "a").join(node("b", "y"), "b")
+    met = met.where("r_x <> r_y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+    return common.stored(met.join(edges, ["a", "b"], "left_anti"), "rest")
+
+
+def representatives(docs: DataFrame, width: int = 5, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text", radius: int = PROBE_RADIUS, hot_members: int = HOT_MEMBERS, forests: int = FORESTS) -> DataFrame:
     """The rows of ``docs`` that stay when of each class of near-duplicates one does: that of the smallest id (null ids last), then of the smallest hash of id and text.
 
     Two texts link if their sets of ``width``-word shingles are similar by ``similarity`` or
     more. Candidates are found as always, by the generalised pigeonhole search over
-    fingerprints (of word pairs, which a changed word moves less); each task gives a few
-    spanning forests of its nearest candidates, and these are verified on the shingles.
+    fingerprints (of word pairs, which a changed word moves less). First each task gives a few
+    spanning forests of its nearest candidates, and these are verified on the shingles;
+    then all other candidates are, but for those between texts that the first have joined.
 
     Rows are told apart by id and text, so unrelated rows of one id or without an id all
     stay. Of rows equal in both, the one with the smallest hash of all columns stays.
@@ -497,14 +635,19 @@ def representatives(docs: DataFrame, width: int = 5, similarity: float = SIMILAR
     nodes = common.stored(nodes.drop("w1", "w2"), "nodes")
     if common.is_empty(nodes):
         return docs.select("*")
-    # one node stands for a fingerprint; the others that have it are compared with that one
-    fps = common.stored(nodes.groupBy("fp").agg(F.min("node").alias("head")), "distinct")
-    found = spanning_links(fps.select("fp"), plan_search(fps, radius), hot_members, FORESTS).distinct()
-    edges = found.join(fps.select(F.col("fp").alias("a"), F.col("head").alias("x")), "a").join(fps.select(F.col("fp").alias("b"), F.col("head").alias("y")), "b").select(F.col("x").alias("a"), F.col("y").alias("b"))
+    # at first one node stands for a fingerprint, and the others that have it are compared with that one
+    fps = common.stored(nodes.groupBy("fp").agg(F.min("node").alias("head"), F.count("*").alias("nodes")), "distinct")
+    found = common.stored(nearest_links(fps.select("fp"), plan_search(fps, radius), hot_members, forests).distinct(), "found")
+    pairs = found.where("b is not null")
+    edges = pairs.join(fps.select(F.col("fp").alias("a"), F.col("head").alias("x")), "a").join(fps.select(F.col("fp").alias("b"), F.col("head").alias("y")), "b").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
     edges = common.stored(edges.unionByName(nodes.join(fps, "fp").where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b"))), "candidates")
     ends = edges.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes, "node").select("node", "first._k1", "first._k2")
     texts = docs.select(*own, body).join(ends, ["_k1", "_k2"]).select("node", "_text").dropDuplicates(["node"])
-    links = alike(edges, common.stored(shingle_sets(texts, width), "shingles"), similarity)
+    sets = common.stored(shingle_sets(texts, width), "shingles")
+    links = common.stored(alike(edges, sets, similarity), "links")
+    rest = other_candidates(nodes, fps, found, edges, links, radius, hot_members)
+    if rest is not None:
+        links = links.unionByName(common.stored(alike(maybe_alike(rest, sets, similarity), sets, similarity), "links"))
     roots = common.connected_components(links).withColumnRenamed("id", "node")
     chosen = nodes.join(roots, "node", "left").groupBy(F.coalesce("root", "node")).agg(F.min("first").alias("first")).select("first._k1", "first._k2")
     chosen = common.stored(chosen, "chosen")

@@ -145,6 +145,44 @@ def test_least_forest():
     assert w[at].sum() == total and len(at) == 60 - len({find(i) for i in range(60)})
 
 
+@pytest.mark.parametrize("suffix", [False, True])
+def test_no_candidate_is_left_out(spark, suffix):
+    """Sixty texts of the same word pairs in thirty orders: nearly all candidates are unlike, and each text has one partner among them."""
+    rng, texts = random.Random(3), {}
+    for k in range(30):
+        order = rng.sample(range(60), 60)
+        for twin in range(2):  # the same words twice in other order at the end, or another last word
+            end = [f"last{2 * k + twin}"] if suffix else ["k", "w1", "k"] * twin
+            texts[2 * k + twin] = " ".join(["k", *[x for i in order for x in (f"w{i}", "k")], *end])
+    root = similar_classes(texts)
+    assert len(set(root.values())) == 30
+    frame = spark.createDataFrame([(k, t, "x") for k, t in texts.items()], DOCS)
+    assert sorted(r.doc_id for r in simhash.representatives(frame).collect()) == sorted(set(root.values()))
+
+
+def test_large_buckets_give_all_links_across(monkeypatch):
+    rng = np.random.default_rng(5)
+    fp = rng.integers(0, 1 << 6, 400).astype(np.int64)
+    cell, member, root = np.repeat([0, 1], 200), rng.random(400) < 0.5, rng.integers(0, 5, 400)
+    want = {(min(fp[i], fp[j]), max(fp[i], fp[j])) for i in range(400) for j in range(400) if cell[i] == cell[j] and member[j] and root[i] != root[j] and fp[i] != fp[j] and int(fp[i] ^ fp[j]).bit_count() <= 2}
+    for chunk in (64, 1 << 21):
+        monkeypatch.setattr(simhash, "PAIR_CHUNK", chunk)
+        got = {(min(x, y), max(x, y)) for a, b, _ in simhash.bucket_links(cell, fp, member, 2, root) for x, y in zip(a, b, strict=True)}
+        assert got == want
+
+
+def test_sketches_lose_no_pair(spark):
+    rng = random.Random(4)
+    words = [f"w{i}" for i in range(400)]
+    base = [rng.choice(words) for _ in range(300)]
+    texts = {0: " ".join(base)} | {k: " ".join(base[: 300 - 7 * k] + rng.sample(words, k)) for k in range(1, 12)} | {20: "", 21: "a b"}
+    sets = common.checkpointed(simhash.shingle_sets(spark.createDataFrame([(k, t.encode()) for k, t in texts.items()], "node long, text binary"), 5))
+    every = spark.createDataFrame(list(itertools.combinations(texts, 2)), "a long, b long")
+    want = sorted(map(tuple, simhash.alike(every, sets, 0.8).collect()))
+    open_ = simhash.maybe_alike(every, sets, 0.8)
+    assert want and set(want) <= set(map(tuple, open_.collect())) and open_.count() < every.count()
+
+
 def test_representatives(spark):
     """Rows without an id and rows that share one go only as near-duplicates; which row stays does not depend on the order of rows."""
     words = lambda s: " ".join(f"{s}{i}" for i in range(60))
