@@ -262,7 +262,7 @@ def test_streams(spark, sf, name):
     assert sorted(map(str, (tuple(r) for r in got.collect()))) == sorted(str(tuple(r[i] for i in order)) for r in want.fetchall())
 
 
-MEASURED = ["agg_cube", "agg_pivot", "agg_unpivot", "cost_break_even", "cost_cumulative", "cost_first_round", "cost_fit", "cost_mean_round", "cost_min_feasible", "cost_scale_out", "cost_size_fit"]
+MEASURED = ["agg_cube", "agg_pivot", "agg_unpivot", "cost_break_even", "cost_cumulative", "cost_first_round", "cost_fit", "cost_mean_round", "cost_min_feasible", "cost_scale_out", "cost_size_fit", "cost_speedup"]
 
 
 @pytest.mark.parametrize("name", MEASURED)
