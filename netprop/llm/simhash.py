@@ -350,71 +350,6 @@ def spanning_links(fps: DataFrame, plan: dict, hot_members: int = HOT_MEMBERS) -
     return _cells(fps.select("fp"), plan, hot_members).mapInArrow(run, "a long, b long")
 
 
-def nearest_links(fps: DataFrame, plan: dict, hot_members: int = HOT_MEMBERS, forests: int = 4) -> DataFrame:
-    """``(a, b)``: links that the search found, so many spanning forests of each task, the nearest first.
-
-    A task that has more links than these names their ends, as rows with a null ``b``:
-    whatever is not given lies between two of them, and :func:`links_across` finds it.
-    """
-    radius = plan["radius"]
-
-    def run(batches):
-        edges, n = [], 0
-
-        def out():
-            a, b = (np.concatenate([e[i] for e in edges]) for i in range(2))
-            named = [np.concatenate(e[:2]) for e in edges if not e[2]]
-            edges.clear()
-            a, b = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1)
-            w, left, taken = np.bitwise_count((a ^ b).view(np.uint64)), np.arange(len(a)), []
-            for _ in range(forests):  # each forest from what the ones before have left
-                at = common.local_forest(a[left], b[left], w[left])
-                taken.append(left[at])
-                left = np.delete(left, at)
-            at = np.concatenate(taken)
-            more = np.unique(np.concatenate([a[left], b[left], *named]))
-            ends = pa.concat_arrays([pa.array(b[at], pa.int64()), pa.nulls(len(more), pa.int64())])
-            return pa.RecordBatch.from_arrays([pa.array(np.concatenate([a[at], more])), ends], names=["a", "b"])
-
-        for cell, fp, member in _runs(batches):
-            for link in bucket_links(cell, fp, member.astype(bool), radius):
-                edges.append(link)
-                n += len(link[0])
-                if n > 1 << 20:
-                    yield out()
-                    n = 0
-        if edges:
-            yield out()
-
-    return _cells(fps.select("fp"), plan, hot_members).mapInArrow(run, "a long, b long")
-
-
-def links_across(fps: DataFrame, plan: dict, hot_members: int = HOT_MEMBERS) -> DataFrame:
-    """``(a, b)``, a below b, some more than once: all links between fingerprints of ``(fp, root)`` whose roots differ."""
-    radius = plan["radius"]
-
-    def run(batches):
-        edges, n = [], 0
-
-        def out():
-            a, b = (np.concatenate([e[i] for e in edges]) for i in range(2))
-            edges.clear()
-            a, b = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1)
-            return pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
-
-        for cell, fp, member, root in _runs(batches):
-            for link in bucket_links(cell, fp, member.astype(bool), radius, root):
-                edges.append(link)
-                n += len(link[0])
-                if n > 1 << 20:
-                    yield out()
-                    n = 0
-        if edges:
-            yield out()
-
-    return _cells(fps.select("fp", "root"), plan, hot_members).mapInArrow(run, "a long, b long")
-
-
 local_components = common.local_components
 
 
@@ -527,8 +462,10 @@ def classes(fps: DataFrame, radius: int = 4, hot_members: int = HOT_MEMBERS) ->
 #: At a five-word similarity of 0.8 about six bits differ, nine or fewer with a chance of 0.93; of such pairs of 10,000 given documents 0.99 were within nine.
 #: (Of five-word fingerprints about ten bits differ: none of those pairs was within four.)
 PROBE_WIDTH, PROBE_RADIUS = 2, 9
-#: Forests of candidates that a task gives at first. What they leave out is verified too, unless those of the forests have joined both texts.
-FORESTS = 4
+#: Texts in a block of a group of candidates, blocks after which a group gets larger ones, and shingles in a block.
+BLOCK_ROWS, BLOCKS, BLOCK_SHINGLES = 64, 32, 1 << 20
+#: Groups of one block hold texts of fewer than 2 ** (SHORT_K + 1) shingles.
+SHORT_K = 13
 #: Longs in the sketch of a set of shingles.
 SKETCH_LONGS = 16
 #: Least similarity (Jaccard) of two texts' sets of shingles.
@@ -587,41 +524,126 @@ def maybe_alike(edges: DataFrame, sets: DataFrame, similarity: float) -> DataFra
     return edges.join(of("a"), "a").join(of("b"), "b").where(both - apart >= similarity * (both + apart) - 1e-6).select("a", "b")
 
 
-def other_candidates(nodes: DataFrame, fps: DataFrame, found: DataFrame, edges: DataFrame, links: DataFrame, radius: int, hot_members: int) -> DataFrame | None:
-    """``(a, b)``: all pairs of nodes with fingerprints within ``radius`` that are neither among ``edges`` nor joined by ``links``; None if there are none.
+def blocked(sets: DataFrame) -> DataFrame:
+    """``sets`` (a stored table with ``group`` and its number of nodes, ``rows``) with ``k`` and ``block``: what of a group is compared at once.
 
-    ``found`` are the :func:`nearest_links` of ``fps``, ``edges`` those of its pairs that are verified.
+    ``k`` is the whole logarithm of the set's size. A group of few short texts is one block;
+    others are numbered by size, and a block holds BLOCK_ROWS, more where the group is very
+    large, and BLOCK_SHINGLES at most (or one text).
     """
-    least = found.where("b is null").select(F.col("a").alias("fp")).distinct()
-    many = fps.where("nodes > 1")
-    if common.is_empty(least) and common.is_empty(many):
-        return None
-    roots = common.connected_components(links).withColumnRenamed("id", "node")
-    placed = nodes.join(roots, "node", "left").select("node", "fp", F.coalesce("root", "node").alias("root"))
-    placed = common.stored(placed, "placed")
-    # a fingerprint whose nodes are not all joined has a root of its own
-    one = placed.groupBy("fp").agg(F.when(F.min("root") == F.max("root"), F.min("root")).otherwise(-1 - F.min("node")).alias("root"), F.count("*").alias("nodes"))
-    one = common.stored(one, "roots")
-    pairs = one.where("nodes > 1 and root < 0").select(F.col("fp").alias("a"), F.col("fp").alias("b"))
-    end = lambda e: one.select(F.col("fp").alias(e), F.col("root").alias(f"r_{e}"), F.col("nodes").alias(f"n_{e}"))
-    pairs = pairs.unionByName(found.where("b is not null").join(end("a"), "a").join(end("b"), "b").where("r_a <> r_b and (n_a > 1 or n_b > 1)").select("a", "b"))
-    left = common.stored(least.join(one, "fp").select("fp", "root"), "left")
-    if not common.is_empty(left):
-        pairs = pairs.unionByName(links_across(left, plan_search(left, radius), hot_members))
-    node = lambda e, x: placed.select(F.col("fp").alias(e), F.col("node").alias(x), F.col("root").alias(f"r_{x}"))
-    met = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct().join(node("a", "x"), "a").join(node("b", "y"), "b")
-    met = met.where("r_x <> r_y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
-    return common.stored(met.join(edges, ["a", "b"], "left_anti"), "rest")
-
-
-def representatives(docs: DataFrame, width: int = 5, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text", radius: int = PROBE_RADIUS, hot_members: int = HOT_MEMBERS, forests: int = FORESTS) -> DataFrame:
+    n = F.size("shingles")
+    k = F.floor(F.log2(F.greatest(n, F.lit(1)) + 0.5)).cast("int")
+    few = F.col("rows") <= BLOCK_ROWS
+    sets = sets.withColumn("k", F.when(few, F.greatest(k, F.lit(SHORT_K))).otherwise(k)).withColumn("n", n)
+    one = few & (F.col("k") == SHORT_K)
+    easy, hard = sets.where(one).withColumn("block", F.lit(0).cast("long")), sets.where(~one)
+    if common.is_empty(hard):
+        return easy.drop("n")
+    at = common.gapless_rank(hard.withColumn("part", F.xxhash64("group", "k")), "part", "n", "at", ("node",))
+    most = F.greatest(F.lit(1), F.least(F.greatest(F.lit(BLOCK_ROWS), F.floor(F.col("rows") / BLOCKS)), F.floor(BLOCK_SHINGLES / F.pow(F.lit(2.0), F.col("k") + 1))))
+    return easy.unionByName(at.withColumn("block", F.floor(F.col("at") / most).cast("long")).drop("part", "at")).drop("n")
+
+
+def tiles(sets: DataFrame, similarity: float) -> DataFrame:
+    """``(tile, side, node, fp, shingles, sketch)``: each pair of blocks of a group that may hold sets of this similarity, whole in one task and in one piece.
+
+    Side 0 is to be compared with side 1, side 2 with itself.
+    """
+    sets = common.stored(blocked(sets), "blocks")
+    blocks = sets.select("group", "k", "block").distinct()
+    x, y = (blocks.select("group", F.col("k").alias(f"k_{e}"), F.col("block").alias(f"b_{e}")) for e in "xy")
+    reach = math.ceil(-math.log2(similarity)) if similarity > 0 else BITS  # sizes of alike sets differ by a factor of 1 / similarity at most
+    pairs = x.join(y, "group").where(f"k_y > k_x and k_y <= k_x + {reach} or k_y = k_x and b_y >= b_x")
+    same = F.expr("k_y = k_x and b_y = b_x")
+    left = F.struct(F.col("k_x").alias("k"), F.col("b_x").alias("block"), F.when(same, 2).otherwise(0).alias("side"))
+    right = F.struct(F.col("k_y").alias("k"), F.col("b_y").alias("block"), F.lit(1).alias("side"))
+    ends = pairs.select("group", F.xxhash64("group", "k_x", "b_x", "k_y", "b_y").alias("tile"), F.explode(F.when(same, F.array(left)).otherwise(F.array(left, right))).alias("e"))
+    ends = ends.select("group", "e.k", "e.block", "tile", "e.side")
+    dealt = sets.join(ends, ["group", "k", "block"]).select("tile", "side", "node", "fp", "shingles", "sketch")
+    return dealt.repartition("tile").sortWithinPartitions("tile", "side")
+
+
+def alike_links(sets: DataFrame, radius: int, similarity: float) -> DataFrame:
+    """``(a, b)``: links that join all nodes of a group which pairs join that have fingerprints within ``radius`` and sets of this similarity.
+
+    Every such pair of ``(node, fp, group, rows, shingles, sketch)`` is verified in the task that holds its tile,
+    but for those that its links have joined by then; a task gives spanning links only, so no row stands for a pair compared.
+    """
+
+    def run(batches):
+        for table in _whole(batches):
+            tile, side, node, fp = (table.column(i).to_numpy() for i in range(4))
+            shingles, sketch = (pa.concat_arrays(table.column(i).chunks) for i in (4, 5))
+            ends = np.cumsum([0, *np.diff(shingles.offsets.to_numpy())])
+            values, sketch = shingles.flatten().to_numpy(), sketch.flatten().to_numpy().reshape(-1, SKETCH_LONGS)
+            edges = []
+            for s, e in itertools.pairwise([*np.flatnonzero(np.append(True, tile[1:] != tile[:-1])).tolist(), len(tile)]):
+                a, b = tile_links(side[s:e], fp[s:e], values[ends[s] : ends[e]], ends[s : e + 1] - ends[s], sketch[s:e], radius, similarity)
+                edges.append((node[s:e][a], node[s:e][b]))
+            nodes, roots = local_components(*map(np.concatenate, zip(*edges, strict=True)))
+            keep = nodes != roots
+            yield pa.RecordBatch.from_arrays([pa.array(nodes[keep]), pa.array(roots[keep])], names=["a", "b"])
+
+    return tiles(sets, similarity).mapInArrow(run, "a long, b long")
+
+
+def _whole(batches):
+    """Tables of whole tiles."""
+    held = []
+    for batch in itertools.chain(batches, [None]):
+        if batch is not None:
+            if not batch.num_rows:
+                continue
+            held.append(batch)
+            if held[0].column(0)[0].as_py() == batch.column(0)[-1].as_py():
+                continue  # still the one tile: nothing is copied before it ends
+        if not held:
+            continue
+        table = pa.Table.from_batches(held)
+        tile = table.column(0).to_numpy()
+        upto = len(tile) if batch is None else int(np.searchsorted(tile, tile[-1]))
+        held = table.slice(upto).to_batches() if batch is not None else []
+        yield table.slice(0, upto)
+
+
+def tile_links(side: np.ndarray, fp: np.ndarray, values: np.ndarray, ends: np.ndarray, sketch: np.ndarray, radius: int, similarity: float) -> tuple[np.ndarray, np.ndarray]:
+    """Places (a, b) of spanning links of a tile: row i has the set ``values[ends[i] : ends[i + 1]]``; rows of side 0 come before those of side 1."""
+    size, label = np.diff(ends), np.arange(len(fp))
+    words, code = np.unique(values, return_inverse=True)
+    held, right, out = np.zeros(len(words), bool), np.flatnonzero(side != 0), []
+    for x in np.flatnonzero(side != 1).tolist():
+        y = right[np.searchsorted(right, x, "right") :]
+        y = y[(label[y] != label[x]) & (np.bitwise_count((fp[y] ^ fp[x]).view(np.uint64)) <= radius)]
+        if len(y):  # what sizes and sketches leave open, as in maybe_alike
+            bits = np.bitwise_count((sketch[y] ^ sketch[x]).view(np.uint64)).sum(1, dtype=np.int64)
+            apart, both = np.maximum(bits, np.abs(size[y] - size[x])), size[y] + size[x]
+            y = y[both - apart >= similarity * (both + apart) - 1e-6]
+        if not len(y):
+            continue
+        own = code[ends[x] : ends[x + 1]]
+        held[own] = True
+        for some in np.array_split(y, 1 + int(size[y].sum()) // PAIR_CHUNK):
+            starts = np.cumsum(size[some]) - size[some]
+            at = np.arange(size[some].sum()) + np.repeat(ends[some] - starts, size[some])
+            both = np.bincount(np.repeat(np.arange(len(some)), size[some]), held[code[at]], len(some))
+            for z in some[both >= similarity * (size[x] + size[some] - both)].tolist():
+                if label[z] != label[x]:
+                    out.append((x, z))
+                    label[label == label[z]] = label[x]
+        held[own] = False
+    a, b = np.array(out, np.int64).reshape(-1, 2).T
+    return a, b
+
+
+def representatives(docs: DataFrame, width: int = 5, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text", radius: int = PROBE_RADIUS, hot_members: int = HOT_MEMBERS) -> DataFrame:
     """The rows of ``docs`` that stay when of each class of near-duplicates one does: that of the smallest id (null ids last), then of the smallest hash of id and text.
 
     Two texts link if their sets of ``width``-word shingles are similar by ``similarity`` or
     more. Candidates are found as always, by the generalised pigeonhole search over
-    fingerprints (of word pairs, which a changed word moves less). First each task gives a few
-    spanning forests of its nearest candidates, and these are verified on the shingles;
-    then all other candidates are, but for those between texts that the first have joined.
+    fingerprints (of word pairs, which a changed word moves less). Its spanning links make
+    groups, outside of which no two fingerprints are near. The texts of a group are compared
+    block by block: all pairs of near fingerprints are verified on the shingles, but for
+    those between texts that verified links of the same blocks have joined.
 
     Rows are told apart by id and text, so unrelated rows of one id or without an id all
     stay. Of rows equal in both, the one with the smallest hash of all columns stays.
@@ -635,19 +657,13 @@ def representatives(docs: DataFrame, width: int = 5, similarity: float = SIMILAR
     nodes = common.stored(nodes.drop("w1", "w2"), "nodes")
     if common.is_empty(nodes):
         return docs.select("*")
-    # at first one node stands for a fingerprint, and the others that have it are compared with that one
-    fps = common.stored(nodes.groupBy("fp").agg(F.min("node").alias("head"), F.count("*").alias("nodes")), "distinct")
-    found = common.stored(nearest_links(fps.select("fp"), plan_search(fps, radius), hot_members, forests).distinct(), "found")
-    pairs = found.where("b is not null")
-    edges = pairs.join(fps.select(F.col("fp").alias("a"), F.col("head").alias("x")), "a").join(fps.select(F.col("fp").alias("b"), F.col("head").alias("y")), "b").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
-    edges = common.stored(edges.unionByName(nodes.join(fps, "fp").where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b"))), "candidates")
-    ends = edges.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes, "node").select("node", "first._k1", "first._k2")
-    texts = docs.select(*own, body).join(ends, ["_k1", "_k2"]).select("node", "_text").dropDuplicates(["node"])
+    fps = common.stored(nodes.groupBy("fp").agg(F.count("*").alias("nodes")), "distinct")
+    near = common.stored(classes(fps, radius, hot_members).withColumnRenamed("root", "group"), "groups")
+    rows = near.groupBy("group").agg(F.sum("nodes").alias("rows")).where("rows > 1")
+    met = nodes.join(near.join(rows, "group").select("fp", "group", "rows"), "fp").select("node", "fp", "group", "rows", "first._k1", "first._k2")
+    texts = docs.select(*own, body).join(met, ["_k1", "_k2"]).select("node", "fp", "group", "rows", "_text").dropDuplicates(["node"])
     sets = common.stored(shingle_sets(texts, width), "shingles")
-    links = common.stored(alike(edges, sets, similarity), "links")
-    rest = other_candidates(nodes, fps, found, edges, links, radius, hot_members)
-    if rest is not None:
-        links = links.unionByName(common.stored(alike(maybe_alike(rest, sets, similarity), sets, similarity), "links"))
+    links = common.stored(alike_links(sets, radius, similarity), "links")
     roots = common.connected_components(links).withColumnRenamed("id", "node")
     chosen = nodes.join(roots, "node", "left").groupBy(F.coalesce("root", "node")).agg(F.min("first").alias("first")).select("first._k1", "first._k2")
     chosen = common.stored(chosen, "chosen")

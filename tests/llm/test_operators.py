@@ -183,6 +183,56 @@ def test_sketches_lose_no_pair(spark):
     assert want and set(want) <= set(map(tuple, open_.collect())) and open_.count() < every.count()
 
 
+def joined_rows(spark, run):
+    """What ``run`` returns, and the most rows that joins of one kind made in it."""
+    store, made = spark._jsparkSession.sharedState().statusStore(), {}
+    begun = store.executionsCount()
+    found = run()
+    time.sleep(1)
+    for e in (store.executionsList().apply(i) for i in range(begun, store.executionsCount())):
+        metrics, nodes = store.executionMetrics(e.executionId()), store.planGraph(e.executionId()).allNodes()
+        for node in (nodes.apply(j) for j in range(nodes.size()) if "Join" in nodes.apply(j).name()):
+            kind = re.sub(r"#\d+L?|^\w+(?=Join )", "", node.desc())[:60]
+            for m in (node.metrics().apply(q) for q in range(node.metrics().size())):
+                if m.name() == "number of output rows" and metrics.get(m.accumulatorId()).isDefined():
+                    made[kind] = made.get(kind, 0) + int(metrics.get(m.accumulatorId()).get().replace(",", ""))
+    return found, max(made.values())
+
+
+def test_candidates_are_no_rows(spark):
+    """Texts of the same word pairs in other orders: all are candidates of each other and nearly none are alike. No join makes a row for each pair."""
+    rng, texts = random.Random(8), {}
+    for k in range(160):
+        order = rng.sample(range(60), 60)
+        for twin in range(2):
+            texts[2 * k + twin] = " ".join(["k", *[x for i in order for x in (f"w{i}", "k")], *["k", "w1", "k"] * twin])
+    frame = spark.createDataFrame([(k, t, "x") for k, t in texts.items()], DOCS)
+    got, most = joined_rows(spark, lambda: simhash.representatives(frame).collect())
+    assert sorted(r.doc_id for r in got) == sorted(set(similar_classes(texts).values()))
+    assert 0 < most < 20 * len(texts)
+
+
+@pytest.mark.parametrize("rows, shingles, short", [(64, 1 << 20, 13), (8, 1 << 20, 3), (8, 200, 3), (1, 1, 0)])
+def test_blocks_lose_no_pair(spark, monkeypatch, rows, shingles, short):
+    """Groups in one block or many, of texts of very unequal length, against all pairs."""
+    for name, value in (("BLOCK_ROWS", rows), ("BLOCK_SHINGLES", shingles), ("SHORT_K", short)):
+        monkeypatch.setattr(simhash, name, value)
+    rng, texts = random.Random(6), {100: "", 101: "a b"}
+    for k in range(24):
+        base = [f"w{rng.randrange(500)}" for _ in range(rng.choice([7, 15, 16, 17, 31, 33, 64, 127, 260]))]
+        texts[k] = " ".join(base)
+        texts[k + 24] = " ".join(base + [f"v{k}"] * rng.randrange(4))
+    group = {k: k % 3 for k in texts}
+    frame = spark.createDataFrame([(k, k % 2, group[k], sum(g == group[k] for g in group.values()), t.encode()) for k, t in texts.items()], "node long, fp long, group long, rows long, text binary")
+    links = simhash.alike_links(common.stored(simhash.shingle_sets(frame, 5), "sets"), 1, 0.8)
+    got = {k: k for k in texts} | {r.id: r.root for r in common.connected_components(links).collect()}
+    want = {}
+    for g in range(3):
+        want |= similar_classes({k: t for k, t in texts.items() if group[k] == g})
+    assert got == want and len(set(want.values())) < len(texts)
+    assert links.count() < 40 * len(texts)
+
+
 def test_representatives(spark):
     """Rows without an id and rows that share one go only as near-duplicates; which row stays does not depend on the order of rows."""
     words = lambda s: " ".join(f"{s}{i}" for i in range(60))
